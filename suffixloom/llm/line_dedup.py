@@ -75,7 +75,8 @@ def drop_common_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     doomed = stored(doomed_keys(docs, id_col, text_col, min_docs, min_chars), "lines-by-document")
     owner, keys = fresh("owner", docs.columns), fresh("keys", docs.columns)
     doomed = doomed.select(F.col("doc_id").alias(owner), F.col("keys").alias(keys))
-    joined = docs.join(maybe_broadcast(doomed, 400), docs[id_col].eqNullSafe(doomed[owner]), "left").drop(owner)
+    # texts go through one shuffle at every size
+    joined = docs.hint("merge").join(doomed, docs[id_col].eqNullSafe(doomed[owner]), "left").drop(owner)
     n_lines, n_dropped = fresh("n_lines", docs.columns), fresh("n_dropped", docs.columns)
     schema = T.StructType([*(T.StructField(f.name, T.StringType() if f.name == text_col else f.dataType) for f in docs.schema), T.StructField(n_lines, T.LongType()), T.StructField(n_dropped, T.LongType())])
 
