@@ -16,14 +16,14 @@ import hashlib
 from heapq import heappop, heappush
 
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow_map
+from .pretokens import splitter
 
 #: Pre-tokens in each of the cache's two halves; when the younger is full it becomes the older. Bounds memory, never results.
-CACHE_ENTRIES = 300_000
+CACHE_ENTRIES = 400_000
 #: Longer pre-tokens are encoded each time and not kept.
 CACHE_BYTES = 64
 
@@ -42,6 +42,20 @@ class RankQueue:
         self.words: dict[int, int] = {}
         self.top = 0
 
+    def fill(self, ranks: list[int | None]) -> None:
+        """Push each rank at its index, from left to right, into an empty queue."""
+        buckets, words = self.buckets, self.words
+        for i, rank in enumerate(ranks):
+            if rank is not None:
+                if rank in buckets:
+                    buckets[rank].append(i)
+                else:
+                    buckets[rank] = [i]
+                    word = rank >> 8
+                    words[word] = words.get(word, 0) | 1 << (rank & 255)
+        for word in words:
+            self.top |= 1 << word
+
     def push(self, rank: int, position: int) -> None:
         bucket = self.buckets.get(rank)
         if bucket is not None:
@@ -77,7 +91,8 @@ class ByteBpe:
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks = ranks
         self.tokens = {i: b for b, i in ranks.items()}
-        self.split = regex.compile(pattern).findall
+        self.names = {i: str(i) for i in self.tokens}
+        self.split = splitter(pattern)
         self.cache: dict[str, tuple[int, ...]] = {}
         self.older: dict[str, tuple[int, ...]] = {}
 
@@ -94,11 +109,11 @@ class ByteBpe:
         n = len(data)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         queue = RankQueue()
-        waiting: list[int | None] = [ranks.get(data[i : i + 2]) for i in range(n - 1)] + [None]
-        for i, rank in enumerate(waiting):
-            if rank is not None:
-                queue.push(rank, i)
-        while (top := queue.pop()) is not None:
+        get, push, pop = ranks.get, queue.push, queue.pop
+        waiting: list[int | None] = [get(data[i : i + 2]) for i in range(n - 1)]
+        queue.fill(waiting)
+        waiting.append(None)
+        while (top := pop()) is not None:
             rank, i = top
             if waiting[i] != rank:
                 continue  # stale: this pair was merged away or has another rank by now
@@ -108,13 +123,13 @@ class ByteBpe:
             waiting[i] = None
             if end < n:
                 before[end] = i
-                if (new := ranks.get(data[i : after[end]])) is not None:
+                if (new := get(data[i : after[end]])) is not None:
                     waiting[i] = new
-                    queue.push(new, i)
+                    push(new, i)
             if (left := before[i]) >= 0:
-                waiting[left] = new = ranks.get(data[left:end])
+                waiting[left] = new = get(data[left:end])
                 if new is not None:
-                    queue.push(new, left)
+                    push(new, left)
         ids, i = [], 0
         while i < n:
             ids.append(ranks[data[i : after[i]]])
@@ -182,7 +197,7 @@ def round_trip(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "do
         for text in batch.column(1):
             ids = bpe.encode(text.as_py() or "")
             out["n_tokens"].append(len(ids))
-            out["ids_sha256"].append(hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest())
+            out["ids_sha256"].append(hashlib.sha256(" ".join(map(bpe.names.__getitem__, ids)).encode()).hexdigest())
             out["decoded_sha256"].append(hashlib.sha256(bpe.decode(ids)).hexdigest())
         return out
 
