@@ -46,6 +46,13 @@ def maybe_broadcast(df: DataFrame, row_bytes: int, limit: int = BROADCAST_LIMIT_
     return F.broadcast(df) if rows_within(df, row_bytes, limit) else df
 
 
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 1024) -> Iterator[pa.RecordBatch]:
+    """The same rows in smaller batches, so that what a task holds beside its input stays small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def arrow_map(df: DataFrame, rows: Callable[[pa.RecordBatch], dict[str, list]], schema: str) -> DataFrame:
     """mapInArrow by a function from a batch to columns of Python values, one entry for each column of schema."""
     spark_schema = df.sparkSession.createDataFrame([], schema).schema
@@ -54,10 +61,9 @@ def arrow_map(df: DataFrame, rows: Callable[[pa.RecordBatch], dict[str, list]],
     arrow_schema = to_arrow_schema(spark_schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                columns = rows(batch)
-                yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in arrow_schema], schema=arrow_schema)
+        for batch in slices(batches):
+            columns = rows(batch)
+            yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in arrow_schema], schema=arrow_schema)
 
     return df.mapInArrow(run, spark_schema)
 
