@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import math
+
+from . import secrets
+
 OP1 = """
 WITH p AS (
   SELECT page_id, encode(coalesce(html, '')) AS body FROM pages
@@ -36,5 +40,43 @@ FROM m GROUP BY doc_id
 """
 
 
+def _sql(text: str) -> str:
+    return "'" + text.replace("'", "''") + "'"
+
+
+def _spans(pattern: str, group: int, least: int) -> str:
+    """List of (s, e, v) of matches in t: lengths of the parts between matches and of matches before add up to s."""
+    parts, matches, values = f"string_split_regex(t, {_sql(pattern)})", f"regexp_extract_all(t, {_sql(pattern)}, 0)", f"regexp_extract_all(t, {_sql(pattern)}, {group})"
+    before = "coalesce(list_sum([length(x) for x in parts[1:i]]), 0) + coalesce(list_sum([length(x) for x in matches[1:i-1]]), 0)"
+    return f"""(SELECT coalesce(list({{'s': ({before})::BIGINT, 'e': ({before} + length(matches[i]))::BIGINT, 'v': matches[i]}} ORDER BY i)
+         FILTER (WHERE length(vals[i]) >= {least}), [])
+       FROM (SELECT unnest(range(1, len(matches) + 1)) AS i, parts, matches, vals
+             FROM (SELECT {parts} AS parts, {matches} AS matches, {values} AS vals)))"""
+
+
+def op2_sql() -> str:
+    kinds = [(k, _spans(p, g, n), "true") for k, p, g, n in secrets.BASE]
+    for c in secrets.CLASSES:
+        table = "[" + ", ".join(str(round(n * math.log2(n) * secrets.SCALE) if n else 0) for n in range(c.window + 1)) + "]"
+        window = f"v[j:j + {c.window - 1}]"
+        total = f"list_sum([{table}[length(w) - length(replace(w, c, '')) + 1] for c in list_distinct(string_split(w, ''))])"
+        least = f"(SELECT min(total) FROM (SELECT {total} AS total FROM (SELECT {window} AS w FROM (SELECT unnest(range(1, length(v) - {c.window - 2})) AS j))))"
+        tests = [f"regexp_matches(v, {_sql(p)})" for p in c.need] + [f"NOT regexp_matches(v, {_sql(p)})" for p in secrets.ALLOWED]
+        kinds.append((c.kind, _spans(f"[{c.chars}]{{{c.min_chars},}}", 0, c.min_chars), " AND ".join(tests) + f" AND {least} <= {c.max_sum}"))
+    rows = "\nUNION ALL\n".join(f"SELECT doc_id, {i} AS o, '{k}' AS kind, x.s AS s, x.e AS e, x.v AS v FROM (SELECT doc_id, unnest({spans}) AS x FROM d)" for i, (k, spans, _) in enumerate(kinds))
+    judged = "\nUNION ALL\n".join(f"SELECT doc_id, o, kind, s, e FROM r WHERE o = {i} AND {test}" for i, (_, _, test) in enumerate(kinds))
+    name = "kind || ':' || s || ':' || e"
+    counts = ", ".join(f"(count(j.kind) FILTER (WHERE j.kind = '{k}'))::BIGINT AS n_{k}" for k, *_ in kinds[:3])
+    return f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+r AS ({rows}),
+j AS ({judged})
+SELECT d.doc_id, {counts},
+       lower(sha256(coalesce(string_agg({name}, ',' ORDER BY s, o, e) FILTER (WHERE o < 3), ''))) AS base_sha256,
+       coalesce(string_agg({name}, ',' ORDER BY s, o, e) FILTER (WHERE o IS NOT NULL), '') AS spans
+FROM d LEFT JOIN j USING (doc_id) GROUP BY d.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_warc_archives": OP1, "op8_line_dedup": OP8}
+    return {"op1_warc_archives": OP1, "op2_secret_spans": op2_sql(), "op8_line_dedup": OP8}
