@@ -1,7 +1,7 @@
 """License scans by ordered signature rules, with column functions only.
 
-Rules are regular expressions over the words of a text joined by single spaces. Each has a keyword that must occur
-for it to be tried, a label and a priority. A detection inside another one of higher priority, or of the same
+Rules are regular expressions over the words of a text joined by single spaces. Each has a keyword, with spaces
+where a word's edge is meant, that must occur in those joined words for it to be tried, a label and a priority. A detection inside another one of higher priority, or of the same
 priority and longer, is suppressed. Fixed base phrases are reported besides and never suppressed.
 
 Defined results: a null or empty text has no words, no places and score 0; positions count words from 0; repeated rows get
@@ -10,6 +10,7 @@ repeated results; other columns are not read.
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -27,6 +28,14 @@ class Rule:
     keyword: str
     pattern: str
     priority: int
+    name_word: str
+
+
+def longest_word(pattern: str) -> str:
+    """The longest word that every match of pattern begins with or holds at a word's start; after a space."""
+    plain = re.sub(r"\(\?(?:[^()]|\([^()]*\))*\)\??", " ", pattern)
+    words = [w for w in re.split(r"[^a-z0-9\[\]?.{},\\]+", plain) if w.isalnum()]
+    return " " + max(words, key=len, default="")
 
 
 # Names as they are written, by label; (?: v)? stands for "version", "v" or nothing before a number.
@@ -74,7 +83,7 @@ _NAMES = {
 _FORMS = (
     (50, "spdx", "spdx license identifier {}"),
     (40, "licen", "licen[sc]ed under (?:the )?(?:terms of the )?{}(?: licen[sc]e)?"),
-    (40, "under", "(?:released|distributed|available|published|provided) under (?:the )?(?:terms of the )?{}(?: licen[sc]e)?"),
+    (40, " under ", "(?:released|distributed|available|published|provided) under (?:the )?(?:terms of the )?{}(?: licen[sc]e)?"),
     (30, "licen", "under (?:the )?{}(?: licen[sc]e)"),
     (30, "licen", "licen[sc]e[ds]? (?:is |as )?{}"),
     (20, "licen", "{} licen[sc]e"),
@@ -105,19 +114,15 @@ _TEXTS = (
 
 def signature_rules() -> list[Rule]:
     """Every form with every name, then the texts: over five hundred rules, in order of priority."""
-    rules = [Rule(label, "spdx" if keyword == "spdx" else keyword, form.format(f"(?:{name})"), priority) for priority, keyword, form in _FORMS for label, names in _NAMES.items() for name in names if not (label == "proprietary" and priority in (20, 50))]
-    bare = [Rule(label, "cc", name, 10) for label, names in _NAMES.items() if label.startswith("cc") for name in names if name.startswith("cc")]
-    texts = [Rule(label, keyword, text, 60) for label, keyword, text in _TEXTS]
+    rules = [Rule(label, "spdx" if keyword == "spdx" else keyword, form.format(f"(?:{name})"), priority, longest_word(name)) for priority, keyword, form in _FORMS for label, names in _NAMES.items() for name in names if not (label == "proprietary" and priority in (20, 50))]
+    bare = [Rule(label, " cc", name, 10, longest_word(name)) for label, names in _NAMES.items() if label.startswith("cc") for name in names if name.startswith("cc")]
+    texts = [Rule(label, keyword, text, 60, longest_word(text)) for label, keyword, text in _TEXTS]
     return sorted([*rules, *bare, *texts], key=lambda r: -r.priority)
 
 
 RULES = signature_rules()
 
 
-def gate(lowered: Column, rules: list[Rule]) -> dict[str, Column]:
-    return {k: F.contains(lowered, F.lit(k)) for k in sorted({r.keyword for r in rules})}
-
-
 def words_of(text: Column) -> Column:
     """Words joined and enclosed by single spaces; a text without words gives one space."""
     return F.regexp_replace(F.concat(F.lit(" "), text, F.lit(" ")), _SEPARATORS, " ")
@@ -146,19 +151,18 @@ def places(words: Column, pattern: Column | str) -> Column:
 _HIT = "array<struct<start: bigint, end: bigint, priority: int, label: string>>"
 
 
-def detections(words: Column, lowered: Column, rules: list[Rule]) -> Column:
-    """All detections of rules whose keyword is there; a rule's pattern is tried only behind its keyword."""
-    by_keyword: dict[str, list[Rule]] = {}
-    for r in rules:
-        by_keyword.setdefault(r.keyword, []).append(r)
-    parts = []
-    for keyword, own in sorted(by_keyword.items()):
-        table = F.array(*(F.struct(F.lit(r.pattern).alias("pattern"), F.lit(r.priority).alias("priority"), F.lit(r.label).alias("label")) for r in own))
-        # one pattern for all of a keyword's rules says whether any of them is worth trying
-        found = F.flatten(F.transform(table, lambda r: F.transform(places(words, r["pattern"]), lambda p: F.struct(p["start"].alias("start"), p["end"].alias("end"), r["priority"].alias("priority"), r["label"].alias("label")))))
-        any_of = "(?i) (?:" + "|".join(sorted({r.pattern for r in own})) + ") "
-        parts.append(F.when(F.contains(lowered, F.lit(keyword)) & words.rlike(any_of), found).otherwise(F.expr(f"cast(array() as {_HIT})")))
-    return F.concat(*parts)
+def present_words(lowered: Column, rules: list[Rule]) -> Column:
+    """Which keywords and name words of the rules occur: each is looked for once, not once for each rule."""
+    known = sorted({k for r in rules for k in (r.keyword, r.name_word)})
+    return F.filter(F.array(*map(F.lit, known)), lambda k: F.contains(lowered, k))
+
+
+def detections(words: Column, present: Column, rules: list[Rule]) -> Column:
+    """All detections of rules; a rule's pattern is tried only if its keyword and its name's longest word occur."""
+    table = F.array(*(F.struct(F.lit(r.pattern).alias("pattern"), F.lit(r.keyword).alias("keyword"), F.lit(r.name_word).alias("name_word"), F.lit(r.priority).alias("priority"), F.lit(r.label).alias("label")) for r in rules))
+    likely = F.filter(table, lambda r: F.array_contains(present, r["keyword"]) & F.array_contains(present, r["name_word"]))
+    found = F.transform(likely, lambda r: F.transform(places(words, r["pattern"]), lambda p: F.struct(p["start"].alias("start"), p["end"].alias("end"), r["priority"].alias("priority"), r["label"].alias("label"))))
+    return F.flatten(found)
 
 
 def unsuppressed(hits: Column) -> Column:
@@ -190,8 +194,10 @@ def license_labels(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     any_keyword = F.lit(False)
     for k in keywords:
         any_keyword = any_keyword | F.contains("lowered", F.lit(k))
-    hits = F.when(any_keyword, detections(F.col("words"), F.col("lowered"), rules)).otherwise(F.expr(f"cast(array() as {_HIT})"))
-    step = step.select("doc_id", "n_words", F.struct(*(c.alias(f"b{i}") for i, c in enumerate(base.values()))).alias("base"), hits.alias("hits"))
+    base_places = F.struct(*(c.alias(f"b{i}") for i, c in enumerate(base.values()))).alias("base")
+    step = step.select("doc_id", "n_words", "words", base_places, F.when(any_keyword, present_words(F.col("lowered"), rules)).alias("present"))
+    hits = F.when(F.size("present") > 0, detections(F.col("words"), F.col("present"), rules)).otherwise(F.expr(f"cast(array() as {_HIT})"))
+    step = step.select("doc_id", "n_words", "base", hits.alias("hits"))
     step = step.select("doc_id", "n_words", "base", F.when(F.size("hits") > 0, unsuppressed(F.col("hits"))).otherwise(F.col("hits")).alias("hits"))
     lists = [F.col(f"base.b{i}") for i in range(len(base))]
     all_base = F.concat(*lists)
