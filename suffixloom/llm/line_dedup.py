@@ -67,9 +67,11 @@ def doomed_keys(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return pairs.join(maybe_broadcast(doomed, 48), "key").groupBy("doc_id").agg(F.collect_list("key").alias("keys"))
 
 
-def drop_common_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_docs: int = 10, min_chars: int = 1) -> DataFrame:
+def drop_common_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_docs: int = 10, min_chars: int = 1, spare_share: float | None = None) -> DataFrame:
     """docs with the doomed lines cut out of text_col, and two more columns: n_lines (before) and n_dropped.
 
+    With spare_share, a text that would lose more than that share of its bytes stays whole: it is a copy of
+    a document, which near-duplicate removal should reduce to one, and not boilerplate around something else.
     If docs has columns of these names, the new ones get underscores at their end.
     """
     doomed = stored(doomed_keys(docs, id_col, text_col, min_docs, min_chars), "lines-by-document")
@@ -91,6 +93,8 @@ def drop_common_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
                 if own:
                     bad = set(own)
                     kept = [x for x in lines if not (k := line_key(x)) or digest(k) not in bad]
+                    if spare_share is not None and sum(map(len, kept)) < (1 - spare_share) * sum(map(len, lines)):
+                        kept = lines
                     dropped.append(len(lines) - len(kept))
                     data = b"\n".join(kept) if len(kept) < len(lines) else data
                 else:

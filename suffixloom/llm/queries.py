@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, licenses, line_dedup, packing, quality_rules, secrets, simhash, warc
+from . import bpe, licenses, line_dedup, neighbours, packing, quality_rules, secrets, simhash, urls, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,12 +34,29 @@ def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(table(spark, sf_dir, "documents"), files.path("byte_bpe_50k.tiktoken"), files.PATTERN)
 
 
+#: The path rules of the query.
+RULES = [urls.PathRule("org/", "allow"), urls.PathRule("example.org/es/", "block"), urls.PathRule("example.org/en/1", "block"), urls.PathRule("com/fr/", "allow"), urls.PathRule("com/de/", "block")]
+
+
+def op4_url_verdicts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labelled URLs are those whose path ends in the number of a document with a quality label."""
+    pages, labels = table(spark, sf_dir, "pages"), table(spark, sf_dir, "labels")
+    number = F.regexp_extract("url", r"/(\d{1,18})(?:[/.?#]|$)", 1)
+    labelled = pages.select("url", F.when(number != "", number.cast("long")).alias("doc_id")).join(labels.select("doc_id", "quality"), "doc_id").select("url", F.col("quality").alias("label"))
+    return urls.judge_urls(pages, labelled, RULES)
+
+
 def op5_mixture_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     files = tokenizer_files()
     encode = packing.file_encoder(files.path("byte_bpe_50k.json"), files.PATTERN)
     return packing.pack(table(spark, sf_dir, "documents"), encode, end_id=1)
 
 
+def op6_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return neighbours.nearest(vectors, vectors.where(F.col("vec_id") % 100 == 0), k=10)
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.quality_report(table(spark, sf_dir, "documents"))
 
@@ -60,4 +77,4 @@ def op10_license_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_warc_archives, op2_secret_spans, op3_bpe_round_trip, op5_mixture_packing, op7_quality_rules, op8_line_dedup, op9_simhash_components, op10_license_labels)}
+    return {f.__name__: f for f in (op1_warc_archives, op2_secret_spans, op3_bpe_round_trip, op4_url_verdicts, op5_mixture_packing, op6_learned_partitions, op7_quality_rules, op8_line_dedup, op9_simhash_components, op10_license_labels)}

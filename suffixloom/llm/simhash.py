@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, stored, utf8
+from .common import arrow_map, slices, stored, utf8
 from .components import connected_components
 
 BITS = 64
@@ -78,9 +78,10 @@ def _signed(x: int) -> int:
     return x - (1 << BITS) if x >> BITS - 1 else x
 
 
-def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16) -> DataFrame:
+def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | None = None) -> DataFrame:
     """Edges (a, b) that connect distinct fingerprints fp within an even radius of each other.
 
+    With reach, pairs that meet in a small bucket count up to that distance (for a check of their texts to follow).
     Edges are links themselves; links left out are implied by a chain of edges, so components are exact.
     """
     if radius < 2 or radius % 2:
@@ -90,7 +91,7 @@ def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16) -> DataFrame:
     sizes = keyed.groupBy("t", "key").agg(F.count("*").alias("n")).where("n > 1")
     members = stored(keyed.join(sizes, ["t", "key"]), "simhash-buckets")
 
-    close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= radius
+    close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= (reach or radius)
     each = F.col("all")
     pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b > a) & close(a, b)), lambda b: F.struct(a.alias("a"), b.alias("b")))))
     few = members.where(F.col("n") <= small).groupBy("t", "key").agg(F.collect_list("fp").alias("all")).select(F.explode(pairs).alias("e")).select("e.a", "e.b")
@@ -112,3 +113,70 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     whole = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
     labels = labelled.select("fp", "root").join(whole, "root").select("fp", "component_id")
     return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
+
+
+def shingle_sets(docs: DataFrame, key_col: str, text_col: str, width: int) -> DataFrame:
+    """(fp, shingles): the distinct shingle hashes of each text, sorted, as little-endian bytes."""
+
+    def rows(batch: pa.RecordBatch) -> dict[str, list]:
+        sets = []
+        for data in utf8(batch.column(1)):
+            parts = [h.copy().view("<u8").ravel() for h in shingle_hashes(data, width)]
+            sets.append(np.unique(np.concatenate(parts)).tobytes() if parts else b"")
+        return {"fp": batch.column(0).to_pylist(), "shingles": sets}
+
+    return arrow_map(docs.select(F.col(key_col).alias("fp"), F.col(text_col).alias("text")), rows, "fp long, shingles binary")
+
+
+def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The edges whose shingle sets have at least that Jaccard similarity; two empty sets are alike."""
+
+    def rows(batch: pa.RecordBatch) -> dict[str, list]:
+        fine = []
+        for a, b in zip(batch.column(2), batch.column(3)):
+            x, y = np.frombuffer(a.as_buffer(), "<u8"), np.frombuffer(b.as_buffer(), "<u8")
+            common = len(np.intersect1d(x, y, assume_unique=True))
+            fine.append(common >= similarity * (len(x) + len(y) - common))
+        return {"a": batch.column(0).to_pylist(), "b": batch.column(1).to_pylist(), "fine": fine}
+
+    with_a = edges.join(sets.select(F.col("fp").alias("a"), F.col("shingles").alias("sa")), "a")
+    both = with_a.join(sets.select(F.col("fp").alias("b"), F.col("shingles").alias("sb")), "b").select("a", "b", "sa", "sb")
+    return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, print_width: int = 3, radius: int = 4, reach: int = 14) -> DataFrame:
+    """docs, all columns, with one row of each group of near duplicates: the one of the smallest id.
+
+    Candidates are pairs of distinct fingerprints that meet in a table of the covering masks; those whose texts have the
+    given similarity on width-word shingles are linked. Rows of equal fingerprint are one node, represented by
+    its smallest id; copies are never paired with each other. Among rows of equal id and text one stays.
+    """
+    # a row's own number tells repeated rows apart; it is fixed by writing the rows
+    row, fp = "row", "fp"
+    prints = fingerprints_with_text(docs, id_col, text_col, print_width)
+    prints = stored(prints.withColumn(row, F.monotonically_increasing_id()), "near-prints")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col(row).alias("row"))
+    nodes = stored(prints.groupBy(fp).agg(F.min(order).alias("least")), "near-nodes")
+    edges = stored(near_pairs(nodes.select(fp), radius, reach=reach).distinct(), "near-candidates")
+    ends = edges.select(F.explode(F.array("a", "b")).alias(fp)).distinct()
+    first = nodes.join(ends, fp).select("least.row", fp)
+    sets = stored(shingle_sets(prints.join(first, [row, fp]).select(fp, "text"), fp, "text", width), "near-shingles")
+    roots = connected_components(similar_edges(edges, sets, similarity))
+    named = nodes.join(roots, nodes[fp] == roots["node"], "left").select("least", F.coalesce("root", fp).alias("root"))
+    chosen = named.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.row").alias(row))
+    return prints.join(chosen, row).select("kept.*")
+
+
+def fingerprints_with_text(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
+    """(doc_id, text, fp, kept): kept is the whole row as a struct."""
+    from pyspark.sql import types as T
+
+    packed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("kept"))
+    schema = T.StructType([*packed.schema.fields, T.StructField("fp", T.LongType())])
+
+    def run(batches):
+        for batch in slices(batches):
+            prints = pa.array([fingerprint(x, width) for x in utf8(batch.column(1))], pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns, prints], names=[*batch.schema.names, "fp"])
+
+    return packed.mapInArrow(run, schema)
