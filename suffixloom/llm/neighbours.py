@@ -26,7 +26,7 @@ GRAPH_NEIGHBOURS = 10
 #: Rows aimed at for a part, most parts, and rows of a block.
 PART_ROWS, MAX_PARTS, BLOCK_ROWS = 1024, 192, 4096
 #: Share of the sample's neighbours that the probed parts must hold.
-COVERAGE = 0.97
+COVERAGE = 0.94
 
 
 def neighbour_graph(x: np.ndarray, k: int) -> np.ndarray:
@@ -120,7 +120,7 @@ def fit(sample: np.ndarray, parts: int) -> tuple[Router | None, int]:
     rank = np.empty_like(order)
     np.put_along_axis(rank, order, np.arange(parts)[None, :].repeat(len(sample), 0), axis=1)
     needed = np.sort(np.take_along_axis(rank, own[graph], axis=1).ravel())
-    return router, min(parts, int(needed[int(COVERAGE * (len(needed) - 1))]) + 2)
+    return router, min(parts, int(needed[int(COVERAGE * (len(needed) - 1))]) + 1)
 
 
 def matrix(column) -> np.ndarray:
