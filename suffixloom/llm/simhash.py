@@ -81,14 +81,15 @@ def _signed(x: int) -> int:
 def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | None = None) -> DataFrame:
     """Edges (a, b) that connect distinct fingerprints fp within an even radius of each other.
 
-    With reach, pairs that meet in a small bucket count up to that distance (for a check of their texts to follow).
+    With reach the edges are candidates for a check of texts to follow: pairs that meet in a small bucket count up to
+    that distance; in a large bucket members are linked to its least one, and by one flip as for radius 2.
     Edges are links themselves; links left out are implied by a chain of edges, so components are exact.
     """
     if radius < 2 or radius % 2:
         raise ValueError("radius must be even and positive")
     masks = covering_masks(radius)
     keyed = fps.select("fp", F.explode(F.array(*(F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))).alias("x")).select("fp", "x.*")
-    sizes = keyed.groupBy("t", "key").agg(F.count("*").alias("n")).where("n > 1")
+    sizes = keyed.groupBy("t", "key").agg(F.count("*").alias("n"), F.min("fp").alias("low")).where("n > 1")
     members = stored(keyed.join(sizes, ["t", "key"]), "simhash-buckets")
 
     close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= (reach or radius)
@@ -96,11 +97,13 @@ def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | No
     pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b > a) & close(a, b)), lambda b: F.struct(a.alias("a"), b.alias("b")))))
     few = members.where(F.col("n") <= small).groupBy("t", "key").agg(F.collect_list("fp").alias("all")).select(F.explode(pairs).alias("e")).select("e.a", "e.b")
 
-    flips = [[_signed(sum(c)) for k in range(radius // 2 + 1) for c in combinations([1 << i for i in range(BITS) if not m >> i & 1], k)] for m in masks]
+    flips = [[_signed(sum(c)) for k in range((1 if reach else radius // 2) + 1) for c in combinations([1 << i for i in range(BITS) if not m >> i & 1], k)] for m in masks]
     ball: Column = F.element_at(F.array(*(F.array(*map(F.lit, f)) for f in flips)), F.col("t") + 1)
     points = members.where(F.col("n") > small).select("fp", F.explode(ball).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("point"))
     stars = points.groupBy("point").agg(F.collect_set("fp").alias("all")).where(F.size("all") > 1)
     many = stars.select(F.array_min("all").alias("a"), F.explode("all").alias("b")).where("a <> b")
+    if reach:
+        many = many.union(members.where((F.col("n") > small) & (F.col("fp") != F.col("low"))).select(F.col("low").alias("a"), F.col("fp").alias("b")))
     return few.union(many)
 
 
