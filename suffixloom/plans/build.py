@@ -34,7 +34,7 @@ def read_suffixes(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("ref long, suffix string").parquet(path)
 
 
-def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "shuffle", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout()) -> DataFrame:
+def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "placed", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout()) -> DataFrame:
     """(pos, ref[, suffix]): keys and references are shuffled, text is looked up only for groups that need it.
 
     A suffix shorter than the prefix is its prefix (short_rule), and a group of one is in order (singleton_rule): neither asks the
@@ -42,19 +42,19 @@ def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_ke
     """
     held = STORES[store](reads)
     skip = width if emit != "suffix" and alphabet.whole_symbols else 0
-    refs = expand_refs(reads, alphabet, width, layout, int_key)
-    open_ = F.lit(True)
-    if short_rule:
-        open_ = open_ & (F.col("slen") >= width)
-    counts = refs.groupBy("code").agg(F.count("*").alias("n"))
-    if singleton_rule and emit != "suffix":
-        # only codes that occur more than once are joined back; a hot one is split by AQE
-        ambiguous = refs.where(open_).join(counts.where("n > 1").select("code"), "code", "left_semi")
-        settled = refs.where(~open_).unionByName(refs.where(open_).join(counts.where("n = 1").select("code"), "code", "left_semi"))
-    elif emit == "suffix":
-        ambiguous, settled = refs, refs.where(F.lit(False))
+    refs = expand_refs(held.reads(), alphabet, width, layout, int_key)
+    none = refs.where(F.lit(False)).select("code", "ref")
+    if emit == "suffix":
+        ambiguous, settled = refs, none
     else:
-        ambiguous, settled = refs.where(open_), refs.where(~open_)
+        full, settled = (refs.where(F.col("slen") >= width), refs.where(F.col("slen") < width).select("code", "ref")) if short_rule else (refs, none)
+        ambiguous = full
+        if singleton_rule:
+            # one aggregation gives both the groups of one, with their reference, and the codes to look up; a hot code is one
+            # row a task before the shuffle, and its join is split by AQE
+            groups = full.groupBy("code").agg(F.count("*").alias("n"), F.min("ref").alias("ref"))
+            settled = settled.unionByName(groups.where("n = 1").select("code", "ref"))
+            ambiguous = full.join(groups.where("n > 1").select("code"), "code", "left_semi")
     fetched = fetch_tails(ambiguous, held, layout, skip, whole_reads)
     if whole_reads:
         fetched = fetched.withColumn("tail", F.substring(F.col("read"), layout.offset(F.col("ref")).cast("int") + 1 + skip, F.length("read"))).drop("read")
