@@ -5,7 +5,7 @@ bits whose vector has an odd product with v. Up to radius differing bits span le
 orthogonal to all of them, and the two fingerprints agree on that table's key: no pair within the radius is missed.
 
 Within a bucket links are exact. A small bucket is compared pair by pair. In a large one each fingerprint is
-sent to all points within radius / 2 flips of its free bits; those that meet at a point are within the radius of
+sent to all points within radius / 2 flips; those that meet at a point are within the radius of
 each other, so they are linked as a star. A point's group is bounded by the size of that ball, not by the data.
 
 Defined results: a text without words (null, empty, blank) has fingerprint zero and is linked like others; exact copies share
@@ -20,10 +20,10 @@ from itertools import accumulate, combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, slices, stored, utf8
+from .common import arrow_map, maybe_broadcast, slices, stored, utf8
 from .components import connected_components
 
 BITS = 64
@@ -57,6 +57,15 @@ def fingerprint(data: bytes, width: int = 3) -> int:
     return int.from_bytes(np.packbits(2 * counts > total).tobytes(), "big", signed=True)
 
 
+def word_fingerprint(data: bytes) -> int:
+    """Signed 64-bit SimHash of the distinct words: an edit flips fewer of its bits than of a shingle's."""
+    words, counts = list(set(data.lower().split())), np.zeros(BITS, np.int64)
+    for i in range(0, len(words), _SLICE):
+        hashes = np.frombuffer(b"".join([xxhash.xxh64_digest(x, SEED) for x in words[i : i + _SLICE]]), np.uint8).reshape(-1, 8)
+        counts += np.unpackbits(hashes, axis=1).sum(axis=0, dtype=np.int64)
+    return int.from_bytes(np.packbits(2 * counts > len(words)).tobytes(), "big", signed=True)
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3) -> DataFrame:
     """(doc_id, fp) of every row."""
 
@@ -67,10 +76,19 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def covering_masks(radius: int, seed: int = 7) -> list[int]:
-    """2^(radius+1) - 1 masks of BITS bits; for any set of radius positions one mask has none of them."""
-    vectors = list(range(1, 1 << radius + 1))
-    dealt = (vectors * (BITS // len(vectors) + 1))[:BITS]
-    random.Random(seed).shuffle(dealt)
+    """2^(radius+1) - 1 masks of BITS bits; for any set of radius positions one mask has none of them.
+
+    Where there are more vectors than bits, the vectors of odd first entry are dealt, so that no mask keeps few bits: at
+    radius 6 all keep 32, but for one that keeps all 64.
+    """
+    top = 1 << radius
+    vectors = list(range(1, 2 * top))
+    pool = vectors if len(vectors) <= BITS else [v | top for v in range(top)]
+    dealer = random.Random(seed)
+    if len(pool) > BITS:
+        dealer.shuffle(pool)
+    dealt = (pool * (BITS // len(pool) + 1))[:BITS]
+    dealer.shuffle(dealt)
     return [sum(1 << i for i, m in enumerate(dealt) if (m & v).bit_count() & 1) for v in vectors]
 
 
@@ -87,24 +105,29 @@ def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | No
     """
     if radius < 2 or radius % 2:
         raise ValueError("radius must be even and positive")
-    masks = covering_masks(radius)
-    keyed = fps.select("fp", F.explode(F.array(*(F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))).alias("x")).select("fp", "x.*")
-    sizes = keyed.groupBy("t", "key").agg(F.count("*").alias("n"), F.min("fp").alias("low")).where("n > 1")
-    members = stored(keyed.join(sizes, ["t", "key"]), "simhash-buckets")
+    # one number names a table and its key; two that share it only cause comparisons
+    keys = F.array(*(F.xxhash64(F.lit(t), F.col("fp").bitwiseAND(F.lit(_signed(m)))) for t, m in enumerate(covering_masks(radius))))
+    keyed = fps.select("fp", F.explode(keys).alias("key"))
+    # a bucket of two is known by its least and greatest, so only larger ones are met again
+    sizes = stored(keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("low"), F.max("fp").alias("high")).where("n > 1"), "simhash-buckets")
+    crowded = maybe_broadcast(sizes.where("n > 2").select("key", "n", "low"), 48)
+    members = stored(keyed.join(crowded, "key"), "simhash-members")
 
     close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= (reach or radius)
+    two = sizes.where((F.col("n") == 2) & close(F.col("low"), F.col("high"))).select(F.col("low").alias("a"), F.col("high").alias("b"))
     each = F.col("all")
     pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b > a) & close(a, b)), lambda b: F.struct(a.alias("a"), b.alias("b")))))
-    few = members.where(F.col("n") <= small).groupBy("t", "key").agg(F.collect_list("fp").alias("all")).select(F.explode(pairs).alias("e")).select("e.a", "e.b")
+    few = members.where(F.col("n") <= small).groupBy("key").agg(F.collect_list("fp").alias("all")).select(F.explode(pairs).alias("e")).select("e.a", "e.b")
 
-    flips = [[_signed(sum(c)) for k in range((1 if reach else radius // 2) + 1) for c in combinations([1 << i for i in range(BITS) if not m >> i & 1], k)] for m in masks]
-    ball: Column = F.element_at(F.array(*(F.array(*map(F.lit, f)) for f in flips)), F.col("t") + 1)
-    points = members.where(F.col("n") > small).select("fp", F.explode(ball).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("point"))
+    # two of a large bucket that differ in up to radius bits share a point, each within half of that; one ball serves all tables
+    ball = F.array(*(F.lit(_signed(sum(c))) for k in range((1 if reach else radius // 2) + 1) for c in combinations([1 << i for i in range(BITS)], k)))
+    crowd = members.where(F.col("n") > small)
+    points = crowd.select("fp").distinct().select("fp", F.explode(ball).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("point"))
     stars = points.groupBy("point").agg(F.collect_set("fp").alias("all")).where(F.size("all") > 1)
     many = stars.select(F.array_min("all").alias("a"), F.explode("all").alias("b")).where("a <> b")
     if reach:
-        many = many.union(members.where((F.col("n") > small) & (F.col("fp") != F.col("low"))).select(F.col("low").alias("a"), F.col("fp").alias("b")))
-    return few.union(many)
+        many = many.union(crowd.where(F.col("fp") != F.col("low")).select(F.col("low").alias("a"), F.col("fp").alias("b")))
+    return two.union(few).union(many)
 
 
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, radius: int = 2) -> DataFrame:
@@ -119,16 +142,16 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def shingle_sets(docs: DataFrame, key_col: str, text_col: str, width: int) -> DataFrame:
-    """(fp, shingles): the distinct shingle hashes of each text, sorted, as little-endian bytes."""
+    """(node, shingles): the distinct shingle hashes of each text, sorted, as little-endian bytes."""
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         sets = []
         for data in utf8(batch.column(1)):
             parts = [h.copy().view("<u8").ravel() for h in shingle_hashes(data, width)]
             sets.append(np.unique(np.concatenate(parts)).tobytes() if parts else b"")
-        return {"fp": batch.column(0).to_pylist(), "shingles": sets}
+        return {"node": batch.column(0).to_pylist(), "shingles": sets}
 
-    return arrow_map(docs.select(F.col(key_col).alias("fp"), F.col(text_col).alias("text")), rows, "fp long, shingles binary")
+    return arrow_map(docs.select(F.col(key_col).alias("node"), F.col(text_col).alias("text")), rows, "node long, shingles binary")
 
 
 def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -142,44 +165,49 @@ def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataF
             fine.append(common >= similarity * (len(x) + len(y) - common))
         return {"a": batch.column(0).to_pylist(), "b": batch.column(1).to_pylist(), "fine": fine}
 
-    with_a = edges.join(sets.select(F.col("fp").alias("a"), F.col("shingles").alias("sa")), "a")
-    both = with_a.join(sets.select(F.col("fp").alias("b"), F.col("shingles").alias("sb")), "b").select("a", "b", "sa", "sb")
+    with_a = edges.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("sa")), "a")
+    both = with_a.join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("sb")), "b").select("a", "b", "sa", "sb")
     return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, print_width: int = 3, radius: int = 4, reach: int = 14) -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, radius: int = 6, reach: int = 12) -> DataFrame:
     """docs, all columns, with one row of each group of near duplicates: the one of the smallest id.
 
-    Candidates are pairs of distinct fingerprints that meet in a table of the covering masks; those whose texts have the
-    given similarity on width-word shingles are linked. Rows of equal fingerprint are one node, represented by
-    its smallest id; copies are never paired with each other. Among rows of equal id and text one stays.
+    Rows of equal words are one node, named by the number of its least row; copies are never paired with each other.
+    Candidates are nodes whose word fingerprints meet in a table of the covering masks or are equal; they are linked if
+    their texts have the given similarity on width-word shingles. Where several nodes share a fingerprint, its least one
+    stands for it. Among rows of equal id and text one stays.
     """
     # a row's own number tells repeated rows apart; it is fixed by writing the rows
-    row, fp = "row", "fp"
-    prints = fingerprints_with_text(docs, id_col, text_col, print_width)
-    prints = stored(prints.withColumn(row, F.monotonically_increasing_id()), "near-prints")
-    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col(row).alias("row"))
-    nodes = stored(prints.groupBy(fp).agg(F.min(order).alias("least")), "near-nodes")
-    edges = stored(near_pairs(nodes.select(fp), radius, reach=reach).distinct(), "near-candidates")
-    ends = edges.select(F.explode(F.array("a", "b")).alias(fp)).distinct()
-    first = nodes.join(ends, fp).select("least.row", fp)
-    sets = stored(shingle_sets(prints.join(first, [row, fp]).select(fp, "text"), fp, "text", width), "near-shingles")
+    prints = fingerprints_with_text(docs, id_col, text_col)
+    prints = stored(prints.withColumn("row", F.monotonically_increasing_id()), "near-prints")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
+    nodes = stored(prints.groupBy("fp", "words").agg(F.min(order).alias("least")), "near-nodes")
+    heads = stored(nodes.groupBy("fp").agg(F.min("least").alias("head")).select("fp", "head.row"), "near-heads")
+    met = near_pairs(heads.select("fp"), radius, reach=reach).distinct()
+    apart = met.join(heads.select(F.col("fp").alias("a"), F.col("row").alias("x")), "a").join(heads.select(F.col("fp").alias("b"), F.col("row").alias("y")), "b")
+    alike = nodes.join(heads, "fp").where("least.row <> row")
+    edges = stored(apart.select(F.col("x").alias("a"), F.col("y").alias("b")).union(alike.select(F.col("row").alias("a"), F.col("least.row").alias("b"))), "near-candidates")
+    ends = edges.select(F.explode(F.array("a", "b")).alias("row")).distinct()
+    sets = stored(shingle_sets(prints.join(ends, "row").select("row", "text"), "row", "text", width), "near-shingles")
     roots = connected_components(similar_edges(edges, sets, similarity))
-    named = nodes.join(roots, nodes[fp] == roots["node"], "left").select("least", F.coalesce("root", fp).alias("root"))
-    chosen = named.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.row").alias(row))
-    return prints.join(chosen, row).select("kept.*")
+    named = nodes.join(roots, nodes["least.row"] == roots["node"], "left").select("least", F.coalesce("root", "least.row").alias("root"))
+    chosen = named.groupBy("root").agg(F.min("least").alias("least")).select("least.row")
+    return prints.join(chosen, "row").select("kept.*")
 
 
-def fingerprints_with_text(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
-    """(doc_id, text, fp, kept): kept is the whole row as a struct."""
+def fingerprints_with_text(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(doc_id, text, kept, fp, words): kept is the whole row as a struct, words a hash of the lower-cased words in order."""
     from pyspark.sql import types as T
 
     packed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("kept"))
-    schema = T.StructType([*packed.schema.fields, T.StructField("fp", T.LongType())])
+    schema = T.StructType([*packed.schema.fields, T.StructField("fp", T.LongType()), T.StructField("words", T.LongType())])
 
     def run(batches):
         for batch in slices(batches):
-            prints = pa.array([fingerprint(x, width) for x in utf8(batch.column(1))], pa.int64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, prints], names=[*batch.schema.names, "fp"])
+            texts = utf8(batch.column(1))
+            prints = pa.array([word_fingerprint(x) for x in texts], pa.int64())
+            words = pa.array([xxhash.xxh64_intdigest(b" ".join(x.lower().split())) for x in texts], pa.uint64()).view(pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns, prints, words], names=[*batch.schema.names, "fp", "words"])
 
     return packed.mapInArrow(run, schema)

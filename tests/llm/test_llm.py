@@ -269,6 +269,15 @@ def test_masks_cover_every_pair():
     assert len(masks) == 7 and all(any(not (m >> a & 1 or m >> b & 1) for m in masks) for a in range(64) for b in range(64))
 
 
+def test_masks_of_radius_six_keep_half_the_bits():
+    masks = simhash.covering_masks(6)
+    assert sorted({m.bit_count() for m in masks}) == [32, 64] and len(masks) == 127
+    rng = random.Random(9)
+    for _ in range(2000):
+        flipped = sum(1 << b for b in rng.sample(range(64), 6))
+        assert any(not m & flipped for m in masks)
+
+
 def test_components_and_fingerprints(spark):
     got = {(r["doc_id"], r["fp"], r["component_id"]) for r in simhash.near_components(docs(spark)).collect()}
     assert {(i, simhash._signed(brute_print(t))) for i, t in TEXTS} == {(i, fp) for i, fp, _ in got}
@@ -288,6 +297,24 @@ def test_keep_one(spark):
     assert sorted((r["doc_id"] is None, r["doc_id"] or 0) for r in simhash.keep_one(docs(spark)).collect()) == [(False, i) for i in (1, 2, 4, 5, 6)]
 
 
+def test_keep_one_finds_scattered_edits_and_tells_orders_apart(spark):
+    """Texts with 3 to 5 words of 200 changed (similarity 0.8 and more) go; the same words in another order stay."""
+    rng = random.Random(10)
+    vocabulary = ["w%d" % i for i in range(3000)]
+    rows, n = [], 60
+    for i in range(n):
+        words = [rng.choice(vocabulary) for _ in range(200)]
+        rows.append((i, " ".join(words)))
+        edited = list(words)
+        for at in rng.sample(range(0, 200, 10), 3 + i % 2):
+            edited[at] = "new%d" % at
+        rows.append((1000 + i, " ".join(edited)))
+        rows.append((2000 + i, " ".join(sorted(words))))
+    kept = {r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()}
+    assert {*range(n), *range(2000, 2000 + n)} <= kept
+    assert len(kept - {*range(n), *range(2000, 2000 + n)}) <= 1
+
+
 # --- 10
 def test_licenses(spark):
     rows = [*TEXTS, (30, "x Under The MIT License. under the mit license"), (31, "Licensed under the Apache License, Version-2.0; CC BY-NC 4.0"), (32, "SPDX-License-Identifier: GPL-3.0")]
