@@ -30,6 +30,8 @@ BITS = 64
 SEED = 42
 #: Shingles hashed and counted at a time: bounds the memory of a very long text.
 _SLICE = 1 << 16
+#: Fingerprints to a task where each is spread over the tables.
+_DEALT = 10_000
 
 
 def shingle_hashes(data: bytes, width: int):
@@ -78,7 +80,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def covering_masks(radius: int, seed: int = 7) -> list[int]:
     """2^(radius+1) - 1 masks of BITS bits; for any set of radius positions one mask has none of them.
 
-    Where there are more vectors than bits, the vectors of odd first entry are dealt, so that no mask keeps few bits: at
+    Where there are more vectors than bits, those of first entry one are dealt, so that no mask keeps few bits: at
     radius 6 all keep 32, but for one that keeps all 64.
     """
     top = 1 << radius
@@ -97,17 +99,19 @@ def _signed(x: int) -> int:
 
 
 def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | None = None) -> DataFrame:
-    """Edges (a, b) that connect distinct fingerprints fp within an even radius of each other.
+    """Edges (a, b) that connect distinct fingerprints fp within radius of each other; it is even unless there is a reach.
 
     With reach the edges are candidates for a check of texts to follow: pairs that meet in a small bucket count up to
     that distance; in a large bucket members are linked to its least one, and by one flip as for radius 2.
     Edges are links themselves; links left out are implied by a chain of edges, so components are exact.
     """
-    if radius < 2 or radius % 2:
+    if radius < 2 or radius % 2 and not reach:
         raise ValueError("radius must be even and positive")
     # one number names a table and its key; two that share it only cause comparisons
     keys = F.array(*(F.xxhash64(F.lit(t), F.col("fp").bitwiseAND(F.lit(_signed(m)))) for t, m in enumerate(covering_masks(radius))))
-    keyed = fps.select("fp", F.explode(keys).alias("key"))
+    # a task makes at most a few million keys, so that their aggregation stays in memory
+    dealt = fps.repartition(max(8, fps.count() // _DEALT + 1), "fp")
+    keyed = dealt.select("fp", F.explode(keys).alias("key"))
     # a bucket of two is known by its least and greatest, so only larger ones are met again
     sizes = stored(keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("low"), F.max("fp").alias("high")).where("n > 1"), "simhash-buckets")
     crowded = maybe_broadcast(sizes.where("n > 2").select("key", "n", "low"), 48)
@@ -170,7 +174,7 @@ def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, radius: int = 6, reach: int = 12) -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, radius: int = 5, reach: int = 12, small: int = 4) -> DataFrame:
     """docs, all columns, with one row of each group of near duplicates: the one of the smallest id.
 
     Rows of equal words are one node, named by the number of its least row; copies are never paired with each other.
@@ -184,7 +188,7 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
     nodes = stored(prints.groupBy("fp", "words").agg(F.min(order).alias("least")), "near-nodes")
     heads = stored(nodes.groupBy("fp").agg(F.min("least").alias("head")).select("fp", "head.row"), "near-heads")
-    met = near_pairs(heads.select("fp"), radius, reach=reach).distinct()
+    met = near_pairs(heads.select("fp"), radius, small, reach).distinct()
     apart = met.join(heads.select(F.col("fp").alias("a"), F.col("row").alias("x")), "a").join(heads.select(F.col("fp").alias("b"), F.col("row").alias("y")), "b")
     alike = nodes.join(heads, "fp").where("least.row <> row")
     edges = stored(apart.select(F.col("x").alias("a"), F.col("y").alias("b")).union(alike.select(F.col("row").alias("a"), F.col("least.row").alias("b"))), "near-candidates")
