@@ -17,12 +17,19 @@ from ..scratch import stored
 BROADCAST_BYTES = 256 << 20
 
 
+def weight_of(reads: DataFrame) -> int:
+    """Bytes of all reads with their numbers, about."""
+    return reads.agg(F.sum(F.octet_length("seq") + 16)).first()[0] or 0
+
+
 class ReadStore(Protocol):
     def reads(self) -> DataFrame: ...
 
+    def everywhere(self) -> bool: ...
+
 
 class ShuffleStore:
-    """Joined by number wherever the planner likes; the default."""
+    """Joined by number wherever the planner likes."""
 
     def __init__(self, reads: DataFrame):
         self._reads = reads
@@ -30,13 +37,23 @@ class ShuffleStore:
     def reads(self) -> DataFrame:
         return self._reads.hint("merge")
 
+    def everywhere(self) -> bool:
+        """Whether every executor holds all reads."""
+        return False
+
 
 class BroadcastStore(ShuffleStore):
     """Every executor holds all reads, if they are few enough; otherwise as ShuffleStore."""
 
+    def __init__(self, reads: DataFrame):
+        super().__init__(reads)
+        self._small = weight_of(reads) <= BROADCAST_BYTES
+
     def reads(self) -> DataFrame:
-        weight = self._reads.agg(F.sum(F.octet_length("seq") + 16)).first()[0] or 0
-        return F.broadcast(self._reads) if weight <= BROADCAST_BYTES else super().reads()
+        return F.broadcast(self._reads) if self._small else super().reads()
+
+    def everywhere(self) -> bool:
+        return self._small
 
 
 class PlacedStore(ShuffleStore):
@@ -46,7 +63,15 @@ class PlacedStore(ShuffleStore):
         super().__init__(stored(reads.repartition(instances, "read_id"), "reads"))
 
 
-STORES = {"shuffle": ShuffleStore, "broadcast": BroadcastStore, "placed": PlacedStore}
+class AutoStore(BroadcastStore):
+    """Reads written once, then on every executor if they are few enough, else joined by number; the constructions' default."""
+
+    def __init__(self, reads: DataFrame):
+        # expansion multiplies a file's reads about a hundredfold, so files stay small
+        super().__init__(stored(reads.repartition(max(16, weight_of(reads) // (32 << 20)), "read_id"), "reads"))
+
+
+STORES = {"auto": AutoStore, "shuffle": ShuffleStore, "broadcast": BroadcastStore, "placed": PlacedStore}
 
 
 def fetch_tails(refs: DataFrame, store: ReadStore, layout: RefLayout = RefLayout(), skip: int = 0, whole: bool = False) -> DataFrame:

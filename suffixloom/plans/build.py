@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.alphabet import DNA, prefix_key
@@ -34,13 +34,15 @@ def read_suffixes(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("ref long, suffix string").parquet(path)
 
 
-def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "placed", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout()) -> DataFrame:
+def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "auto", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout()) -> DataFrame:
     """(pos, ref[, suffix]): keys and references are shuffled, text is looked up only for groups that need it.
 
     A suffix shorter than the prefix is its prefix (short_rule), and a group of one is in order (singleton_rule): neither asks the
     store. For the others the tail behind the prefix is fetched. No group is ever gathered: partitions are sorted externally.
     """
     held = STORES[store](reads)
+    if emit == "ref" and singleton_rule and not (whole_reads or explicit_ranges):
+        return _in_one_exchange(expand_refs(held.reads(), alphabet, width, layout, int_key), held, width if short_rule else 0, parts, width if alphabet.whole_symbols else 0, layout)
     skip = width if emit != "suffix" and alphabet.whole_symbols else 0
     refs = expand_refs(held.reads(), alphabet, width, layout, int_key)
     none = refs.where(F.lit(False)).select("code", "ref")
@@ -68,6 +70,26 @@ def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_ke
     return with_positions(ordered.select("ref", F.col("tail").alias("suffix")) if emit == "suffix" else ordered.select("ref"), "indexed")
 
 
+def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, layout: RefLayout) -> DataFrame:
+    """(pos, ref): references are dealt to code ranges once, and groups are counted there, where they stand sorted.
+
+    With a store on every executor, tails are cut in place. Otherwise what is settled has its position at once, and only
+    groups that need text travel further: to the reads, and back to their group, whose first position they carry.
+    """
+    group = Window.partitionBy("code")
+    whole = group.orderBy("ref").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    counted = refs.repartitionByRange(parts, "code").withColumn("n", F.count("*").over(whole))
+    needs = (F.col("n") > 1) & (F.col("slen") >= least)
+    judged = counted.select("code", "ref", needs.alias("needs"))
+    if held.everywhere():
+        tails = fetch_tails(judged, held, layout, skip).withColumn("tail", F.when(F.col("needs"), F.col("tail")))
+        return with_positions(tails.sortWithinPartitions("code", "tail", "ref").select("ref"), "indexed")
+    placed = with_positions(judged, "indexed")
+    tails = fetch_tails(placed.where("needs"), held, layout, skip)
+    moved = F.min("pos").over(group) + F.row_number().over(group.orderBy("tail", "ref")) - 1
+    return placed.where("NOT needs").select("ref", "pos").unionByName(tails.select("ref", moved.alias("pos")))
+
+
 def refined_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, parts: int = 32, layout: RefLayout = RefLayout()) -> DataFrame:
     """(pos, ref) by lengthening prefixes only where groups share them; eight bytes a round and reference, never text."""
     paths, _ = refine_until_unique(reads, alphabet, width, layout)

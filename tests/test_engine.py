@@ -45,7 +45,7 @@ def words():
 
 @pytest.mark.parametrize(
     "options",
-    [{}, {"width": 3}, {"width": 13, "int_key": True}, {"short_rule": False, "singleton_rule": False}, {"whole_reads": True, "width": 4}, {"explicit_ranges": True, "parts": 5, "per_part": 20}, {"store": "broadcast"}, {"store": "shuffle", "parts": 2}],
+    [{}, {"width": 3}, {"width": 13, "int_key": True}, {"short_rule": False, "singleton_rule": False}, {"whole_reads": True, "width": 4}, {"explicit_ranges": True, "parts": 5, "per_part": 20}, {"store": "broadcast"}, {"store": "placed"}, {"store": "placed", "width": 3}, {"store": "shuffle", "parts": 2}],
 )
 def test_indexed_is_the_brute_order(spark, dna, options):
     assert order_of(build.indexed_suffix_array(frame(spark, dna), DNA, **({"width": 23, "parts": 4} | options))) == brute(dna)
