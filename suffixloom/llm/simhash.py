@@ -14,6 +14,7 @@ a fingerprint; rows with a null id get a fingerprint and component but are never
 
 from __future__ import annotations
 
+import math
 import random
 from itertools import accumulate, combinations
 
@@ -32,6 +33,10 @@ SEED = 42
 _SLICE = 1 << 16
 #: Fingerprints to a task where each is spread over the tables.
 _DEALT = 10_000
+#: Texts, about, whose shingles are counted to tell common ones.
+_SAMPLED = 16_384
+#: Nodes of a crowded bucket to a block.
+_BLOCK = 128
 
 
 def shingle_hashes(data: bytes, width: int):
@@ -59,15 +64,6 @@ def fingerprint(data: bytes, width: int = 3) -> int:
     return int.from_bytes(np.packbits(2 * counts > total).tobytes(), "big", signed=True)
 
 
-def word_fingerprint(data: bytes) -> int:
-    """Signed 64-bit SimHash of the distinct words: an edit flips fewer of its bits than of a shingle's."""
-    words, counts = list(set(data.lower().split())), np.zeros(BITS, np.int64)
-    for i in range(0, len(words), _SLICE):
-        hashes = np.frombuffer(b"".join([xxhash.xxh64_digest(x, SEED) for x in words[i : i + _SLICE]]), np.uint8).reshape(-1, 8)
-        counts += np.unpackbits(hashes, axis=1).sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * counts > len(words)).tobytes(), "big", signed=True)
-
-
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3) -> DataFrame:
     """(doc_id, fp) of every row."""
 
@@ -145,14 +141,19 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
 
 
+def shingle_set(data: bytes, width: int) -> np.ndarray:
+    """The distinct shingle hashes of a text, sorted."""
+    parts = [h.copy().view("<u8").ravel() for h in shingle_hashes(data, width)]
+    return np.unique(np.concatenate(parts)) if parts else np.empty(0, "<u8")
+
+
 def shingle_sets(docs: DataFrame, key_col: str, text_col: str, width: int) -> DataFrame:
     """(node, shingles): the distinct shingle hashes of each text, sorted, as little-endian bytes."""
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         sets = []
         for data in utf8(batch.column(1)):
-            parts = [h.copy().view("<u8").ravel() for h in shingle_hashes(data, width)]
-            sets.append(np.unique(np.concatenate(parts)).tobytes() if parts else b"")
+            sets.append(shingle_set(data, width).tobytes())
         return {"node": batch.column(0).to_pylist(), "shingles": sets}
 
     return arrow_map(docs.select(F.col(key_col).alias("node"), F.col(text_col).alias("text")), rows, "node long, shingles binary")
@@ -174,44 +175,116 @@ def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, radius: int = 5, reach: int = 12, small: int = 4) -> DataFrame:
+def shingle_tokens(texts: DataFrame, width: int, pick) -> DataFrame:
+    """(token, node): pick is given the sorted distinct shingle hashes of each text (node, text) and returns those that stay."""
+
+    def run(batches):
+        for batch in slices(batches, 256):
+            chosen = [pick(shingle_set(x, width)) for x in utf8(batch.column(1))]
+            nodes = np.repeat(batch.column(0).to_numpy(), [len(x) for x in chosen])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(chosen).view(np.int64)), pa.array(nodes)], names=["token", "node"])
+
+    return texts.mapInArrow(run, "token long, node long")
+
+
+def common_shingles(texts: DataFrame, width: int, most: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
+    """The shingles of more than three of the texts, the most frequent if there are many, sorted, and their counts."""
+    counts = shingle_tokens(texts, width, lambda s: s).groupBy("token").count().where("count > 3").orderBy(F.desc("count"), "token").limit(most).collect()
+    tokens, n = np.array([r[0] for r in counts], np.int64).view(np.uint64), np.array([r[1] for r in counts], np.int64)
+    order = np.argsort(tokens)
+    return tokens[order], n[order]
+
+
+def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """The first shingles in one order of all shingles, rare before common, that any set of that similarity shares one of.
+
+    Sets of that Jaccard similarity share at least similarity * n of the n shingles of either, so the first n - similarity * n + 1
+    of both meet, whatever the order is; it only decides how often others meet.
+    """
+    if not len(shingles):
+        return shingles
+    weight = np.zeros(len(shingles), np.int64)
+    if len(common):
+        at = np.minimum(np.searchsorted(common, shingles), len(common) - 1)
+        weight = np.where(common[at] == shingles, counts[at], 0)
+    must_share = math.ceil(similarity * len(shingles) - 1e-9)
+    return shingles[np.lexsort((shingles, weight))[: len(shingles) - must_share + 1]]
+
+
+def similar_links(tokens: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
+    """Edges (a, b) between nodes of tokens (token, node) whose texts are similar, enough of them for exact components.
+
+    Nodes that share a token are a bucket. Each is first compared with one member, another one for each token. Where a
+    bucket's nodes are then in several components, every two of different components are compared, in blocks.
+    """
+
+    def checked(edges: DataFrame) -> DataFrame:
+        ends = stored(edges.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "near-ends")
+        sets = stored(shingle_sets(texts.join(maybe_broadcast(ends, 16), "node").select("node", "text"), "node", "text", width), "near-shingles")
+        return stored(similar_edges(edges, sets, similarity), "near-links")
+
+    # the exclusive or with the token deals the first comparisons to different members
+    mixed = F.col("node").bitwiseXOR(F.col("token"))
+    least, most = F.min(mixed).bitwiseXOR(F.col("token")), F.max(mixed).bitwiseXOR(F.col("token"))
+    sizes = stored(tokens.groupBy("token").agg(F.count("*").alias("n"), least.alias("low"), most.alias("high")).where("n > 1"), "near-buckets")
+    two = sizes.where("n = 2").select(F.least("low", "high").alias("a"), F.greatest("low", "high").alias("b"))
+    members = stored(tokens.join(maybe_broadcast(sizes.where("n > 2").select("token", "n", "low"), 48), "token"), "near-members")
+    star = members.where("node <> low").select(F.least("node", "low").alias("a"), F.greatest("node", "low").alias("b"))
+    links = checked(stored(two.union(star).distinct(), "near-candidates"))
+
+    roots = connected_components(links)
+    named = members.join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left").select("token", "n", "low", "node", F.coalesce("root", "node").alias("root"))
+    named = stored(named, "near-named")
+    mixed_up = named.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("token")
+    # the member that the others were compared with is done
+    rest = named.join(maybe_broadcast(stored(mixed_up, "near-unsettled"), 16), "token", "left_semi").where("node <> low")
+    # a pair meets where the blocks of both do; a block pair has some 2 * _BLOCK nodes, however large the bucket is
+    blocks = F.ceil(F.col("n") / _BLOCK).cast("int")
+    own = rest.withColumns({"blocks": blocks, "block": F.pmod(F.xxhash64("node"), blocks).cast("int")})
+    dealt = own.select("token", "node", "root", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    met = dealt.groupBy("token", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j")).agg(F.collect_list(F.struct("node", "root")).alias("all"))
+    each = F.col("all")
+    pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b["node"] > a["node"]) & (b["root"] != a["root"])), lambda b: F.struct(a["node"].alias("a"), b["node"].alias("b")))))
+    left = stored(met.select(F.explode(pairs).alias("e")).select("e.a", "e.b").distinct(), "near-left")
+    return links.union(checked(left))
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8) -> DataFrame:
     """docs, all columns, with one row of each group of near duplicates: the one of the smallest id.
 
     Rows of equal words are one node, named by the number of its least row; copies are never paired with each other.
-    Candidates are nodes whose word fingerprints meet in a table of the covering masks or are equal; they are linked if
-    their texts have the given similarity on width-word shingles. Where several nodes share a fingerprint, its least one
-    stands for it. Among rows of equal id and text one stays.
+    Nodes are linked if their texts have the given Jaccard similarity on width-word shingles; every such pair is a
+    candidate, as their prefixes share a shingle. Among rows of equal id and text one stays.
     """
     # a row's own number tells repeated rows apart; it is fixed by writing the rows
-    prints = fingerprints_with_text(docs, id_col, text_col)
-    prints = stored(prints.withColumn("row", F.monotonically_increasing_id()), "near-prints")
+    prints = stored(numbered_rows(docs, id_col, text_col).withColumn("row", F.monotonically_increasing_id()), "near-prints")
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
-    nodes = stored(prints.groupBy("fp", "words").agg(F.min(order).alias("least")), "near-nodes")
-    heads = stored(nodes.groupBy("fp").agg(F.min("least").alias("head")).select("fp", "head.row"), "near-heads")
-    met = near_pairs(heads.select("fp"), radius, small, reach).distinct()
-    apart = met.join(heads.select(F.col("fp").alias("a"), F.col("row").alias("x")), "a").join(heads.select(F.col("fp").alias("b"), F.col("row").alias("y")), "b")
-    alike = nodes.join(heads, "fp").where("least.row <> row")
-    edges = stored(apart.select(F.col("x").alias("a"), F.col("y").alias("b")).union(alike.select(F.col("row").alias("a"), F.col("least.row").alias("b"))), "near-candidates")
-    ends = edges.select(F.explode(F.array("a", "b")).alias("row")).distinct()
-    sets = stored(shingle_sets(prints.join(ends, "row").select("row", "text"), "row", "text", width), "near-shingles")
-    roots = connected_components(similar_edges(edges, sets, similarity))
+    nodes = stored(prints.groupBy("words").agg(F.count("*").alias("n"), F.min(order).alias("least")), "near-nodes")
+    heads = nodes.select(F.col("least.row").alias("row"))
+    # copies are the fewer rows: they are taken out rather than the others joined
+    copies = stored(prints.select("row", "words").join(nodes.where("n > 1").select("words", "least"), "words").where("row <> least.row").select("row"), "near-copies")
+    texts = prints.join(maybe_broadcast(copies, 16), "row", "left_anti").select(F.col("row").alias("node"), F.col(f"kept.`{text_col}`").cast("string").alias("text"), "words")
+    share = -(-_SAMPLED * 4096 // max(1, nodes.count()))
+    common, counts = common_shingles(texts.where(F.pmod("words", F.lit(4096)) < share).select("node", "text"), width)
+    texts = texts.select("node", "text")
+    tokens = stored(shingle_tokens(texts, width, lambda s: prefix(s, similarity, common, counts)), "near-tokens")
+    roots = connected_components(similar_links(tokens, texts, width, similarity))
     named = nodes.join(roots, nodes["least.row"] == roots["node"], "left").select("least", F.coalesce("root", "least.row").alias("root"))
     chosen = named.groupBy("root").agg(F.min("least").alias("least")).select("least.row")
-    return prints.join(chosen, "row").select("kept.*")
+    gone = stored(heads.join(chosen, "row", "left_anti").union(copies), "near-gone")
+    return prints.join(maybe_broadcast(gone, 16), "row", "left_anti").select("kept.*")
 
 
-def fingerprints_with_text(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, text, kept, fp, words): kept is the whole row as a struct, words a hash of the lower-cased words in order."""
+def numbered_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(doc_id, kept, words): kept is the whole row as a struct, words a hash of the lower-cased words in order."""
     from pyspark.sql import types as T
 
-    packed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("kept"))
-    schema = T.StructType([*packed.schema.fields, T.StructField("fp", T.LongType()), T.StructField("words", T.LongType())])
+    packed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("kept"), F.col(text_col).cast("string").alias("text"))
+    schema = T.StructType([*packed.schema.fields[:2], T.StructField("words", T.LongType())])
 
     def run(batches):
         for batch in slices(batches):
-            texts = utf8(batch.column(1))
-            prints = pa.array([word_fingerprint(x) for x in texts], pa.int64())
-            words = pa.array([xxhash.xxh64_intdigest(b" ".join(x.lower().split())) for x in texts], pa.uint64()).view(pa.int64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, prints, words], names=[*batch.schema.names, "fp", "words"])
+            words = pa.array([xxhash.xxh64_intdigest(b" ".join(x.lower().split())) for x in utf8(batch.column(2))], pa.uint64()).view(pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], words], names=[*batch.schema.names[:2], "words"])
 
     return packed.mapInArrow(run, schema)
