@@ -33,8 +33,8 @@ SEED = 42
 _SLICE = 1 << 16
 #: Fingerprints to a task where each is spread over the tables.
 _DEALT = 10_000
-#: Texts, about, whose shingles are counted to tell common ones.
-_SAMPLED = 16_384
+#: Shingles that a task holds at a time, and texts whose prefixes meet in one.
+_HELD, _MET = 1 << 21, 5_000
 #: Nodes of a crowded bucket to a block.
 _BLOCK = 128
 
@@ -175,24 +175,71 @@ def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
-def shingle_tokens(texts: DataFrame, width: int, pick) -> DataFrame:
-    """(token, node): pick is given the sorted distinct shingle hashes of each text (node, text) and returns those that stay."""
+def common_shingles(texts: DataFrame, width: int, most: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
+    """The shingles that some task finds in more than two texts (node, text), the most frequent if there are many, sorted, and their counts."""
 
     def run(batches):
+        held, size = [], 0
         for batch in slices(batches, 256):
-            chosen = [pick(shingle_set(x, width)) for x in utf8(batch.column(1))]
-            nodes = np.repeat(batch.column(0).to_numpy(), [len(x) for x in chosen])
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(chosen).view(np.int64)), pa.array(nodes)], names=["token", "node"])
+            held += [shingle_set(x, width) for x in utf8(batch.column(1))]
+            size += sum(map(len, held[-batch.num_rows :]))
+            if size > _HELD:
+                yield counted(held)
+                held, size = [], 0
+        if held:
+            yield counted(held)
+
+    def counted(held):
+        tokens, n = np.unique(np.concatenate(held), return_counts=True)
+        return pa.RecordBatch.from_arrays([pa.array(tokens[n > 2].view(np.int64)), pa.array(n[n > 2])], names=["token", "n"])
+
+    found = texts.mapInArrow(run, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "token").limit(most).collect()
+    tokens, n = np.array([r[0] for r in found], np.int64).view(np.uint64), np.array([r[1] for r in found], np.int64)
+    order = np.argsort(tokens)
+    return tokens[order], n[order]
 
-    return texts.mapInArrow(run, "token long, node long")
 
+def shared_tokens(texts: DataFrame, width: int, pick, parts: int) -> DataFrame:
+    """(token, n, low, node): the n > 1 nodes of each token that pick keeps of the shingles of texts (node, text); low is one of them.
 
-def common_shingles(texts: DataFrame, width: int, most: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
-    """The shingles of more than three of the texts, the most frequent if there are many, sorted, and their counts."""
-    counts = shingle_tokens(texts, width, lambda s: s).groupBy("token").count().where("count > 3").orderBy(F.desc("count"), "token").limit(most).collect()
-    tokens, n = np.array([r[0] for r in counts], np.int64).view(np.uint64), np.array([r[1] for r in counts], np.int64)
-    order = np.argsort(tokens)
-    return tokens[order], n[order]
+    Tokens travel packed, sixteen bytes to each with its node, dealt by hash; those of one node end in the task that reads them.
+    """
+    kinds = 4 * parts
+
+    def pack(batches):
+        held, nodes, size = [], [], 0
+        for batch in slices(batches, 256):
+            held += [pick(shingle_set(x, width)) for x in utf8(batch.column(1))]
+            nodes += batch.column(0).to_pylist()
+            size += sum(map(len, held[-batch.num_rows :]))
+            if size > _HELD:
+                yield packed(held, nodes)
+                held, nodes, size = [], [], 0
+        if held:
+            yield packed(held, nodes)
+
+    def packed(held, nodes):
+        tokens = np.concatenate(held)
+        both = np.stack([tokens.view(np.int64), np.repeat(np.array(nodes, np.int64), [len(x) for x in held])], axis=1)
+        kind = (tokens % np.uint64(kinds)).astype(np.int32)
+        order = np.argsort(kind, kind="stable")
+        found, starts = np.unique(kind[order], return_index=True)
+        return pa.RecordBatch.from_arrays([pa.array(found), pa.array([x.tobytes() for x in np.split(both[order], starts[1:])] if len(found) else [], pa.binary())], names=["kind", "pairs"])
+
+    def meet(batches):
+        blobs = [x for batch in batches for x in batch.column(1).to_pylist()]
+        if not blobs:
+            return
+        token, node = np.frombuffer(b"".join(blobs), np.int64).reshape(-1, 2).T
+        # the exclusive or deals the first place to another node for each token
+        order = np.lexsort((token ^ node, token))
+        token, node = token[order], node[order]
+        _, starts, n = np.unique(token, return_index=True, return_counts=True)
+        low, n = np.repeat(node[starts], n), np.repeat(n, n)
+        for at in np.array_split(np.flatnonzero(n > 1), len(token) // 100_000 + 1):
+            yield pa.RecordBatch.from_arrays([pa.array(x[at]) for x in (token, n, low, node)], names=["token", "n", "low", "node"])
+
+    return texts.mapInArrow(pack, "kind int, pairs binary").repartition(parts, "kind").mapInArrow(meet, "token long, n long, low long, node long")
 
 
 def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -211,11 +258,11 @@ def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts:
     return shingles[np.lexsort((shingles, weight))[: len(shingles) - must_share + 1]]
 
 
-def similar_links(tokens: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
-    """Edges (a, b) between nodes of tokens (token, node) whose texts are similar, enough of them for exact components.
+def similar_links(members: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
+    """Edges (a, b) between nodes of members (token, n, low, node) whose texts are similar, enough of them for exact components.
 
-    Nodes that share a token are a bucket. Each is first compared with one member, another one for each token. Where a
-    bucket's nodes are then in several components, every two of different components are compared, in blocks.
+    Nodes that share a token are a bucket. Each is first compared with the bucket's low, another one for each token. Where
+    a bucket's nodes are then in several components, every two of different components are compared, in blocks.
     """
 
     def checked(edges: DataFrame) -> DataFrame:
@@ -223,17 +270,11 @@ def similar_links(tokens: DataFrame, texts: DataFrame, width: int, similarity: f
         sets = stored(shingle_sets(texts.join(maybe_broadcast(ends, 16), "node").select("node", "text"), "node", "text", width), "near-shingles")
         return stored(similar_edges(edges, sets, similarity), "near-links")
 
-    # the exclusive or with the token deals the first comparisons to different members
-    mixed = F.col("node").bitwiseXOR(F.col("token"))
-    least, most = F.min(mixed).bitwiseXOR(F.col("token")), F.max(mixed).bitwiseXOR(F.col("token"))
-    sizes = stored(tokens.groupBy("token").agg(F.count("*").alias("n"), least.alias("low"), most.alias("high")).where("n > 1"), "near-buckets")
-    two = sizes.where("n = 2").select(F.least("low", "high").alias("a"), F.greatest("low", "high").alias("b"))
-    members = stored(tokens.join(maybe_broadcast(sizes.where("n > 2").select("token", "n", "low"), 48), "token"), "near-members")
     star = members.where("node <> low").select(F.least("node", "low").alias("a"), F.greatest("node", "low").alias("b"))
-    links = checked(stored(two.union(star).distinct(), "near-candidates"))
+    links = checked(stored(star.distinct(), "near-candidates"))
 
     roots = connected_components(links)
-    named = members.join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left").select("token", "n", "low", "node", F.coalesce("root", "node").alias("root"))
+    named = members.where("n > 2").join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left").select("token", "n", "low", "node", F.coalesce("root", "node").alias("root"))
     named = stored(named, "near-named")
     mixed_up = named.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("token")
     # the member that the others were compared with is done
@@ -263,12 +304,10 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
     heads = nodes.select(F.col("least.row").alias("row"))
     # copies are the fewer rows: they are taken out rather than the others joined
     copies = stored(prints.select("row", "words").join(nodes.where("n > 1").select("words", "least"), "words").where("row <> least.row").select("row"), "near-copies")
-    texts = prints.join(maybe_broadcast(copies, 16), "row", "left_anti").select(F.col("row").alias("node"), F.col(f"kept.`{text_col}`").cast("string").alias("text"), "words")
-    share = -(-_SAMPLED * 4096 // max(1, nodes.count()))
-    common, counts = common_shingles(texts.where(F.pmod("words", F.lit(4096)) < share).select("node", "text"), width)
-    texts = texts.select("node", "text")
-    tokens = stored(shingle_tokens(texts, width, lambda s: prefix(s, similarity, common, counts)), "near-tokens")
-    roots = connected_components(similar_links(tokens, texts, width, similarity))
+    texts = prints.join(maybe_broadcast(copies, 16), "row", "left_anti").select(F.col("row").alias("node"), F.col(f"kept.`{text_col}`").cast("string").alias("text"))
+    common, counts = common_shingles(texts, width)
+    members = stored(shared_tokens(texts, width, lambda s: prefix(s, similarity, common, counts), max(8, nodes.count() // _MET + 1)), "near-members")
+    roots = connected_components(similar_links(members, texts, width, similarity))
     named = nodes.join(roots, nodes["least.row"] == roots["node"], "left").select("least", F.coalesce("root", "least.row").alias("root"))
     chosen = named.groupBy("root").agg(F.min("least").alias("least")).select("least.row")
     gone = stored(heads.join(chosen, "row", "left_anti").union(copies), "near-gone")
