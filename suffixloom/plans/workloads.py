@@ -535,6 +535,24 @@ for _op, _word, _call in (("union", "UNION", lambda a, b: a.union(b).distinct())
         return call(*(heads.where(F.col("lang") == x).select("gram").distinct() for x in ("en", "de")))
 
 
+def _lang_grams_sql(lang: str) -> str:
+    return f"SELECT DISTINCT substr(suffix, 1, 12) AS gram FROM ({suffix_sql('dna')}) JOIN documents ON doc_id = read_id // 1000 WHERE lang = '{lang}' AND length(suffix) >= 12"
+
+
+for _op, _word, _call in (("union", "UNION", lambda a, b: a.union(b).distinct()), ("intersect", "INTERSECT", lambda a, b: a.intersect(b)), ("except", "EXCEPT", lambda a, b: a.subtract(b))):
+
+    @query(f"op_set_{_op}_suffixes", f"{_lang_grams_sql('en')} {_word} {_lang_grams_sql('de')}")
+    def _(s, d, call=_call):
+        """As op_set_*, over every suffix of the reads rather than the head of each document."""
+
+        def grams(lang):
+            reads = src.dna_reads(table(s, d, "documents").where(F.col("lang") == lang), "doc_id", "text").where(F.length("seq") >= 12)
+            at = F.transform(F.sequence(F.lit(1), F.length("seq") - 11), lambda i: F.substring("seq", i, 12))
+            return reads.select(F.explode(F.array_distinct(at)).alias("gram")).distinct()
+
+        return call(grams("en"), grams("de"))
+
+
 @query("op_string_funcs", f"SELECT read_id, reverse(seq) AS rev, translate(reverse(seq), 'ACGT', 'TGCA') AS comp FROM ({VIEW_SQL['rnd']})")
 def _(s, d):
     return view(s, d, "rnd").select("read_id", F.reverse("seq").alias("rev"), F.translate(F.reverse("seq"), "ACGT", "TGCA").alias("comp"))

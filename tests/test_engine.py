@@ -171,3 +171,20 @@ def test_read_files(spark, tmp_path):
     assert sorted(r["seq"] for r in src.load_reads(spark, str(tmp_path / "a.fa"), "fasta").collect()) == ["ACGTAC", "GG"]
     (tmp_path / "a.txt").write_text("1\tACGT\n2\tGG\n")
     assert [tuple(r) for r in src.load_reads(spark, str(tmp_path / "a.txt"), "text").collect()] == [(1, "ACGT"), (2, "GG")]
+
+
+def test_set_queries_read_whole_documents(spark):
+    """Grams of every suffix of a read, by hand; the heads alone are only a part of them."""
+    import re
+
+    from suffixloom.plans.workloads import QUERIES
+
+    sf, grams = "/root/testdata/sf0.001", {"en": set(), "de": set()}
+    for r in spark.read.parquet(f"{sf}/documents.parquet").where("lang IN ('en', 'de')").collect():
+        dna = re.sub("[^A-Za-z]", "", r["text"] or "").lower().translate(str.maketrans("abcdefghijklmnopqrstuvwxyz", ("ACGT" * 7)[:26]))
+        reads = [dna[i : i + 200] for i in range(0, len(dna), 200)]
+        grams[r["lang"]] |= {x[i : i + 12] for x in reads for i in range(len(x) - 11)}
+    en, de = grams["en"], grams["de"]
+    for op, want in (("union", en | de), ("intersect", en & de), ("except", en - de)):
+        got = [r["gram"] for r in QUERIES[f"op_set_{op}_suffixes"](spark, sf).collect()]
+        assert len(got) == len(set(got)) and set(got) == want, op
