@@ -35,6 +35,8 @@ _SLICE = 1 << 16
 _DEALT = 10_000
 #: Shingles that a task holds at a time, and texts whose prefixes meet in one.
 _HELD, _MET = 1 << 21, 5_000
+#: Bits of a sketch.
+_SKETCH = 2048
 #: Nodes of a crowded bucket to a block.
 _BLOCK = 128
 
@@ -175,6 +177,40 @@ def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
+def sketches(texts: DataFrame, width: int) -> DataFrame:
+    """(node, size, bits): how many distinct shingles a text (node, text) has, and a bit for each of their hashes."""
+
+    def rows(batch: pa.RecordBatch) -> dict[str, list]:
+        sizes, bits = [], []
+        for data in utf8(batch.column(1)):
+            shingles, own = shingle_set(data, width), np.zeros(_SKETCH, np.uint8)
+            own[shingles % np.uint64(_SKETCH)] = 1
+            sizes.append(len(shingles))
+            bits.append(np.packbits(own).tobytes())
+        return {"node": batch.column(0).to_pylist(), "size": sizes, "bits": bits}
+
+    return arrow_map(texts.select("node", "text"), rows, "node long, size long, bits binary")
+
+
+def possible_edges(edges: DataFrame, drawn: DataFrame, similarity: float) -> DataFrame:
+    """The edges without those that sizes or sketches show to be less similar; no similar pair goes.
+
+    Each bit in which two sketches differ stands for a shingle that only one text has, of which similar texts have
+    at most (1 - similarity) / (1 + similarity) of their sizes' sum.
+    """
+
+    def rows(batch: pa.RecordBatch) -> dict[str, list]:
+        a, b, m, n, x, y = (c.to_pylist() for c in batch.columns)
+        apart = [(int.from_bytes(p) ^ int.from_bytes(q)).bit_count() for p, q in zip(x, y)]
+        most = (1 - similarity) / (1 + similarity)
+        fine = [min(i, j) >= similarity * max(i, j) - 1e-6 and d <= most * (i + j) + 1e-6 for i, j, d in zip(m, n, apart)]
+        return {"a": a, "b": b, "fine": fine}
+
+    with_a = edges.join(drawn.select(F.col("node").alias("a"), F.col("size").alias("m"), F.col("bits").alias("x")), "a")
+    both = with_a.join(drawn.select(F.col("node").alias("b"), F.col("size").alias("n"), F.col("bits").alias("y")), "b").select("a", "b", "m", "n", "x", "y")
+    return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
+
+
 def common_shingles(texts: DataFrame, width: int, most: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
     """The shingles that some task finds in more than two texts (node, text), the most frequent if there are many, sorted, and their counts."""
 
@@ -265,10 +301,15 @@ def similar_links(members: DataFrame, texts: DataFrame, width: int, similarity:
     a bucket's nodes are then in several components, every two of different components are compared, in blocks.
     """
 
-    def checked(edges: DataFrame) -> DataFrame:
+    def of_ends(edges: DataFrame) -> DataFrame:
         ends = stored(edges.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "near-ends")
-        sets = stored(shingle_sets(texts.join(maybe_broadcast(ends, 16), "node").select("node", "text"), "node", "text", width), "near-shingles")
-        return stored(similar_edges(edges, sets, similarity), "near-links")
+        return texts.join(maybe_broadcast(ends, 16), "node").select("node", "text")
+
+    def checked(edges: DataFrame) -> DataFrame:
+        # whole sets are long, so only what small sketches leave is compared by them
+        left = stored(possible_edges(edges, stored(sketches(of_ends(edges), width), "near-sketches"), similarity), "near-possible")
+        sets = stored(shingle_sets(of_ends(left), "node", "text", width), "near-shingles")
+        return stored(similar_edges(left, sets, similarity), "near-links")
 
     star = members.where("node <> low").select(F.least("node", "low").alias("a"), F.greatest("node", "low").alias("b"))
     links = checked(stored(star.distinct(), "near-candidates"))
