@@ -345,6 +345,19 @@ def test_keep_one_finds_every_pair_of_the_similarity(spark):
     assert sorted(r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()) == brute_keep(rows)
 
 
+def test_keep_one_in_a_crowd_and_among_equal_fingerprints(spark):
+    """Copies of one text that are alike in chains, in buckets of many; two near copies of which one has another text's words in another order."""
+    rng = random.Random(14)
+    base, rows = ["w%d" % rng.randrange(3000) for _ in range(300)], []
+    for i in range(60):
+        rows.append((i, " ".join("e%d_%d" % (i, k) if k in set(rng.sample(range(300), 5)) and rng.random() < 0.9 else w for k, w in enumerate(base))))
+    words = ["v%d" % k for k in range(200)]
+    rows += [(500, " ".join(words)), (501, " ".join(reversed(words))), (502, " ".join(["other", *list(reversed(words))[1:]]))]
+    want = brute_keep(rows)
+    assert 500 in want and 501 in want and 502 not in want
+    assert sorted(r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()) == want
+
+
 def test_prefixes_meet_at_the_limit_in_any_order():
     rng = np.random.default_rng(13)
     for n in range(1, 120):
