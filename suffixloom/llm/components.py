@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 
 
 def _state(edges: DataFrame):
@@ -31,7 +31,8 @@ def connected_components(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
         # every node and its smaller neighbours move to the least of those
         smallest = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(smallest, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").union(smallest.select("a", F.col("m").alias("b")))
-        now = stored(small.distinct(), "edges-small")
+        last, now = now, stored(small.distinct(), "edges-small")
+        discard(last, large)
         after = _state(now)
         if after == before:
             break

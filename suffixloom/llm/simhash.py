@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, maybe_broadcast, slices, stored, utf8
+from .common import arrow_map, discard, maybe_broadcast, slices, stored, utf8
 from .components import connected_components
 
 BITS = 64
@@ -37,8 +37,10 @@ _DEALT = 10_000
 _HELD, _MET = 1 << 21, 5_000
 #: Bits of a sketch.
 _SKETCH = 2048
-#: Nodes of a crowded bucket to a block.
-_BLOCK = 128
+#: Nodes of a crowded bucket to a block, and of a small bucket at most.
+_BLOCK, _FEW = 512, 16
+#: Words whose hashes a worker remembers, and texts with a shingle beyond which it is dealt to all tasks.
+_WORDS, _HOT = 1 << 17, 1 << 16
 
 
 def shingle_hashes(data: bytes, width: int):
@@ -96,14 +98,12 @@ def _signed(x: int) -> int:
     return x - (1 << BITS) if x >> BITS - 1 else x
 
 
-def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | None = None) -> DataFrame:
-    """Edges (a, b) that connect distinct fingerprints fp within radius of each other; it is even unless there is a reach.
+def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16) -> DataFrame:
+    """Edges (a, b) that connect distinct fingerprints fp within radius of each other; it is even.
 
-    With reach the edges are candidates for a check of texts to follow: pairs that meet in a small bucket count up to
-    that distance; in a large bucket members are linked to its least one, and by one flip as for radius 2.
     Edges are links themselves; links left out are implied by a chain of edges, so components are exact.
     """
-    if radius < 2 or radius % 2 and not reach:
+    if radius < 2 or radius % 2:
         raise ValueError("radius must be even and positive")
     # one number names a table and its key; two that share it only cause comparisons
     keys = F.array(*(F.xxhash64(F.lit(t), F.col("fp").bitwiseAND(F.lit(_signed(m)))) for t, m in enumerate(covering_masks(radius))))
@@ -112,23 +112,21 @@ def near_pairs(fps: DataFrame, radius: int = 2, small: int = 16, reach: int | No
     keyed = dealt.select("fp", F.explode(keys).alias("key"))
     # a bucket of two is known by its least and greatest, so only larger ones are met again
     sizes = stored(keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("low"), F.max("fp").alias("high")).where("n > 1"), "simhash-buckets")
-    crowded = maybe_broadcast(sizes.where("n > 2").select("key", "n", "low"), 48)
+    crowded = maybe_broadcast(sizes.where("n > 2").select("key", "n"), 48)
     members = stored(keyed.join(crowded, "key"), "simhash-members")
 
-    close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= (reach or radius)
+    close = lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= radius
     two = sizes.where((F.col("n") == 2) & close(F.col("low"), F.col("high"))).select(F.col("low").alias("a"), F.col("high").alias("b"))
     each = F.col("all")
     pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b > a) & close(a, b)), lambda b: F.struct(a.alias("a"), b.alias("b")))))
     few = members.where(F.col("n") <= small).groupBy("key").agg(F.collect_list("fp").alias("all")).select(F.explode(pairs).alias("e")).select("e.a", "e.b")
 
     # two of a large bucket that differ in up to radius bits share a point, each within half of that; one ball serves all tables
-    ball = F.array(*(F.lit(_signed(sum(c))) for k in range((1 if reach else radius // 2) + 1) for c in combinations([1 << i for i in range(BITS)], k)))
+    ball = F.array(*(F.lit(_signed(sum(c))) for k in range(radius // 2 + 1) for c in combinations([1 << i for i in range(BITS)], k)))
     crowd = members.where(F.col("n") > small)
     points = crowd.select("fp").distinct().select("fp", F.explode(ball).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("point"))
     stars = points.groupBy("point").agg(F.collect_set("fp").alias("all")).where(F.size("all") > 1)
     many = stars.select(F.array_min("all").alias("a"), F.explode("all").alias("b")).where("a <> b")
-    if reach:
-        many = many.union(crowd.where(F.col("fp") != F.col("low")).select(F.col("low").alias("a"), F.col("fp").alias("b")))
     return two.union(few).union(many)
 
 
@@ -143,42 +141,80 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
 
 
+class WordNumbers(dict):
+    """XXH64 of words, kept for a bounded number of them."""
+
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= _WORDS:
+            self.clear()
+        self[word] = number = xxhash.xxh64_intdigest(word, SEED)
+        return number
+
+
+_numbers = WordNumbers()
+
+
+def shingle_numbers(data: bytes, width: int) -> np.ndarray:
+    """A 64-bit number for each width-word shingle, in order, made of its words' hashes; of the whole if it has fewer words."""
+    words = data.lower().split()
+    if not words:
+        return np.empty(0, np.uint64)
+    each = np.fromiter(map(_numbers.__getitem__, words), np.uint64, len(words))
+    n = max(1, len(words) - width + 1)
+    out = np.full(n, len(words) if len(words) < width else width, np.uint64)
+    for k in range(min(width, len(words))):
+        out = out * np.uint64(0x9E3779B97F4A7C15) + each[k : k + n]
+        out ^= out >> np.uint64(32)
+    out *= np.uint64(0xD6E8FEB86659FD93)
+    out ^= out >> np.uint64(32)
+    return out
+
+
 def shingle_set(data: bytes, width: int) -> np.ndarray:
-    """The distinct shingle hashes of a text, sorted."""
-    parts = [h.copy().view("<u8").ravel() for h in shingle_hashes(data, width)]
-    return np.unique(np.concatenate(parts)) if parts else np.empty(0, "<u8")
+    """The distinct shingle numbers of a text, sorted."""
+    return np.unique(shingle_numbers(data, width))
 
 
-def shingle_sets(docs: DataFrame, key_col: str, text_col: str, width: int) -> DataFrame:
-    """(node, shingles): the distinct shingle hashes of each text, sorted, as little-endian bytes."""
+def print_of(numbers: np.ndarray) -> int:
+    """Signed 64-bit SimHash of shingle numbers; a bit is set if it is in over half of them."""
+    counts = np.zeros(BITS, np.int64)
+    for i in range(0, len(numbers), _SLICE):
+        own = numbers[i : i + _SLICE].astype(">u8").view(np.uint8).reshape(-1, 8)
+        counts += np.unpackbits(own, axis=1).sum(axis=0, dtype=np.int64)
+    return int.from_bytes(np.packbits(2 * counts > len(numbers)).tobytes(), "big", signed=True)
 
-    def rows(batch: pa.RecordBatch) -> dict[str, list]:
-        sets = []
-        for data in utf8(batch.column(1)):
-            sets.append(shingle_set(data, width).tobytes())
-        return {"node": batch.column(0).to_pylist(), "shingles": sets}
 
-    return arrow_map(docs.select(F.col(key_col).alias("node"), F.col(text_col).alias("text")), rows, "node long, shingles binary")
+def similar(x: np.ndarray, y: np.ndarray, similarity: float) -> bool:
+    """Whether two shingle sets have at least that Jaccard similarity; two empty ones are alike."""
+    common = len(np.intersect1d(x, y, assume_unique=True))
+    return common >= similarity * (len(x) + len(y) - common)
 
 
-def similar_edges(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
-    """The edges whose shingle sets have at least that Jaccard similarity; two empty sets are alike."""
+def similar_edges(edges: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
+    """The edges between nodes of texts (node, text) whose shingle sets have at least that Jaccard similarity.
 
-    def rows(batch: pa.RecordBatch) -> dict[str, list]:
-        fine = []
-        for a, b in zip(batch.column(2), batch.column(3)):
-            x, y = np.frombuffer(a.as_buffer(), "<u8"), np.frombuffer(b.as_buffer(), "<u8")
-            common = len(np.intersect1d(x, y, assume_unique=True))
-            fine.append(common >= similarity * (len(x) + len(y) - common))
-        return {"a": batch.column(0).to_pylist(), "b": batch.column(1).to_pylist(), "fine": fine}
-
-    with_a = edges.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("sa")), "a")
-    both = with_a.join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("sb")), "b").select("a", "b", "sa", "sb")
-    return arrow_map(both, rows, "a long, b long, fine boolean").where("fine").select("a", "b")
+    Texts travel rather than sets, as they are a third as long when compressed; a set is made where an edge ends.
+    """
+
+    def run(batches):
+        for batch in slices(batches, 256):
+            (a, b), x, y = (c.to_pylist() for c in batch.columns[:2]), utf8(batch.column(2)), utf8(batch.column(3))
+            known: dict[int, np.ndarray] = {}
+            fine = []
+            for i, j, s, t in zip(a, b, x, y):
+                # edges of one text stand together, so what is kept at a time is two sets
+                if i not in known:
+                    known = {i: shingle_set(s, width)}
+                fine.append(similar(known[i], shingle_set(t, width), similarity))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fine, pa.bool_())], names=["a", "b", "fine"])
+
+    with_b = edges.join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
+    both = with_b.join(texts.select(F.col("node").alias("a"), F.col("text").alias("ta")), "a").select("a", "b", "ta", "tb")
+    return both.mapInArrow(run, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
 def sketches(texts: DataFrame, width: int) -> DataFrame:
-    """(node, size, bits): how many distinct shingles a text (node, text) has, and a bit for each of their hashes."""
+    """(node, size, bits): how many distinct shingles a text (node, text) has, and a bit for each of their numbers."""
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         sizes, bits = [], []
@@ -235,10 +271,11 @@ def common_shingles(texts: DataFrame, width: int, most: int = 1 << 16) -> tuple[
     return tokens[order], n[order]
 
 
-def shared_tokens(texts: DataFrame, width: int, pick, parts: int) -> DataFrame:
-    """(token, n, low, node): the n > 1 nodes of each token that pick keeps of the shingles of texts (node, text); low is one of them.
+def shared_tokens(texts: DataFrame, width: int, pick, parts: int, hot: np.ndarray = np.empty(0, np.uint64)) -> DataFrame:
+    """(token, low, node): the nodes of each token that pick keeps of the shingles of texts (node, text) and that several have; low is one of them.
 
-    Tokens travel packed, sixteen bytes to each with its node, dealt by hash; those of one node end in the task that reads them.
+    Tokens travel packed, sixteen bytes to each with its node, dealt by hash; those of one node end in the task that reads
+    them. A token in hot (sorted) is dealt to all tasks, each of which has a low of its own.
     """
     kinds = 4 * parts
 
@@ -256,8 +293,10 @@ def shared_tokens(texts: DataFrame, width: int, pick, parts: int) -> DataFrame:
 
     def packed(held, nodes):
         tokens = np.concatenate(held)
-        both = np.stack([tokens.view(np.int64), np.repeat(np.array(nodes, np.int64), [len(x) for x in held])], axis=1)
-        kind = (tokens % np.uint64(kinds)).astype(np.int32)
+        owners = np.repeat(np.array(nodes, np.int64), [len(x) for x in held])
+        both = np.stack([tokens.view(np.int64), owners], axis=1)
+        spread = np.where(among(tokens, hot), owners.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(16), tokens)
+        kind = (spread % np.uint64(kinds)).astype(np.int32)
         order = np.argsort(kind, kind="stable")
         found, starts = np.unique(kind[order], return_index=True)
         return pa.RecordBatch.from_arrays([pa.array(found), pa.array([x.tobytes() for x in np.split(both[order], starts[1:])] if len(found) else [], pa.binary())], names=["kind", "pairs"])
@@ -272,10 +311,18 @@ def shared_tokens(texts: DataFrame, width: int, pick, parts: int) -> DataFrame:
         token, node = token[order], node[order]
         _, starts, n = np.unique(token, return_index=True, return_counts=True)
         low, n = np.repeat(node[starts], n), np.repeat(n, n)
-        for at in np.array_split(np.flatnonzero(n > 1), len(token) // 100_000 + 1):
-            yield pa.RecordBatch.from_arrays([pa.array(x[at]) for x in (token, n, low, node)], names=["token", "n", "low", "node"])
+        wanted = (n > 1) | among(token.view(np.uint64), hot)
+        for at in np.array_split(np.flatnonzero(wanted), len(token) // 100_000 + 1):
+            yield pa.RecordBatch.from_arrays([pa.array(x[at]) for x in (token, low, node)], names=["token", "low", "node"])
+
+    return texts.mapInArrow(pack, "kind int, pairs binary").repartition(parts, "kind").mapInArrow(meet, "token long, low long, node long")
+
 
-    return texts.mapInArrow(pack, "kind int, pairs binary").repartition(parts, "kind").mapInArrow(meet, "token long, n long, low long, node long")
+def among(tokens: np.ndarray, some: np.ndarray) -> np.ndarray:
+    """Which of the tokens are in a sorted array."""
+    if not len(some):
+        return np.zeros(len(tokens), bool)
+    return some[np.minimum(np.searchsorted(some, tokens), len(some) - 1)] == tokens
 
 
 def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -294,77 +341,152 @@ def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts:
     return shingles[np.lexsort((shingles, weight))[: len(shingles) - must_share + 1]]
 
 
-def similar_links(members: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
-    """Edges (a, b) between nodes of members (token, n, low, node) whose texts are similar, enough of them for exact components.
+def met_in_crowds(crowds: DataFrame, similarity: float, best: bool) -> DataFrame:
+    """(a, b): pairs of nodes of one token (token, n, node, root, size, bits) with different roots that may be similar.
 
-    Nodes that share a token are a bucket. Each is first compared with the bucket's low, another one for each token. Where
-    a bucket's nodes are then in several components, every two of different components are compared, in blocks.
+    A pair meets where the blocks of both do; a block pair has some 2 * _BLOCK nodes however large the token's group is, and its
+    pairs are compared by sketches in place. With best, only the likeliest partner of a node in each other component comes out.
     """
-
-    def of_ends(edges: DataFrame) -> DataFrame:
-        ends = stored(edges.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "near-ends")
-        return texts.join(maybe_broadcast(ends, 16), "node").select("node", "text")
-
-    def checked(edges: DataFrame) -> DataFrame:
-        # whole sets are long, so only what small sketches leave is compared by them
-        left = stored(possible_edges(edges, stored(sketches(of_ends(edges), width), "near-sketches"), similarity), "near-possible")
-        sets = stored(shingle_sets(of_ends(left), "node", "text", width), "near-shingles")
-        return stored(similar_edges(left, sets, similarity), "near-links")
-
-    star = members.where("node <> low").select(F.least("node", "low").alias("a"), F.greatest("node", "low").alias("b"))
-    links = checked(stored(star.distinct(), "near-candidates"))
-
-    roots = connected_components(links)
-    named = members.where("n > 2").join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left").select("token", "n", "low", "node", F.coalesce("root", "node").alias("root"))
-    named = stored(named, "near-named")
-    mixed_up = named.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("token")
-    # the member that the others were compared with is done
-    rest = named.join(maybe_broadcast(stored(mixed_up, "near-unsettled"), 16), "token", "left_semi").where("node <> low")
-    # a pair meets where the blocks of both do; a block pair has some 2 * _BLOCK nodes, however large the bucket is
+    most = (1 - similarity) / (1 + similarity)
     blocks = F.ceil(F.col("n") / _BLOCK).cast("int")
-    own = rest.withColumns({"blocks": blocks, "block": F.pmod(F.xxhash64("node"), blocks).cast("int")})
-    dealt = own.select("token", "node", "root", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    met = dealt.groupBy("token", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j")).agg(F.collect_list(F.struct("node", "root")).alias("all"))
+    own = crowds.withColumns({"blocks": blocks, "block": F.pmod(F.xxhash64("node"), blocks).cast("int")})
+    dealt = own.select("token", "node", "root", "size", "bits", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    keyed = dealt.withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}).drop("other")
+
+    def meet(group: pa.Table) -> pa.Table:
+        node, root, size, block, i, j = (group.column(c).to_numpy() for c in ("node", "root", "size", "block", "i", "j"))
+        bits = np.unpackbits(np.frombuffer(b"".join(group.column("bits").to_pylist()), np.uint8)).reshape(len(node), _SKETCH).astype(np.float32)
+        left, right = np.flatnonzero(block == i[0]), np.flatnonzero(block == j[0])
+        ones = bits.sum(1)
+        apart = ones[left][:, None] + ones[right][None, :] - 2 * bits[left] @ bits[right].T
+        m, n = size[left][:, None], size[right][None, :]
+        fine = (root[left][:, None] != root[right][None, :]) & (apart <= most * (m + n) + 1e-6) & (np.minimum(m, n) >= similarity * np.maximum(m, n) - 1e-6)
+        if i[0] == j[0]:
+            fine &= node[left][:, None] < node[right][None, :]
+        x, y = np.nonzero(fine)
+        if best and len(x):
+            order = np.lexsort((apart[x, y], root[right][y], x))
+            x, y = x[order], y[order]
+            first = np.ones(len(x), bool)
+            first[1:] = (x[1:] != x[:-1]) | (root[right][y[1:]] != root[right][y[:-1]])
+            x, y = x[first], y[first]
+        a, b = node[left][x], node[right][y]
+        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    return keyed.groupBy("token", "i", "j").applyInArrow(meet, "a long, b long").distinct()
+
+
+def met_in_small_groups(few: DataFrame) -> DataFrame:
+    """(a, b): all pairs of nodes with different roots in groups of at most _FEW nodes of a token (token, node, root)."""
     each = F.col("all")
     pairs = F.flatten(F.transform(each, lambda a: F.transform(F.filter(each, lambda b: (b["node"] > a["node"]) & (b["root"] != a["root"])), lambda b: F.struct(a["node"].alias("a"), b["node"].alias("b")))))
-    left = stored(met.select(F.explode(pairs).alias("e")).select("e.a", "e.b").distinct(), "near-left")
-    return links.union(checked(left))
+    met = few.groupBy("token").agg(F.collect_list(F.struct("node", "root")).alias("all"))
+    return met.select(F.explode(pairs).alias("e")).select("e.a", "e.b").distinct()
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8) -> DataFrame:
+def similar_links(members: DataFrame, likely: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
+    """Edges (a, b) between nodes whose texts are similar, enough of them for exact components.
+
+    likely: edges to be looked at first. Nodes of members (token, low, node) that share a token are a bucket; each is
+    compared with the bucket's low, and where a bucket's nodes are then in several components, every two of different
+    components are compared. What an earlier step has joined is not looked at again, so copies of one text cost one edge each.
+    """
+    spark = texts.sparkSession
+    star = stored(members.where("node <> low").select(F.least("node", "low").alias("a"), F.greatest("node", "low").alias("b")).distinct(), "near-stars")
+    ends = stored(members.select("node").union(likely.select(F.explode(F.array("a", "b")))).distinct(), "near-ends")
+    own = texts.join(maybe_broadcast(ends, 16), "node").select("node", "text")
+    drawn = stored(sketches(own, width), "near-sketches")
+    links = spark.createDataFrame([], "a long, b long")
+    used = []
+
+    def check(edges: DataFrame, label: str) -> bool:
+        """Add the edges that are links; whether there were any."""
+        nonlocal links
+        left = stored(possible_edges(edges, drawn, similarity), f"near-{label}")
+        used.append(left)
+        if not left.count():
+            return False
+        held = texts.join(maybe_broadcast(stored(left.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "near-held"), 16), "node").select("node", "text")
+        found = stored(similar_edges(left, held, width, similarity), f"near-{label}-links")
+        links = links.union(found)
+        return found.count() > 0
+
+    def apart(edges: DataFrame, roots: DataFrame) -> DataFrame:
+        """The edges between different components."""
+        side = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
+        named = edges.join(side("a"), "a", "left").join(side("b"), "b", "left")
+        return named.where(F.coalesce("a_root", "a") != F.coalesce("b_root", "b")).select("a", "b")
+
+    # an edge for each node first: most components are whole after that
+    check(likely.union(star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")).distinct(), "first")
+    roots = connected_components(links)
+    if check(apart(star, roots), "stars"):
+        roots = connected_components(links)
+    sizes = members.groupBy("token").agg(F.count("*").alias("n")).where("n > 2")
+    named = members.select("token", "node").join(sizes, "token").join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left").select("token", "n", "node", F.coalesce("root", "node").alias("root"))
+    named = stored(named, "near-named")
+    mixed = stored(named.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("token"), "near-unsettled")
+    rest = named.join(maybe_broadcast(mixed, 16), "token", "left_semi")
+    if check(met_in_small_groups(rest.where(F.col("n") <= _FEW)), "small"):
+        roots = connected_components(links)
+    crowds = rest.where(F.col("n") > _FEW).drop("root").join(drawn, "node").join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left")
+    crowds = stored(crowds.select("token", "n", "node", F.coalesce("root", "node").alias("root"), "size", "bits"), "near-crowds")
+    if check(met_in_crowds(crowds, similarity, best=True), "best"):
+        roots = connected_components(links).withColumnsRenamed({"node": "own", "root": "new"})
+        crowds = crowds.join(roots, F.col("node") == F.col("own"), "left").withColumn("root", F.coalesce("new", "node")).drop("own", "new")
+    check(met_in_crowds(crowds, similarity, best=False), "every")
+    discard(star, ends, drawn, named, mixed, *used)
+    return links
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, radius: int = 2) -> DataFrame:
     """docs, all columns, with one row of each group of near duplicates: the one of the smallest id.
 
     Rows of equal words are one node, named by the number of its least row; copies are never paired with each other.
-    Nodes are linked if their texts have the given Jaccard similarity on width-word shingles; every such pair is a
-    candidate, as their prefixes share a shingle. Among rows of equal id and text one stays.
+    Nodes are linked if their texts have the given Jaccard similarity on width-word shingles. Candidates come from the covering
+    tables of their fingerprints, within radius bits; and as fingerprints of similar texts may be farther apart, from a
+    prefix filter, by which every pair of that similarity shares a shingle. Among rows of equal id and text one stays.
     """
     # a row's own number tells repeated rows apart; it is fixed by writing the rows
-    prints = stored(numbered_rows(docs, id_col, text_col).withColumn("row", F.monotonically_increasing_id()), "near-prints")
+    prints = stored(numbered_rows(docs, id_col, text_col, width).withColumn("row", F.monotonically_increasing_id()), "near-prints")
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
-    nodes = stored(prints.groupBy("words").agg(F.count("*").alias("n"), F.min(order).alias("least")), "near-nodes")
+    nodes = stored(prints.groupBy("words").agg(F.count("*").alias("n"), F.min(order).alias("least"), F.min("fp").alias("fp")), "near-nodes")
     heads = nodes.select(F.col("least.row").alias("row"))
     # copies are the fewer rows: they are taken out rather than the others joined
     copies = stored(prints.select("row", "words").join(nodes.where("n > 1").select("words", "least"), "words").where("row <> least.row").select("row"), "near-copies")
     texts = prints.join(maybe_broadcast(copies, 16), "row", "left_anti").select(F.col("row").alias("node"), F.col(f"kept.`{text_col}`").cast("string").alias("text"))
+    likely = stored(fingerprint_edges(nodes.select(F.col("least.row").alias("node"), "fp"), radius), "near-likely")
     common, counts = common_shingles(texts, width)
-    members = stored(shared_tokens(texts, width, lambda s: prefix(s, similarity, common, counts), max(8, nodes.count() // _MET + 1)), "near-members")
-    roots = connected_components(similar_links(members, texts, width, similarity))
+    members = stored(shared_tokens(texts, width, lambda s: prefix(s, similarity, common, counts), max(8, nodes.count() // _MET + 1), common[counts > _HOT]), "near-members")
+    roots = connected_components(similar_links(members, likely, texts, width, similarity))
     named = nodes.join(roots, nodes["least.row"] == roots["node"], "left").select("least", F.coalesce("root", "least.row").alias("root"))
     chosen = named.groupBy("root").agg(F.min("least").alias("least")).select("least.row")
     gone = stored(heads.join(chosen, "row", "left_anti").union(copies), "near-gone")
+    discard(nodes, copies, likely, members)
     return prints.join(maybe_broadcast(gone, 16), "row", "left_anti").select("kept.*")
 
 
-def numbered_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, kept, words): kept is the whole row as a struct, words a hash of the lower-cased words in order."""
+def fingerprint_edges(nodes: DataFrame, radius: int) -> DataFrame:
+    """(a, b): candidates among nodes (node, fp): those of one fingerprint with its least, and the least ones of near fingerprints."""
+    least = stored(nodes.groupBy("fp").agg(F.min("node").alias("head"), F.count("*").alias("n")), "near-fingerprints")
+    same = nodes.join(least.where("n > 1").drop("n"), "fp").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
+    side = lambda name: least.select(F.col("fp").alias(name), F.col("head").alias(f"{name}_head"))
+    near = near_pairs(least.select("fp"), radius).join(side("a"), "a").join(side("b"), "b")
+    return same.union(near.select(F.least("a_head", "b_head").alias("a"), F.greatest("a_head", "b_head").alias("b"))).distinct()
+
+
+def numbered_rows(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
+    """(doc_id, kept, words, fp): kept is the whole row as a struct, words a hash of the lower-cased words in order, fp their SimHash."""
     from pyspark.sql import types as T
 
     packed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("kept"), F.col(text_col).cast("string").alias("text"))
-    schema = T.StructType([*packed.schema.fields[:2], T.StructField("words", T.LongType())])
+    schema = T.StructType([*packed.schema.fields[:2], T.StructField("words", T.LongType()), T.StructField("fp", T.LongType())])
 
     def run(batches):
         for batch in slices(batches):
-            words = pa.array([xxhash.xxh64_intdigest(b" ".join(x.lower().split())) for x in utf8(batch.column(2))], pa.uint64()).view(pa.int64())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:2], words], names=[*batch.schema.names[:2], "words"])
+            data = utf8(batch.column(2))
+            words = pa.array([xxhash.xxh64_intdigest(b" ".join(x.lower().split())) for x in data], pa.uint64()).view(pa.int64())
+            prints = pa.array([print_of(shingle_numbers(x, width)) for x in data], pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], words, prints], names=[*batch.schema.names[:2], "words", "fp"])
 
     return packed.mapInArrow(run, schema)
