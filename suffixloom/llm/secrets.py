@@ -12,11 +12,14 @@ repeated results; other columns are not read by ``secret_spans`` and pass unchan
 from __future__ import annotations
 
 import math
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .scans import bound, scan
+
 #: Kinds in order, pattern, group whose length counts, least length.
 BASE = (
     ("assign", r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 6),
@@ -29,11 +32,10 @@ SCALE = 1 << 20
 
 @dataclass(frozen=True)
 class EntropyClass:
-    """Runs of chars of at least min_chars, judged by windows; need: patterns that all must occur in the run."""
+    """Runs of chars of at least a window's length, judged by windows; need: patterns that all must occur in the run."""
 
     kind: str
     chars: str
-    min_chars: int
     window: int
     min_bits: float
     need: tuple[str, ...] = ()
@@ -43,44 +45,56 @@ class EntropyClass:
         """The entropy of a window is log2(window) - sum / window; this is the largest sum that reaches min_bits."""
         return math.floor(self.window * (math.log2(self.window) - self.min_bits) * SCALE)
 
+    @property
+    def symbols(self) -> str:
+        return "".join(chr(i) for i in range(128) if re.match(f"[{self.chars}]", chr(i)))
+
 
 CLASSES = (
-    EntropyClass("entropy_hex", "0-9A-F", 32, 24, 3.0, ("[0-9]", "[A-F]")),
-    EntropyClass("entropy_base64", "A-Za-z0-9+/_=-", 24, 20, 3.6, ("[0-9]", "[A-Z]", "[a-z]")),
+    EntropyClass("entropy_hex", "0-9A-F", 24, 3.0, ("[0-9]", "[A-F]")),
+    EntropyClass("entropy_base64", "A-Za-z0-9+/_=-", 20, 3.8, ("[0-9]", "[A-Z]", "[a-z]")),
+    EntropyClass("entropy_alnum", "a-z0-9", 20, 3.6, ("[0-9][^0-9]*[0-9]", "[g-z]")),
 )
 
-#: Strings that look random and are no secrets: digests named as such, paths, dates and identifiers made of words, runs of one part.
-ALLOWED = (
+#: Whole runs that look random and are no secrets: UUIDs, and paths, dates and identifiers whose parts are a word or a number each.
+#: Repetitions of groups are possessive, so that no text makes the pattern recurse.
+ALLOWED_RUNS = (
     r"^[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}$",
+    r"^[+/_=-]*+(?:[A-Za-z]{1,24}|[0-9]{1,12})(?:[+/_=-]++(?:[A-Za-z]{1,24}|[0-9]{1,12}))*+[+/_=-]*+$",
+)
+#: Windows that are no secrets, though random enough: placeholders and the alphabet.
+ALLOWED_WINDOWS = (
     r"(?i)example|sample|placeholder|dummy|changeme|xxxx",
-    r"^[A-Za-z]+([_/-][A-Za-z]+){2,}$",
-    r"^\d{4}-\d{2}-\d{2}",
     r"abcdefghij|ABCDEFGHIJ|0123456789",
 )
 
+_SPAN = "struct<start: bigint, end: bigint, at: bigint, to: bigint, value: string, size: int>"
+
 
 def spans_of(text: Column, pattern: str, group: int, least: int) -> Column:
-    """Spans (start, end, value) of leftmost matches whose group has at least `least` code points.
+    """Spans (start, end in code points, at, to in bytes, value) of leftmost matches whose group has at least `least` code points.
 
     A text is parted by the pattern; parts and matches alternate, so their lengths add up to positions.
     """
     matches = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     values = matches if group == 0 else F.regexp_extract_all(text, F.lit(pattern), F.lit(group))
-    whole = F.zip_with(F.split(text, pattern, -1), F.zip_with(matches, values, lambda m, v: F.struct(m.alias("m"), v.alias("v"))), lambda gap, x: F.struct(F.length(gap).cast("long").alias("gap"), x["m"].alias("m"), x["v"].alias("v")))
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.expr("cast(array() as array<struct<start: bigint, end: bigint, value: string>>)").alias("found"))
+    whole = F.zip_with(F.split(text, pattern, -1), F.zip_with(matches, values, lambda m, v: F.struct(m.alias("m"), v.alias("v"))), lambda gap, x: F.struct(F.length(gap).cast("long").alias("gap"), F.octet_length(gap).cast("long").alias("gap_bytes"), x["m"].alias("m"), x["v"].alias("v")))
+    zero = F.lit(0).cast("long")
+    points = lambda x: F.coalesce(F.length(x["m"]), F.lit(0))
+    octets = lambda x: F.coalesce(F.octet_length(x["m"]), F.lit(0))
 
     def step(state: Column, x: Column) -> Column:
-        begin = state["at"] + x["gap"]
-        end = begin + F.coalesce(F.length(x["m"]), F.lit(0))
-        hit = F.array(F.struct(begin.alias("start"), end.alias("end"), x["m"].alias("value")))
-        kept = F.when(F.length(x["v"]) >= least, F.concat(state["found"], hit)).otherwise(state["found"])
-        return F.struct(end.alias("at"), kept.alias("found"))
+        return F.struct((state["start"] + x["gap"] + points(x)).alias("start"), (state["at"] + x["gap_bytes"] + octets(x)).alias("at"))
+
+    def emit(state: Column, x: Column) -> Column:
+        start, at = state["start"] + x["gap"], state["at"] + x["gap_bytes"]
+        return F.struct(start.alias("start"), (start + points(x)).alias("end"), at.alias("at"), (at + octets(x)).alias("to"), x["m"].alias("value"), F.length(x["v"]).alias("size"))
 
-    return F.aggregate(whole, start, step, lambda state: state["found"])
+    return F.filter(scan(whole, F.struct(zero.alias("start"), zero.alias("at")), step, emit, _SPAN), lambda s: F.coalesce(s["size"] >= least, F.lit(False)))
 
 
 def _none() -> Column:
-    return F.expr("cast(array() as array<struct<start: bigint, end: bigint, value: string>>)")
+    return F.expr(f"cast(array() as array<{_SPAN}>)")
 
 
 def base_spans(text: Column, lowered: Column) -> list[Column]:
@@ -96,44 +110,67 @@ def base_spans(text: Column, lowered: Column) -> list[Column]:
     ]
 
 
-def least_sum(value: Column, window: int) -> Column:
-    """The smallest sum of n log2 n (scaled) over the windows of a string of ASCII characters; null if it is shorter.
+#: Counters to a 64-bit number, and bits of each: a window holds less than 32 characters.
+_TO_A_WORD, _BITS = 12, 5
+
+
+def best_window(value: Column, one: EntropyClass) -> Column:
+    """(least, at): the smallest sum of n log2 n (scaled) over the windows of a run, and where the first such window ends.
 
-    Counts are held for the 128 ASCII codes and changed at two places a step.
+    Counts are packed, twelve to a number. A step changes two of them, and the sum by four looked-up terms.
     """
-    table = F.array(*(F.lit(round(n * math.log2(n) * SCALE) if n else 0) for n in range(window + 2)))
-    chars = F.transform(F.split(value, ""), lambda c: F.ascii(c))
-    weight = lambda n: F.element_at(table, n + 1)
-    zeros = F.array_repeat(F.lit(0), 128)
-    init = F.struct(F.lit(0).alias("i"), zeros.alias("counts"), F.lit(0).cast("int").alias("sum"), F.lit(None).cast("int").alias("least"))
+    window, symbols = one.window, one.symbols
+    if window >= 1 << _BITS:
+        raise ValueError(f"a window must have less than {1 << _BITS} characters")
+    words = -(-len(symbols) // _TO_A_WORD)
+    rank = {c: i for i, c in enumerate(symbols)}
+    place = [divmod(rank.get(chr(i), 0), _TO_A_WORD) for i in range(128)]
+    literal = lambda xs, kind: F.array(*(F.lit(x).cast(kind) for x in xs))
+    word_of, unit_of = literal([w for w, _ in place], "int"), literal([1 << _BITS * k for _, k in place], "long")
+    terms = literal([round(n * math.log2(n) * SCALE) if n else 0 for n in range(window + 2)], "long")
+    term = lambda n: F.get(terms, n.cast("int"))
+    codes = F.transform(F.split(value, ""), lambda c: F.ascii(c))
+    moves = bound(codes, lambda all_: F.zip_with(all_, F.slice(F.concat(F.array_repeat(F.lit(None).cast("int"), window), all_), F.lit(1), F.size(all_)), lambda new, old: F.struct(new.alias("new"), old.alias("old"), F.get(word_of, new).alias("w"), F.get(unit_of, new).alias("u"), F.get(word_of, old).alias("v"), F.get(unit_of, old).alias("t"))))
+    zero = F.lit(0).cast("long")
+    init = F.struct(zero.alias("i"), F.array_repeat(zero, words).alias("counts"), zero.alias("sum"), F.lit(None).cast("long").alias("least"), zero.alias("at"))
 
-    def step(state: Column, code: Column) -> Column:
-        i, counts = state["i"], state["counts"]
-        out = F.when(i >= window, F.get(chars, i - window))
-        n_in = F.get(counts, code)
-        n_out = F.get(counts, out)
-        same = out.eqNullSafe(code)
-        total = state["sum"] + F.when(same, 0).otherwise(weight(n_in + 1) - weight(n_in) + F.when(out.isNull(), 0).otherwise(weight(n_out - 1) - weight(n_out)))
-        changed = F.when(same, counts).otherwise(F.transform(counts, lambda n, k: n + F.when(k == code, 1).when(k == out, -1).otherwise(0)))
-        least = F.when(i + 1 >= window, F.least(total, state["least"])).otherwise(state["least"])
-        return F.struct((i + 1).alias("i"), changed.alias("counts"), total.cast("int").alias("sum"), least.cast("int").alias("least"))
+    def step(state: Column, x: Column) -> Column:
+        counts = state["counts"]
+        held = lambda w, u: F.call_function("div", F.get(counts, w), u).bitwiseAND((1 << _BITS) - 1)
+
+        def changed(terms_: Column) -> Column:
+            same = x["old"].eqNullSafe(x["new"])
+            total = state["sum"] + F.when(same, zero).otherwise(term(terms_["n"] + 1) - term(terms_["n"]) + F.when(x["old"].isNull(), zero).otherwise(term(terms_["m"] - 1) - term(terms_["m"])))
+            return F.struct((state["i"] + 1).alias("i"), F.when(same, counts).otherwise(F.transform(counts, lambda c, k: c + F.when(k == x["w"], x["u"]).otherwise(zero) - F.when(k == x["v"], x["t"]).otherwise(zero))).alias("counts"), total.alias("sum"))
+
+        def judged(new: Column) -> Column:
+            better = (new["i"] >= window) & (state["least"].isNull() | (new["sum"] < state["least"]))
+            return F.struct(new["i"].alias("i"), new["counts"].alias("counts"), new["sum"].alias("sum"), F.when(better, new["sum"]).otherwise(state["least"]).alias("least"), F.when(better, new["i"]).otherwise(state["at"]).alias("at"))
+
+        return bound(bound(F.struct(held(x["w"], x["u"]).alias("n"), held(x["v"], x["t"]).alias("m")), changed), judged)
 
-    return F.aggregate(chars, init, step, lambda state: state["least"])
+    return F.aggregate(moves, init, step, lambda state: F.struct(state["least"].alias("least"), state["at"].cast("int").alias("at")))
 
 
-def entropy_spans(text: Column, one: EntropyClass, allowed: tuple[str, ...] = ALLOWED) -> Column:
-    runs = f"(?<![{one.chars}])[{one.chars}]{{{one.min_chars},}}"
+def entropy_spans(text: Column, one: EntropyClass) -> Column:
+    runs = f"(?<![{one.chars}])[{one.chars}]{{{one.window},}}"
 
     def wanted(span: Column) -> Column:
-        v = span["value"]
-        ok = F.lit(True)
+        v, ok = span["value"], F.lit(True)
         for p in one.need:
             ok = ok & v.rlike(p)
-        for p in allowed:
+        for p in ALLOWED_RUNS:
             ok = ok & ~v.rlike(p)
-        return F.when(ok, F.coalesce(least_sum(v, one.window) <= one.max_sum, F.lit(False))).otherwise(False)
 
-    return F.when(text.rlike(runs), F.filter(spans_of(text, runs, 0, one.min_chars), wanted)).otherwise(_none())
+        def fits(best: Column) -> Column:
+            inside, free = F.substring(v, best["at"] - one.window + 1, F.lit(one.window)), F.lit(True)
+            for p in ALLOWED_WINDOWS:
+                free = free & ~inside.rlike(p)
+            return F.coalesce((best["least"] <= one.max_sum) & free, F.lit(False))
+
+        return F.when(ok, bound(best_window(v, one), fits)).otherwise(False)
+
+    return F.when(text.rlike(runs), F.filter(spans_of(text, runs, 0, one.window), wanted)).otherwise(_none())
 
 
 def _joined(kinds: list[tuple[str, Column]]) -> Column:
@@ -179,15 +216,16 @@ def redact(docs: DataFrame, text_col: str = "text", mark: str = "[secret]") -> D
         taken.add(n.lower())
         columns.append(n)
     text = F.col(text_col).cast("string")
-    spans = F.array_sort(F.concat(*(F.transform(c, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"))) for c in columns)))
-    init = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
-
-    def step(state: Column, s: Column) -> Column:
-        gap = F.substring(text, (state["at"] + 1).cast("int"), (s["start"] - state["at"]).cast("int"))
-        fresh = F.struct(s["end"].alias("at"), F.concat(state["out"], gap, F.lit(mark)).alias("out"))
-        merged = F.struct(F.greatest(s["end"], state["at"]).alias("at"), state["out"].alias("out"))
-        return F.when(s["start"] < state["at"], merged).otherwise(fresh)
-
-    rest = lambda state: F.concat(state["out"], F.substring(text, (state["at"] + 1).cast("int"), F.length(text)))
-    cleaned = F.when(F.size(spans) > 0, F.aggregate(spans, init, step, rest)).otherwise(text)
+    spans = F.array_sort(F.concat(*(F.transform(c, lambda s: F.struct(s["at"].alias("at"), s["to"].alias("to"))) for c in columns)))
+    reach = lambda state, s: F.greatest(state, s["to"])
+    gap = lambda state, s: F.struct(state.alias("after"), (s["at"] - state).alias("n"))
+
+    def parted(data: Column, all_: Column) -> Column:
+        """The bytes between findings, which are cut where they stand, and a mark for each run of overlapping ones."""
+        gaps = scan(all_, F.lit(0).cast("long"), reach, gap, "struct<after: bigint, n: bigint>")
+        pieces = F.transform(F.filter(gaps, lambda g: (g["n"] >= 0)), lambda g: F.concat(F.substring(data, (g["after"] + 1).cast("int"), g["n"].cast("int")).cast("string"), F.lit(mark)))
+        end = F.array_max(F.transform(all_, lambda s: s["to"]))
+        return F.concat(F.array_join(pieces, ""), F.substring(data, (end + 1).cast("int"), F.octet_length(data)).cast("string"))
+
+    cleaned = F.when(F.size(spans) > 0, bound(F.struct(text.cast("binary").alias("data"), spans.alias("spans")), lambda x: parted(x["data"], x["spans"]))).otherwise(text)
     return with_spans(docs, text_col, columns).withColumn(text_col, cleaned).select(*(F.col(f"`{c}`") for c in docs.columns))
