@@ -43,7 +43,7 @@ def secret_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of token sequences."""
     files = tokenizer_files()
-    return packing.pack(docs, packing.file_encoder(files.path("byte_bpe_50k.json"), files.PATTERN), end_id=1)
+    return packing.pack(docs, packing.file_encoder(files.path("byte_bpe_50k.json")), end_id=1)
 
 
 STAGES = [("quality", quality), ("lines", lines), ("near_duplicates", near_duplicates), ("secrets", secret_strings), ("packing", packed)]

@@ -180,46 +180,73 @@ def byte_level_bytes() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(0x100 + i): b for i, b in enumerate(rest)}
 
 
+#: Fixed value: the pattern that the tokenizers library splits by where a file asks for its byte-level split.
+BYTE_LEVEL_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+def split_pattern(pre_tokenizer: dict | None) -> str | None:
+    """The pattern whose matches the file encodes one by one; None where the file splits otherwise."""
+    kind = (pre_tokenizer or {}).get("type")
+    if kind == "ByteLevel" and not pre_tokenizer.get("add_prefix_space") and pre_tokenizer.get("use_regex", True):
+        return BYTE_LEVEL_PATTERN
+    steps = pre_tokenizer.get("pretokenizers", []) if kind == "Sequence" else []
+    if [x.get("type") for x in steps] == ["Split", "ByteLevel"]:
+        first, second = steps
+        plain = first.get("behavior") == "Isolated" and not first.get("invert") and not second.get("add_prefix_space") and second.get("use_regex") is False
+        return first.get("pattern", {}).get("Regex") if plain else None
+    return None
+
+
+def apart(added: list[dict]) -> bool:
+    """Whether added tokens are found in a text by their bare strings, in one way only."""
+    names = [t["content"] for t in added]
+    flags = any(t.get(k) for t in added for k in ("single_word", "lstrip", "rstrip"))
+    return not flags and all(names) and not any(a != b and a in b for a in names for b in names) and len(set(names)) == len(names)
+
+
 class FileTokenizer:
-    """Ids by a tokenizers file of byte-level BPE.
+    """Ids by a tokenizers file as the library gives them without adding special tokens; those that stand in a text keep their ids.
 
-    If its merges come in the order of their results' ids, as in files made from rank tables, the rank engine of tiktoken
-    gives the same ids at several times the speed. Otherwise the tokenizers library does the work itself.
+    For byte-level BPE whose merges come in the order of their results' ids, as in files made from rank tables, the rank engine
+    of tiktoken gives the same ids at several times the speed; the file's own pattern and added tokens go with it. A file with
+    anything else (a normalizer, another split, tokens that strip or contain each other) is left to the library itself.
     """
 
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, path: str):
         with open(path, encoding="utf-8") as file:
-            model = json.load(file)["model"]
+            whole = json.load(file)
+        model, added, pattern = whole["model"], whole.get("added_tokens") or [], split_pattern(whole.get("pre_tokenizer"))
         vocabulary, made = model["vocab"], ["".join(m if isinstance(m, list) else m.split(" ")) for m in model.get("merges", [])]
         results = [vocabulary[x] for x in made]
-        self.ranked = results == sorted(set(results)) and len(results) + 256 >= len(vocabulary) - 1
+        names = {t["content"] for t in added}
+        usual = not any(model.get(k) for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges"))
+        self.ranked = usual and whole.get("normalizer") is None and pattern is not None and apart(added) and results == sorted(set(results)) and len(results) + 256 >= len(vocabulary.keys() - names)
         if self.ranked:
             to_byte, usual = byte_level_bytes(), {*made}
-            ranks = {bytes(map(to_byte.__getitem__, t)): i for t, i in vocabulary.items() if t in usual or len(t) == 1}
-            self.engine = tiktoken.Encoding(path, pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+            ranks = {bytes(map(to_byte.__getitem__, t)): i for t, i in vocabulary.items() if t not in names and (t in usual or len(t) == 1)}
+            self.engine = tiktoken.Encoding(path, pat_str=pattern, mergeable_ranks=ranks, special_tokens={t["content"]: t["id"] for t in added})
         else:
             self.engine = Tokenizer.from_file(path)
-            self.engine.encode_special_tokens = True  # their strings in a text are ordinary text
 
     def encode(self, text: str) -> bytes:
         """Little-endian unsigned 32-bit ids."""
         if not text:
             return b""
         if self.ranked:
-            return self.engine.encode_to_numpy(text, disallowed_special=()).astype("<u4", copy=False).tobytes()
+            return self.engine.encode_to_numpy(text, allowed_special="all").astype("<u4", copy=False).tobytes()
         return np.array(self.engine.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
 
-_tokenizers: dict[tuple[str, str], FileTokenizer] = {}
+_tokenizers: dict[str, FileTokenizer] = {}
 
 
-def file_encoder(path: str, pattern: str) -> Callable[[str], bytes]:
+def file_encoder(path: str) -> Callable[[str], bytes]:
     """An encoder to hand to pack(); the file is read once for each worker, and must exist on every executor."""
 
     def encode(text: str) -> bytes:
-        if (path, pattern) not in _tokenizers:
-            _tokenizers[path, pattern] = FileTokenizer(path, pattern)
-        return _tokenizers[path, pattern].encode(text)
+        if path not in _tokenizers:
+            _tokenizers[path] = FileTokenizer(path)
+        return _tokenizers[path].encode(text)
 
     return encode
 

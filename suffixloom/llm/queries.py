@@ -48,7 +48,7 @@ def op4_url_verdicts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_mixture_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     files = tokenizer_files()
-    encode = packing.file_encoder(files.path("byte_bpe_50k.json"), files.PATTERN)
+    encode = packing.file_encoder(files.path("byte_bpe_50k.json"))
     return packing.pack(table(spark, sf_dir, "documents"), encode, end_id=1)
 
 
