@@ -22,6 +22,8 @@ from .common import maybe_broadcast, stored
 #: Rows of the labelled sample at most (those with the smallest hashes of their URL).
 SAMPLE_ROWS = 20_000
 BINS = 16
+#: Folds in which the labels of suffixes are counted.
+FOLDS = 5
 FEATURES = ("length", "depth", "digits", "entropy", "params", "suffix_urls", "suffix_rate")
 
 
@@ -159,20 +161,68 @@ def with_suffix_statistics(features: DataFrame, statistics: DataFrame) -> DataFr
     return features.join(maybe_broadcast(statistics, 64), "suffix", "left").withColumns({"suffix_urls": clipped(F.col("suffix_urls")), "suffix_rate": clipped(F.col("suffix_rate"))})
 
 
-def judge_urls(pages: DataFrame, labelled: DataFrame, rules: list[PathRule], id_col: str = "page_id", url_col: str = "url", sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+def rate_bin(ones: Column, n: Column, share: float) -> Column:
+    """A bin of the share of label 1, drawn towards the share of all labelled rows where there are few."""
+    return (F.coalesce(ones + 5 * F.lit(share), F.lit(5.0 * share)) / F.coalesce(n + 5, F.lit(5)) * BINS).cast("int")
+
+
+@dataclass
+class UrlModel:
+    """A forest, what it knows of suffixes, and the labelled rows (features, label, fold) that it was fitted on."""
+
+    forest: Forest
+    statistics: DataFrame
+    training: DataFrame
+
+    def scored(self, features: DataFrame) -> DataFrame:
+        return with_suffix_statistics(features, self.statistics).withColumn("score", 1 / (1 + F.exp(-self.forest.score())))
+
+
+def fit_urls(features: DataFrame, labelled: DataFrame, sample_rows: int = SAMPLE_ROWS, only: Column | None = None) -> UrlModel:
+    """The forest is fitted on at most sample_rows labelled rows; suffixes are counted over all rows of features.
+
+    What a suffix's labels say of a training row comes from the other folds' rows only, so that no row's feature holds its
+    own label. only: a condition on fold (0 to FOLDS - 1) for the rows to fit on.
+    """
+    picked = labelled.select("url", F.col("label").cast("int").alias("label")).where("url is not null and label in (0, 1)").orderBy(F.xxhash64("url"), "url", "label").limit(sample_rows)
+    picked = picked.withColumn("fold", F.pmod(F.xxhash64("url", F.lit(1)), F.lit(FOLDS)).cast("int"))
+    whole = lexical_features(picked.select("url").distinct().withColumn("row", F.lit(0)), "row", "url").join(picked, "url")
+    whole = stored(whole.select("suffix", *FEATURES[:5], "label", "fold"), "urls-sample")
+    sample = whole if only is None else whole.where(only)
+    n, ones = sample.agg(F.count("*"), F.sum("label")).first()
+    share = ones / n if n else 0.5
+    counts = features.groupBy("suffix").agg(F.floor(F.log2(F.count("*"))).alias("suffix_urls"))
+    by_fold = sample.groupBy("suffix", "fold").agg(F.sum("label").alias("ones"), F.count("*").alias("n"))
+    totals = by_fold.groupBy("suffix").agg(F.sum("ones").alias("all_ones"), F.sum("n").alias("all_n"))
+    statistics = stored(counts.join(totals, "suffix", "full").select("suffix", F.col("suffix_urls").cast("int"), rate_bin(F.col("all_ones"), F.col("all_n"), share).alias("suffix_rate")), "urls-suffixes")
+    out_of_fold = by_fold.join(totals, "suffix").select("suffix", "fold", rate_bin(F.col("all_ones") - F.col("ones"), F.col("all_n") - F.col("n"), share).alias("own_rate"))
+    training = with_suffix_statistics(sample, statistics).join(out_of_fold, ["suffix", "fold"]).withColumn("suffix_rate", clipped(F.col("own_rate")))
+    return UrlModel(train(stored(training.select(*FEATURES, "label"), "urls-training")), statistics, whole)
+
+
+def held_out_auc(features: DataFrame, labelled: DataFrame, sample_rows: int = SAMPLE_ROWS, fold: int = 0) -> float | None:
+    """Area under the curve on one fold of a model fitted on the others: 0.5 says that URLs tell nothing of their labels.
+
+    Scores are counted in a thousand bins, so what comes to the driver is bounded. None if the fold lacks a label.
+    """
+    model = fit_urls(features, labelled, sample_rows, F.col("fold") != fold)
+    held = model.scored(model.training.where(F.col("fold") == fold))
+    bins = held.groupBy(F.round(F.col("score") * 1000).cast("int").alias("bin")).agg(F.sum("label").alias("ones"), F.count("*").alias("n")).orderBy("bin").collect()
+    ones, zeros, below, area = sum(r["ones"] for r in bins), sum(r["n"] - r["ones"] for r in bins), 0, 0.0
+    for r in bins:
+        area += r["ones"] * (below + (r["n"] - r["ones"]) / 2)
+        below += r["n"] - r["ones"]
+    return area / (ones * zeros) if ones and zeros else None
+
+
+def judge_urls(pages: DataFrame, labelled: DataFrame, rules: list[PathRule], id_col: str = "page_id", url_col: str = "url", sample_rows: int = SAMPLE_ROWS, threshold: float = 0.5) -> DataFrame:
     """page_id, host, path, rule, verdict, score. labelled: (url, label), 1 for URLs to allow.
 
-    The forest is fitted on at most sample_rows labelled rows; suffixes are counted over all rows of pages.
+    A URL without a rule is allowed if its score, the forest's probability of label 1, reaches threshold: 0.5 where a wrong
+    block costs as much as a wrong permission, and cost of permission / (both costs) in general.
     """
     features = lexical_features(pages, id_col, url_col)
-    sample = labelled.select("url", F.col("label").cast("int").alias("label")).where("url is not null and label in (0, 1)").orderBy(F.xxhash64("url"), "url", "label").limit(sample_rows)
-    sample = stored(lexical_features(sample.withColumn("row", F.lit(0)), "row", "url").join(sample.select("url", "label").distinct(), "url"), "urls-sample")
-    counts = features.groupBy("suffix").agg(F.floor(F.log2(F.count("*"))).alias("suffix_urls"))
-    rates = sample.groupBy("suffix").agg(((F.sum("label") + 4) / (F.count("*") + 5) * BINS).alias("suffix_rate"))
-    statistics = stored(counts.join(rates, "suffix", "left").select("suffix", F.col("suffix_urls").cast("int"), F.coalesce("suffix_rate", F.lit(0.8 * BINS)).cast("int").alias("suffix_rate")), "urls-suffixes")
-    forest = train(stored(with_suffix_statistics(sample, statistics).select(*FEATURES, "label"), "urls-training"))
-    judged = with_suffix_statistics(features, statistics)
+    judged = fit_urls(features, labelled, sample_rows).scored(features)
     fit = fitting_rule(F.col("host"), F.col("path"), rules)
-    score = 1 / (1 + F.exp(-forest.score()))
-    judged = judged.select(F.col("id").alias("page_id"), "host", "path", fit.alias("fit"), score.alias("score"))
-    return judged.select("page_id", "host", "path", F.col("fit.rule").alias("rule"), F.coalesce("fit.verdict", F.when(F.col("score") >= 0.5, "allow").otherwise("block")).alias("verdict"), "score")
+    judged = judged.select(F.col("id").alias("page_id"), "host", "path", fit.alias("fit"), "score")
+    return judged.select("page_id", "host", "path", F.col("fit.rule").alias("rule"), F.coalesce("fit.verdict", F.when(F.col("score") >= threshold, "allow").otherwise("block")).alias("verdict"), "score")
