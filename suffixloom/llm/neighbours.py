@@ -3,7 +3,8 @@
 On a bounded sample the exact neighbour graph is cut into balanced parts (few edges between parts, equal sizes), and a small
 classifier learns to name a vector's part. Every row is indexed in its most probable part; a query goes to
 several most probable parts, as many as cover the sample's own neighbours to a target share, and candidates there are reranked by
-exact distance. Parts are searched in blocks of bounded size, so an overfull part is many tasks.
+exact distance. Parts are searched in blocks of bounded size, and queries come to them in blocks too, so an overfull or much asked
+part is many tasks.
 
 Identical vectors are searched once with their smallest ids, which is all that can be among the nearest.
 
@@ -163,8 +164,11 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "
     sizes = {r["part"]: r["count"] for r in indexed.groupBy("part").count().collect()}  # one row a part, MAX_PARTS at most
     blocks = F.element_at(F.array(*(F.lit(-(-sizes.get(p, 0) // BLOCK_ROWS)) for p in range(parts))), F.col("part") + 1)
     placed = indexed.select("id", "v", "part", F.pmod(F.xxhash64("id"), blocks).cast("int").alias("block"))
-    spread = routed(asked.distinct(), probes).select("id", "v", F.explode("parts").alias("part")).where(blocks > 0)
-    spread = spread.select("id", "v", "part", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("block"))
+    spread = stored(routed(asked.distinct(), probes).select("id", "v", F.explode("parts").alias("part")).where(blocks > 0), "vectors-asked")
+    asks = {r["part"]: r["count"] for r in spread.groupBy("part").count().collect()}  # as above
+    crowds = F.element_at(F.array(*(F.lit(-(-asks.get(p, 0) // BLOCK_ROWS)) for p in range(parts))), F.col("part") + 1)
+    spread = spread.select("id", "v", "part", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("block"), F.pmod(F.xxhash64("id", F.lit(1)), crowds).cast("int").alias("crowd"))
+    placed = placed.where(crowds > 0).select("id", "v", "part", "block", F.explode(F.sequence(F.lit(0), crowds - 1)).alias("crowd"))
 
     def search(wanted: pa.Table, held: pa.Table) -> pa.Table:
         out: list[list] = [[], [], []]
@@ -181,6 +185,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "
                 out[2] += score[near].tolist()
         return pa.table([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.float64())], names=["query_id", "vec_id", "score"])
 
-    found = spread.groupBy("part", "block").cogroup(placed.groupBy("part", "block")).applyInArrow(search, "query_id long, vec_id long, score double")
+    met = ("part", "block", "crowd")
+    found = spread.groupBy(*met).cogroup(placed.groupBy(*met)).applyInArrow(search, "query_id long, vec_id long, score double")
     best = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return found.distinct().withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
