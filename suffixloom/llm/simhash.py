@@ -35,8 +35,8 @@ _SLICE = 1 << 16
 _DEALT = 10_000
 #: Shingles that a task holds at a time, and texts whose prefixes meet in one.
 _HELD, _MET = 1 << 21, 5_000
-#: Bits of a sketch.
-_SKETCH = 2048
+#: Bits of a sketch at least.
+_SKETCH = 256
 #: Nodes of a crowded bucket to a block, and of a small bucket at most.
 _BLOCK, _FEW = 512, 16
 #: Words whose hashes a worker remembers, and texts with a shingle beyond which it is dealt to all tasks.
@@ -213,17 +213,26 @@ def similar_edges(edges: DataFrame, texts: DataFrame, width: int, similarity: fl
     return both.mapInArrow(run, "a long, b long, fine boolean").where("fine").select("a", "b")
 
 
+def sketch(shingles: np.ndarray) -> bytes:
+    """Parities of how many shingles fall on each of m bits, m the power of two from their number on, and _SKETCH at least."""
+    m = max(_SKETCH, 1 << (len(shingles) - 1).bit_length()) if len(shingles) else _SKETCH
+    return np.packbits(np.bincount((shingles & np.uint64(m - 1)).astype(np.int64), minlength=m).astype(np.uint8) & 1, bitorder="little").tobytes()
+
+
+def folded(bits: bytes, n: int) -> np.ndarray:
+    """A sketch as n bytes: the parities over fewer bits follow from those over more."""
+    out = np.frombuffer(bits, np.uint8)
+    while len(out) > n:
+        out = out[: len(out) // 2] ^ out[len(out) // 2 :]
+    return out
+
+
 def sketches(texts: DataFrame, width: int) -> DataFrame:
-    """(node, size, bits): how many distinct shingles a text (node, text) has, and a bit for each of their numbers."""
+    """(node, size, bits): how many distinct shingles a text (node, text) has, and their sketch."""
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
-        sizes, bits = [], []
-        for data in utf8(batch.column(1)):
-            shingles, own = shingle_set(data, width), np.zeros(_SKETCH, np.uint8)
-            own[shingles % np.uint64(_SKETCH)] = 1
-            sizes.append(len(shingles))
-            bits.append(np.packbits(own).tobytes())
-        return {"node": batch.column(0).to_pylist(), "size": sizes, "bits": bits}
+        sets = [shingle_set(data, width) for data in utf8(batch.column(1))]
+        return {"node": batch.column(0).to_pylist(), "size": [len(x) for x in sets], "bits": [sketch(x) for x in sets]}
 
     return arrow_map(texts.select("node", "text"), rows, "node long, size long, bits binary")
 
@@ -234,13 +243,17 @@ def possible_edges(edges: DataFrame, drawn: DataFrame, similarity: float) -> Dat
     Each bit in which two sketches differ stands for a shingle that only one text has, of which similar texts have
     at most (1 - similarity) / (1 + similarity) of their sizes' sum.
     """
+    most = (1 - similarity) / (1 + similarity)
+
+    def may(m: int, n: int, x: bytes, y: bytes) -> bool:
+        if min(m, n) < similarity * max(m, n) - 1e-6:
+            return False
+        k = min(len(x), len(y))
+        return int(np.bitwise_count(folded(x, k) ^ folded(y, k)).sum()) <= most * (m + n) + 1e-6
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
-        a, b, m, n, x, y = (c.to_pylist() for c in batch.columns)
-        apart = [(int.from_bytes(p) ^ int.from_bytes(q)).bit_count() for p, q in zip(x, y)]
-        most = (1 - similarity) / (1 + similarity)
-        fine = [min(i, j) >= similarity * max(i, j) - 1e-6 and d <= most * (i + j) + 1e-6 for i, j, d in zip(m, n, apart)]
-        return {"a": a, "b": b, "fine": fine}
+        a, b, *sides = (c.to_pylist() for c in batch.columns)
+        return {"a": a, "b": b, "fine": [may(*each) for each in zip(*sides)]}
 
     with_a = edges.join(drawn.select(F.col("node").alias("a"), F.col("size").alias("m"), F.col("bits").alias("x")), "a")
     both = with_a.join(drawn.select(F.col("node").alias("b"), F.col("size").alias("n"), F.col("bits").alias("y")), "b").select("a", "b", "m", "n", "x", "y")
@@ -355,22 +368,29 @@ def met_in_crowds(crowds: DataFrame, similarity: float, best: bool) -> DataFrame
 
     def meet(group: pa.Table) -> pa.Table:
         node, root, size, block, i, j = (group.column(c).to_numpy() for c in ("node", "root", "size", "block", "i", "j"))
-        bits = np.unpackbits(np.frombuffer(b"".join(group.column("bits").to_pylist()), np.uint8)).reshape(len(node), _SKETCH).astype(np.float32)
-        left, right = np.flatnonzero(block == i[0]), np.flatnonzero(block == j[0])
-        ones = bits.sum(1)
-        apart = ones[left][:, None] + ones[right][None, :] - 2 * bits[left] @ bits[right].T
-        m, n = size[left][:, None], size[right][None, :]
-        fine = (root[left][:, None] != root[right][None, :]) & (apart <= most * (m + n) + 1e-6) & (np.minimum(m, n) >= similarity * np.maximum(m, n) - 1e-6)
-        if i[0] == j[0]:
-            fine &= node[left][:, None] < node[right][None, :]
-        x, y = np.nonzero(fine)
-        if best and len(x):
-            order = np.lexsort((apart[x, y], root[right][y], x))
-            x, y = x[order], y[order]
-            first = np.ones(len(x), bool)
-            first[1:] = (x[1:] != x[:-1]) | (root[right][y[1:]] != root[right][y[:-1]])
-            x, y = x[first], y[first]
-        a, b = node[left][x], node[right][y]
+        bits = group.column("bits").to_pylist()
+        long = np.array([len(x) for x in bits])
+        first, second = [], []
+        for k in np.unique(long):
+            # sizes that are alike have sketches that differ twofold in length at most; the shorter length decides
+            near = (long == k) | (long == 2 * k)
+            left, right = np.flatnonzero(near & (block == i[0])), np.flatnonzero(near & (block == j[0]))
+            words = {r: folded(bits[r], k).view(np.uint64) for r in np.union1d(left, right)}
+            others = np.array([words[r] for r in right], np.uint64).reshape(len(right), -1)
+            for r in left:
+                fine = (root[right] != root[r]) & ((long[right] == k) | (long[r] == k)) & (np.minimum(size[right], size[r]) >= similarity * np.maximum(size[right], size[r]) - 1e-6)
+                if i[0] == j[0]:
+                    fine &= node[right] > node[r]
+                at = np.flatnonzero(fine)
+                apart = np.bitwise_count(others[at] ^ words[r]).sum(1, dtype=np.int64)
+                kept = apart <= most * (size[right[at]] + size[r]) + 1e-6
+                at, apart = right[at[kept]], apart[kept]
+                if best:
+                    at = at[np.lexsort((apart, root[at]))]
+                    at = at[np.unique(root[at], return_index=True)[1]]
+                first.append(np.full(len(at), node[r]))
+                second.append(node[at])
+        a, b = (np.concatenate([np.empty(0, np.int64), *x]) for x in (first, second))
         return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
 
     return keyed.groupBy("token", "i", "j").applyInArrow(meet, "a long, b long").distinct()
