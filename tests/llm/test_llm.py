@@ -437,6 +437,19 @@ def test_keep_one_in_a_crowd_and_among_equal_fingerprints(spark):
     assert sorted(r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()) == want
 
 
+def test_sketches_never_rule_out_similar_sets():
+    rng = np.random.default_rng(14)
+    for n in (1, 5, 200, 300, 3000, 40_000):
+        both = np.unique(rng.integers(0, 1 << 63, 3 * n, np.uint64))
+        rng.shuffle(both)
+        for k in (0, n // 18, n // 9, n):
+            x, y = np.sort(both[:n]), np.sort(both[k : n + k])
+            p, q = simhash.sketch(x), simhash.sketch(np.sort(np.concatenate([y, both[2 * n : 2 * n + n // 10]])))
+            size = min(len(p), len(q))
+            apart = int(np.bitwise_count(simhash.folded(p, size) ^ simhash.folded(q, size)).sum())
+            assert apart <= 2 * k + n // 10 and (k < n or n < 100 or apart > 0.23 * n)
+
+
 def test_prefixes_meet_at_the_limit_in_any_order():
     rng = np.random.default_rng(13)
     for n in range(1, 120):
