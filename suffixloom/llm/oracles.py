@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 
 from . import secrets
 
@@ -60,9 +61,13 @@ def op2_sql() -> str:
         table = "[" + ", ".join(str(round(n * math.log2(n) * secrets.SCALE) if n else 0) for n in range(c.window + 1)) + "]"
         window = f"v[j:j + {c.window - 1}]"
         total = f"list_sum([{table}[length(w) - length(replace(w, c, '')) + 1] for c in list_distinct(string_split(w, ''))])"
-        least = f"(SELECT min(total) FROM (SELECT {total} AS total FROM (SELECT {window} AS w FROM (SELECT unnest(range(1, length(v) - {c.window - 2})) AS j))))"
-        tests = [f"regexp_matches(v, {_sql(p)})" for p in c.need] + [f"NOT regexp_matches(v, {_sql(p)})" for p in secrets.ALLOWED]
-        kinds.append((c.kind, _spans(f"[{c.chars}]{{{c.min_chars},}}", 0, c.min_chars), " AND ".join(tests) + f" AND {least} <= {c.max_sum}"))
+        # DuckDB's expressions never recurse, so they need no possessive repetitions
+        runs = [re.sub(r"(?<=[\])])([*+])\+", r"\1", p) for p in secrets.ALLOWED_RUNS]
+        first = "arg_min(w, total * 100000000 + j)"
+        free = " AND ".join(f"NOT regexp_matches({first}, {_sql(p)})" for p in secrets.ALLOWED_WINDOWS)
+        best = f"(SELECT min(total) <= {c.max_sum} AND {free} FROM (SELECT w, j, {total} AS total FROM (SELECT {window} AS w, j FROM (SELECT unnest(range(1, length(v) - {c.window - 2})) AS j))))"
+        tests = [f"regexp_matches(v, {_sql(p)})" for p in c.need] + [f"NOT regexp_matches(v, {_sql(p)})" for p in runs]
+        kinds.append((c.kind, _spans(f"[{c.chars}]{{{c.window},}}", 0, c.window), " AND ".join(tests) + f" AND {best}"))
     rows = "\nUNION ALL\n".join(f"SELECT doc_id, {i} AS o, '{k}' AS kind, x.s AS s, x.e AS e, x.v AS v FROM (SELECT doc_id, unnest({spans}) AS x FROM d)" for i, (k, spans, _) in enumerate(kinds))
     judged = "\nUNION ALL\n".join(f"SELECT doc_id, o, kind, s, e FROM r WHERE o = {i} AND {test}" for i, (_, _, test) in enumerate(kinds))
     name = "kind || ':' || s || ':' || e"
