@@ -10,7 +10,7 @@ from pyspark.sql import SparkSession
 
 from suffixloom.plans.workloads import QUERIES
 
-HEADLINES = ("idx_sa_rnd", "mat_sa_rnd", "idx_sa_names", "idx_sa_props", "group_sizes_w10", "self_expansion", "idx_vs_mat_bytes", "boundaries", "range_balance", "shard_load", "accumulate_batches_mid", "app_search", "app_seed_align", "memory_efficiency", "time_model_fit")
+HEADLINES = ("idx_sa_dna", "mat_sa_dna", "idx_sa_rnd", "mat_sa_rnd", "idx_sa_names", "idx_sa_props", "group_sizes_w10", "self_expansion", "idx_vs_mat_bytes", "boundaries", "range_balance", "shard_load", "accumulate_batches_mid", "app_search", "app_seed_align", "memory_efficiency", "time_model_fit")
 
 
 def main() -> None:

@@ -36,6 +36,28 @@ class Alphabet:
         rows = reads.select(F.explode(F.array_distinct(F.split(seq_col, ""))).alias("c")).where("c <> ''").distinct().collect()
         return Alphabet("".join(sorted(r["c"] for r in rows)))
 
+    def sound(self, seq: Column) -> Column:
+        """seq, or a failure at run time where it holds a symbol that has no rank."""
+        return F.when(F.translate(seq, self.symbols, "") == "", seq).otherwise(F.raise_error(F.concat(F.lit("a read holds symbols beside "), F.lit(self.symbols))))
+
+    def prepared(self, seq: Column, width: int) -> Column | None:
+        """What heads of all suffixes of a read can be cut from, made once for each read: digits, and zeros for the end."""
+        if self.base > 36:
+            return None
+        return F.concat(F.translate(seq, self.symbols, self._digits()), F.lit("0" * width))
+
+    def code_at(self, prepared: Column, offset: Column, width: int, int_key: bool = False) -> Column:
+        """Code of the suffix from offset on."""
+        self._fits(width, int_key)
+        return F.conv(F.substring(prepared, offset + 1, F.lit(width)), self.base, 10).cast("int" if int_key else "long")
+
+    def _digits(self) -> str:
+        return "0123456789abcdefghijklmnopqrstuvwxyz"[1 : self.base]
+
+    def _fits(self, width: int, int_key: bool) -> None:
+        if width > max_prefix_width(self.base, 32 if int_key else 64):
+            raise ValueError(f"{width} symbols of base {self.base} don't fit the key")
+
     #: Whether a code stands for a whole number of symbols, so that a tail may leave them out.
     whole_symbols = True
 
@@ -50,12 +72,10 @@ class Alphabet:
 
     def encode(self, text: Column, width: int, int_key: bool = False) -> Column:
         """Code of the first width symbols; text must hold symbols of this alphabet only."""
-        if width > max_prefix_width(self.base, 32 if int_key else 64):
-            raise ValueError(f"{width} symbols of base {self.base} don't fit the key")
+        self._fits(width, int_key)
         head = F.substring(text, 1, width)
         if self.base <= 36:
-            digits = "0123456789abcdefghijklmnopqrstuvwxyz"[1 : self.base]
-            code = F.conv(F.rpad(F.translate(head, self.symbols, digits), width, "0"), self.base, 10)
+            code = F.conv(F.rpad(F.translate(head, self.symbols, self._digits()), width, "0"), self.base, 10)
         else:
             rank = F.create_map(*(F.lit(x) for i, s in enumerate(self.symbols) for x in (s, i + 1)))
             chars = F.split(F.rpad(head, width, "\0"), "")
@@ -66,17 +86,25 @@ class Alphabet:
         """The symbols of a code, without the filling."""
         if self.base > 36:
             raise ValueError("decoding is written for bases up to 36")
-        digits = "0123456789abcdefghijklmnopqrstuvwxyz"[1 : self.base]
         text = F.lpad(F.lower(F.conv(code.cast("string"), 10, self.base)), width, "0")
-        return F.translate(F.regexp_replace(text, "0+$", ""), digits, self.symbols)
+        return F.translate(F.regexp_replace(text, "0+$", ""), self._digits(), self.symbols)
 
 
 class Bytes:
-    """UTF-8 bytes as they are: up to 7 to a long. Codes of texts with NUL would be ambiguous; those are refused upstream."""
+    """UTF-8 bytes as they are: up to 7 to a long. Codes of texts with NUL would be ambiguous; sound() refuses them."""
 
     base = 256
     whole_symbols = False
 
+    @staticmethod
+    def sound(seq: Column) -> Column:
+        """seq, or a failure at run time where it holds NUL."""
+        return F.when(~F.contains(seq, F.lit("\0")), seq).otherwise(F.raise_error(F.lit("a read holds NUL, which byte codes keep for the end")))
+
+    @staticmethod
+    def prepared(seq: Column, width: int) -> None:
+        return None
+
     @staticmethod
     def window(suffix: Column, begin: int, width: int) -> Column:
         return F.substring(F.encode(suffix, "utf-8"), begin + 1, width)
@@ -94,6 +122,8 @@ class Bytes:
 
 
 DNA = Alphabet("ACGT")
+#: With the symbol that sequencers write for a base they could not tell.
+DNA_N = Alphabet("ACGNT")
 
 
 def prefix_key(text: Column, width: int) -> Column:

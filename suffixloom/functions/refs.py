@@ -29,6 +29,12 @@ class RefLayout:
     def offset(self, ref: Column) -> Column:
         return F.pmod(ref, F.lit(self.stride))
 
+    def sound(self, read_id: Column, seq: Column) -> Column:
+        """seq, or a failure at run time where it or its number is null or doesn't fit this layout; costs nothing beside a scan."""
+        far = ((1 << 63) - 1) // self.stride - 1
+        fine = (F.length(seq) < self.stride) & read_id.between(0, far)
+        return F.when(fine, seq).otherwise(F.raise_error(F.concat(F.lit("a read is null, numbered out of range, or as long as the stride or longer: "), F.lit(self.stride))))
+
     def check(self, reads: DataFrame) -> None:
         """Raises if a read is too long or too far out for this layout, or has no text."""
         worst = reads.agg(F.max(F.length("seq")).alias("n"), F.max("read_id").alias("id"), F.count_if(F.col("seq").isNull() | F.col("read_id").isNull()).alias("nulls")).first()

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -29,8 +30,9 @@ def oversize_groups(refs: DataFrame, limit: int) -> DataFrame:
 def accumulate_groups(groups: DataFrame, limit: int = 1_600_000, mode: str = "exact", range_col: str | None = None) -> DataFrame:
     """Consecutive groups gathered until their suffixes pass the limit: batch_id, groups, suffixes (and range_col).
 
-    exact closes a batch with the group that passes the limit; within a range, groups come sorted to one pass that
-    holds a batch's totals only. bucketed divides the running sum, which needs no sequential pass.
+    exact closes a batch with the group that passes the limit. Each range (range_col; one for all without) is a pass of its own over
+    its sorted groups, that steps from batch to batch by binary search and holds a batch's totals only, as each reducer
+    gathers the groups of its range. bucketed divides the running sum, which needs no sequential pass.
     """
     keyed = groups.withColumn("range", F.col(range_col) if range_col else F.lit(0))
     if mode == "bucketed":
@@ -40,23 +42,34 @@ def accumulate_groups(groups: DataFrame, limit: int = 1_600_000, mode: str = "ex
     else:
 
         def run(batches):
-            state: dict = {"range": None, "id": 0, "groups": 0, "suffixes": 0}
-            for pdf in batches:
+            range_, batch_id, groups, total = None, 0, 0, 0
+            for table in batches:
                 rows = []
-                for r, n in zip(pdf["range"], pdf["n"]):
-                    if state["range"] is not None and r != state["range"]:
-                        if state["groups"]:
-                            rows.append((state["range"], state["id"], state["groups"], state["suffixes"]))
-                        state.update(id=0, groups=0, suffixes=0)
-                    state["range"] = r
-                    state["groups"] += 1
-                    state["suffixes"] += n
-                    if state["suffixes"] > limit:
-                        rows.append((r, state["id"], state["groups"], state["suffixes"]))
-                        state.update(id=state["id"] + 1, groups=0, suffixes=0)
-                yield pd.DataFrame(rows, columns=["range", "batch_id", "groups", "suffixes"])
-            if state["groups"]:
-                yield pd.DataFrame([(state["range"], state["id"], state["groups"], state["suffixes"])], columns=["range", "batch_id", "groups", "suffixes"])
-
-        out = keyed.select("range", "code", "n").repartition("range").sortWithinPartitions("range", "code").mapInPandas(run, "range int, batch_id long, groups long, suffixes long")
+                ranges, sizes = table.column(0).to_numpy(), table.column(1).to_numpy()
+                edges = [*(np.flatnonzero(np.diff(ranges)) + 1), len(ranges)] if len(ranges) else []
+                for first, last in zip([0, *edges], edges):
+                    if ranges[first] != range_:
+                        if groups:
+                            rows.append((range_, batch_id, groups, total))
+                        range_, batch_id, groups, total = int(ranges[first]), 0, 0, 0
+                    sums, at, base = np.cumsum(sizes[first:last]), 0, 0
+                    while at < len(sums):
+                        # the group with which the batch passes the limit closes it
+                        end = int(np.searchsorted(sums, limit - total + base, side="right"))
+                        if end >= len(sums):
+                            groups, total, at = groups + len(sums) - at, total + int(sums[-1]) - base, len(sums)
+                        else:
+                            rows.append((range_, batch_id, groups + end + 1 - at, total + int(sums[end]) - base))
+                            batch_id, groups, total, at, base = batch_id + 1, 0, 0, end + 1, int(sums[end])
+                yield batch_of(rows)
+            if groups:
+                yield batch_of([(range_, batch_id, groups, total)])
+
+        def batch_of(rows):
+            columns = zip(*rows) if rows else [[]] * 4
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["range", "batch_id", "groups", "suffixes"])
+
+        ordered = keyed.select(F.col("range").cast("long").alias("range"), "code", "n").repartition("range").sortWithinPartitions("range", "code").select("range", "n")
+        out = ordered.mapInArrow(run, "range long, batch_id long, groups long, suffixes long")
+    out = out.withColumnRenamed("range", range_col) if range_col else out
     return out if range_col else out.drop("range")

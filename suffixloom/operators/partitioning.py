@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from bisect import bisect_left
-
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.refs import RefLayout
+from ..scratch import stored
+from .positions import with_positions
+
 #: Fixed values of the sampling order: a multiplicative hash of the reference.
 MULTIPLIER, INNER, OUTER = 2654435761, 1 << 31, 1 << 32
 
@@ -22,18 +25,21 @@ def sample_keys(refs: DataFrame, n: int) -> DataFrame:
 
 
 def sample_boundaries(refs: DataFrame, parts: int, per_part: int = 10_000) -> list[int]:
-    """parts - 1 cut points: every per_part-th key of a sorted sample of parts * per_part keys."""
-    keys = sorted(r["code"] for r in sample_keys(refs, parts * per_part).collect())  # parts * per_part rows at most
-    step = max(1, min(per_part, len(keys) // parts or 1))
-    return [keys[i * step - 1] for i in range(1, parts) if i * step <= len(keys)]
+    """parts - 1 cut points: every per_part-th key of a sorted sample of parts * per_part keys. Only they come to the driver."""
+    keys = stored(sample_keys(refs, parts * per_part), "sampled-keys")
+    step = max(1, min(per_part, keys.count() // parts or 1))
+    placed = with_positions(keys.repartitionByRange("code").sortWithinPartitions("code", "ref"), "sampled-order")
+    at = F.col("pos") + 1
+    rows = placed.where((at % step == 0) & (at / step < parts)).select("code", (at / step).cast("int").alias("i")).collect()  # parts - 1 rows at most
+    return [r["code"] for r in sorted(rows, key=lambda r: r["i"])]
 
 
-def sample_reads(reads: DataFrame, alphabet, width: int, per_read: int = 1, layout=None) -> DataFrame:
+def sample_reads(reads: DataFrame, alphabet, width: int, per_read: int = 1, layout: RefLayout = RefLayout()) -> DataFrame:
     """Keys at hashed offsets of each read: a sample for boundaries that needs no expansion of all suffixes."""
     offsets = F.explode(F.transform(F.sequence(F.lit(1), F.lit(per_read)), lambda i: F.pmod(F.xxhash64(F.col("read_id"), i), F.length("seq") + 1).cast("int"))).alias("off")
     at = reads.select("read_id", "seq", offsets)
     head = F.substring(F.col("seq"), F.col("off") + 1, F.lit(width))
-    return at.select(alphabet.encode(head, width).alias("code"), (F.col("read_id") * 1000 + F.col("off")).alias("ref"))
+    return at.select(alphabet.encode(head, width).alias("code"), layout.pack(F.col("read_id"), F.col("off")).alias("ref"))
 
 
 def assign_partition(df: DataFrame, boundaries: list[int], code: str = "code", name: str = "part") -> DataFrame:
@@ -48,12 +54,12 @@ def assign_partition(df: DataFrame, boundaries: list[int], code: str = "code", n
             return F.when(F.col(code) <= boundaries[mid], tree(low, mid)).otherwise(tree(mid + 1, high))
 
         return df.withColumn(name, tree(0, len(boundaries)))
-    cuts = list(boundaries)
+    cuts = np.array(boundaries, np.int64)
 
     def run(batches):
         for batch in batches:
-            found = [bisect_left(cuts, x) for x in batch.column(batch.schema.get_field_index(code)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.int32())], names=[*batch.schema.names, name])
+            found = np.searchsorted(cuts, batch.column(batch.schema.get_field_index(code)).to_numpy(zero_copy_only=False))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found.astype(np.int32))], names=[*batch.schema.names, name])
 
     return df.mapInArrow(run, df.schema.simpleString().removeprefix("struct<").removesuffix(">") + f",{name}:int")
 
@@ -63,5 +69,11 @@ def balance_report(routed: DataFrame) -> DataFrame:
     return routed.groupBy("part").agg(F.count("*").alias("n"))
 
 
+def balance_summary(routed: DataFrame, row_bytes: int = 16) -> DataFrame:
+    """One row: parts, suffixes, bytes of the largest part, its share of all, and how many times the mean it is."""
+    n = balance_report(routed)
+    return n.agg(F.count("*").alias("parts"), F.sum("n").alias("suffixes"), (F.max("n") * row_bytes).alias("largest_bytes"), F.round(F.max("n") / F.sum("n"), 6).alias("largest_share"), F.round(F.max("n") / F.avg("n"), 6).alias("over_mean"))
+
+
 def shard_of(read_id: Column, instances: int) -> Column:
     return F.pmod(read_id, F.lit(instances))

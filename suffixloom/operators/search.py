@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.refs import RefLayout
@@ -10,17 +10,55 @@ from .suffixes import expand_suffixes
 
 
 def search(reads: DataFrame, patterns: DataFrame, alphabet, width: int, layout: RefLayout = RefLayout()) -> DataFrame:
-    """(pattern_id, ref) of all places of patterns (pattern_id, pattern). Patterns of at least `width` symbols meet references by the code of
-    their head, an equi-join, and are then compared whole; shorter ones are compared by head alone."""
-    n = F.length("pattern")
+    """(pattern_id, ref) of all places of patterns (pattern_id, pattern) of any length but zero; null and empty patterns have none.
+
+    A pattern is met by the code of its first symbols, width of them at most, in an equi-join: a suffix offers one head for each
+    length that occurs (width of them at most, a row each comes to the driver). Only longer patterns are then compared with reads.
+    """
     from .suffixes import expand_refs
 
-    refs = expand_refs(reads, alphabet, width, layout).select("code", "ref")
-    long = patterns.where(n >= width).withColumn("want", alphabet.encode(F.col("pattern"), width))
-    met = refs.join(long, refs["code"] == long["want"]).select("pattern_id", "pattern", "ref")
+    n = F.least(F.length("pattern"), F.lit(width))
+    known = patterns.where(F.length("pattern") > 0).select("pattern_id", "pattern", n.alias("m"))
+    lengths = sorted(r["m"] for r in known.select("m").distinct().collect())
+    heads = known.withColumn("want", alphabet.encode(F.col("pattern"), width))
+    if not alphabet.whole_symbols:
+        raise ValueError("search needs codes of whole symbols")
+    refs = expand_refs(reads, alphabet, width, layout)
+    cut = lambda m: F.col("code") - F.pmod("code", F.lit(alphabet.base ** (width - m)))
+    offered = refs.select("ref", "slen", F.explode(F.array(*(F.struct(F.lit(m).alias("m"), cut(m).alias("want")) for m in lengths))).alias("head")) if lengths else refs.select("ref", "slen", F.struct(F.lit(0).alias("m"), F.col("code").alias("want")).alias("head"))
+    met = offered.where("slen >= head.m").select("ref", F.col("head.m").alias("m"), F.col("head.want").alias("want")).join(heads, ["m", "want"]).select("pattern_id", "pattern", "ref")
     own = reads.select(F.col("read_id").alias("store_id"), "seq")
-    checked = met.join(own, layout.read_id(F.col("ref")) == F.col("store_id")).where(F.substring(F.col("seq"), layout.offset(F.col("ref")).cast("int") + 1, F.length("pattern")) == F.col("pattern"))
-    return checked.select("pattern_id", "ref")
+    long = met.where(F.length("pattern") > width).join(own, layout.read_id(F.col("ref")) == F.col("store_id"))
+    fits = long.where(F.substring(F.col("seq"), layout.offset(F.col("ref")).cast("int") + 1, F.length("pattern")) == F.col("pattern"))
+    return met.where(F.length("pattern") <= width).select("pattern_id", "ref").unionByName(fits.select("pattern_id", "ref"))
+
+
+def store_index(reads: DataFrame, alphabet, width: int, path: str, parts: int = 32, layout: RefLayout = RefLayout()) -> None:
+    """(code, ref, slen) sorted by code over range-partitioned files, whose least and greatest codes let a search skip nearly all of them."""
+    from .suffixes import expand_refs
+
+    refs = expand_refs(reads, alphabet, width, layout)
+    refs.repartitionByRange(parts, "code", "ref").sortWithinPartitions("code", "ref").write.mode("overwrite").parquet(path)
+
+
+def search_index(spark: SparkSession, path: str, reads: DataFrame, patterns: list[tuple[int, str]], alphabet, width: int, layout: RefLayout = RefLayout()) -> DataFrame:
+    """(pattern_id, ref) by a stored index, for a stated list of patterns of at least one symbol: each is an interval of codes, which
+    goes down to the scan. Only patterns longer than the width look at reads."""
+    if not patterns:
+        return spark.createDataFrame([], "pattern_id long, ref long")
+    code = lambda p: sum((alphabet.symbols.index(c) + 1) * alphabet.base ** (width - 1 - i) for i, c in enumerate(p[:width]))
+    span = lambda p: alphabet.base ** max(0, width - len(p))
+    bounds = [(i, p, code(p), code(p) + span(p) - 1) for i, p in patterns if set(p[:width]) <= set(alphabet.symbols)]
+    inside = F.lit(False)
+    for _, _, low, high in bounds:
+        inside = inside | F.col("code").between(low, high)
+    wanted = F.broadcast(spark.createDataFrame(bounds, "pattern_id long, pattern string, low long, high long"))
+    refs = spark.read.schema("code long, ref long, slen int").parquet(path).where(inside)
+    met = refs.join(wanted, F.col("code").between(F.col("low"), F.col("high"))).where(F.col("slen") >= F.least(F.length("pattern"), F.lit(width)))
+    own = reads.select(F.col("read_id").alias("store_id"), "seq")
+    long = met.where(F.length("pattern") > width).join(own, layout.read_id(F.col("ref")) == F.col("store_id"))
+    fits = long.where(F.substring(F.col("seq"), layout.offset(F.col("ref")).cast("int") + 1, F.length("pattern")) == F.col("pattern"))
+    return met.where(F.length("pattern") <= width).select("pattern_id", "ref").unionByName(fits.select("pattern_id", "ref"))
 
 
 def common_prefix_with_previous(sa: DataFrame) -> DataFrame:
@@ -35,7 +73,8 @@ def common_prefix_with_previous(sa: DataFrame) -> DataFrame:
     both = own.unionByName(edge).withColumn("prev", before)
     # doubling search on the length by comparing heads: log2 steps of native comparisons
     length = F.least(F.length("suffix"), F.length("prev"))
-    steps = F.array(*(F.lit(1 << k) for k in reversed(range(11))))
+    longest = sa.agg(F.max(F.length("suffix"))).first()[0] or 0
+    steps = F.array(*(F.lit(1 << k) for k in reversed(range(max(1, longest.bit_length())))))
     found = F.aggregate(steps, F.lit(0), lambda n, s: F.when((n + s <= length) & (F.substring(F.col("suffix"), F.lit(1), n + s) == F.substring(F.col("prev"), F.lit(1), n + s)), n + s).otherwise(n))
     return both.where(F.col("ref").isNotNull()).select("pos", "ref", F.coalesce(F.when(F.col("prev").isNull(), 0).otherwise(found), F.lit(0)).alias("lcp"))
 
@@ -62,7 +101,10 @@ def seeds(forward: DataFrame, reverse: DataFrame, k: int) -> DataFrame:
 
 
 def copied_passages(texts: DataFrame, items: DataFrame, id_col: str, item_col: str, seed: int = 32) -> DataFrame:
-    """(item_id, id) of passages found verbatim in whole texts: seeds of the passages' heads meet the texts' windows by hash."""
+    """(item_id, id) of passages of at least seed symbols found verbatim in whole texts: seeds of the passages' heads meet the texts' windows by hash.
+
+    Choose a seed no longer than the shortest passage; shorter passages have no seed and give no rows.
+    """
     heads = items.select(F.col(item_col).alias("item_id"), F.col("text").alias("passage"), F.xxhash64(F.substring("text", 1, seed)).alias("h")).where(F.length("passage") >= seed)
     at = texts.select(F.col(id_col).alias("id"), F.col("text").alias("body")).where(F.length("body") >= seed)
     grams = at.select("id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.length("body") - seed + 1), lambda i: F.xxhash64(F.substring(F.col("body"), i, F.lit(seed)))))).alias("h"))

@@ -5,13 +5,14 @@ put() lays reads out by read number once; a fetch sends references there and tai
 
 from __future__ import annotations
 
+import uuid
 from typing import Protocol
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.refs import RefLayout
-from ..scratch import stored
+from ..scratch import scratch_path, stored
 
 #: A store is broadcast only if its reads weigh at most this.
 BROADCAST_BYTES = 256 << 20
@@ -63,6 +64,15 @@ class PlacedStore(ShuffleStore):
         super().__init__(stored(reads.repartition(instances, "read_id"), "reads"))
 
 
+class BucketedStore(ShuffleStore):
+    """Reads as a table bucketed by number: a fetch sorts and sends references only, the reads stay where they lie."""
+
+    def __init__(self, reads: DataFrame, instances: int = 16):
+        spark, name = reads.sparkSession, f"reads_{uuid.uuid4().hex}"
+        reads.write.bucketBy(instances, "read_id").sortBy("read_id").option("path", scratch_path(spark, "reads-bucketed")).saveAsTable(name)
+        super().__init__(spark.table(name))
+
+
 class AutoStore(BroadcastStore):
     """Reads written once, then on every executor if they are few enough, else joined by number; the constructions' default."""
 
@@ -71,7 +81,7 @@ class AutoStore(BroadcastStore):
         super().__init__(stored(reads.repartition(max(16, weight_of(reads) // (32 << 20)), "read_id"), "reads"))
 
 
-STORES = {"auto": AutoStore, "shuffle": ShuffleStore, "broadcast": BroadcastStore, "placed": PlacedStore}
+STORES = {"auto": AutoStore, "shuffle": ShuffleStore, "broadcast": BroadcastStore, "placed": PlacedStore, "bucketed": BucketedStore}
 
 
 def fetch_tails(refs: DataFrame, store: ReadStore, layout: RefLayout = RefLayout(), skip: int = 0, whole: bool = False) -> DataFrame:

@@ -9,25 +9,52 @@ from ..functions.refs import RefLayout
 
 
 def expand_suffixes(reads: DataFrame, layout: RefLayout = RefLayout(), include_empty: bool = True, max_len: int | None = 1000) -> DataFrame:
-    """(ref, suffix): every suffix as text. Reads above max_len fail at run time, as their suffixes would be quadratic."""
+    """(ref, suffix): every suffix as text. Null reads, reads that don't fit the layout and those above max_len fail at run time; the last as their suffixes would be quadratic."""
     last = F.length("seq") if include_empty else F.length("seq") - 1
-    rows = reads.where(F.length("seq") > 0) if not include_empty else reads
+    rows = reads.select("read_id", layout.sound(F.col("read_id"), F.col("seq")).alias("seq"))
+    rows = rows.where(F.length("seq") > 0) if not include_empty else rows
     if max_len is not None:
         rows = rows.select("read_id", F.when(F.length("seq") <= max_len, F.col("seq")).otherwise(F.raise_error(F.lit(f"a read is longer than {max_len}: cut it first"))).alias("seq"))
     at = rows.select("read_id", "seq", F.explode(F.sequence(F.lit(0), last)).alias("off"))
     return at.select(layout.pack(F.col("read_id"), F.col("off")).alias("ref"), F.substring(F.col("seq"), F.col("off") + 1, F.length("seq")).alias("suffix"))
 
 
-def expand_refs(reads: DataFrame, alphabet, width: int, layout: RefLayout = RefLayout(), int_key: bool = False, include_empty: bool = True) -> DataFrame:
-    """(code, ref, slen): code of each suffix's first width symbols; slen = units of it, width at most. The text goes no further."""
+def expand_refs(reads: DataFrame, alphabet, width: int, layout: RefLayout = RefLayout(), int_key: bool = False, include_empty: bool = True, longer: list[int] | None = None) -> DataFrame:
+    """(code, ref, slen): code of each suffix's first width symbols; slen = units of it, width at most. The text goes no further.
+
+    Null reads, reads that don't fit the layout and symbols outside the alphabet fail at run time. With longer, suffixes with
+    one of these codes get a prefix of twice the width: more is the code of its second half (0 for others), and slen counts both.
+    """
+    if longer is not None:
+        return _longer_refs(reads, alphabet, width, layout, longer)
     last = F.length("seq") if include_empty else F.length("seq") - 1
-    rows = reads if include_empty else reads.where(F.length("seq") > 0)
+    rows = reads.select("read_id", layout.sound(F.col("read_id"), alphabet.sound(F.col("seq"))).alias("seq"))
+    rows = rows if include_empty else rows.where(F.length("seq") > 0)
+    digits = alphabet.prepared(F.col("seq"), width)
+    if digits is not None:
+        # made below the expansion, so once for each read
+        ready = rows.select("read_id", F.length("seq").alias("n"), digits.alias("digits"))
+        each = ready.select("read_id", "n", "digits", F.explode(F.sequence(F.lit(0), F.col("n") if include_empty else F.col("n") - 1)).alias("off"))
+        return each.select(alphabet.code_at(F.col("digits"), F.col("off"), width, int_key).alias("code"), layout.pack(F.col("read_id"), F.col("off")).alias("ref"), F.least(F.col("n") - F.col("off"), F.lit(width)).alias("slen"))
     at = rows.select("read_id", "seq", F.explode(F.sequence(F.lit(0), last)).alias("off"))
     # a unit is a symbol or a byte, so width symbols hold at least the units that are wanted
     head = at.select("read_id", "off", alphabet.window(F.substring(F.col("seq"), F.col("off") + 1, F.lit(width)), 0, width).alias("head"))
     return head.select(alphabet.encode(F.col("head"), width, int_key).alias("code"), layout.pack(F.col("read_id"), F.col("off")).alias("ref"), alphabet.units(F.col("head")).alias("slen"))
 
 
+def _longer_refs(reads: DataFrame, alphabet, width: int, layout: RefLayout, longer: list[int]) -> DataFrame:
+    rows = reads.select("read_id", layout.sound(F.col("read_id"), alphabet.sound(F.col("seq"))).alias("seq"))
+    at = rows.select("read_id", "seq", F.explode(F.sequence(F.lit(0), F.length("seq"))).alias("off"))
+    # twice the width in symbols holds as many units
+    head = at.select("read_id", "off", F.substring(F.col("seq"), F.col("off") + 1, F.lit(2 * width)).alias("head"))
+    halves = head.select("read_id", "off", alphabet.window(F.col("head"), 0, width).alias("head"), alphabet.window(F.col("head"), width, width).alias("next"))
+    coded = halves.withColumn("code", alphabet.encode(F.col("head"), width))
+    far = F.col("code").isin(longer) if longer else F.lit(False)
+    more = F.when(far, alphabet.encode(F.col("next"), width)).otherwise(F.lit(0).cast("long"))
+    slen = F.when(far, alphabet.units(F.col("head")) + alphabet.units(F.col("next"))).otherwise(alphabet.units(F.col("head")))
+    return coded.select("code", layout.pack(F.col("read_id"), F.col("off")).alias("ref"), slen.alias("slen"), more.alias("more"), far.alias("far"))
+
+
 def self_expansion(reads: DataFrame) -> DataFrame:
     """(reads, raw_bytes, suffix_bytes): suffixes weigh (1 + length) / 2 times their read."""
     n = F.length("seq").cast("long")

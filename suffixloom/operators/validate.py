@@ -18,6 +18,17 @@ def validate_order(sa: DataFrame) -> DataFrame:
     return pair.agg(wrong.alias("violations"), F.count("*").alias("n"), F.coalesce(F.sum("ref"), F.lit(0)).alias("sum_ref"))
 
 
+def neighbours(sa: DataFrame) -> DataFrame:
+    """(pos, ref) -> pos, ref, before, after: the references next to each, in blocks that share their edge rows."""
+    block = 1 << 14
+    own = sa.select("pos", "ref", (F.col("pos") / block).cast("long").alias("block"), F.lit(True).alias("own"))
+    last = own.where(F.col("pos") % block == block - 1).withColumns({"block": F.col("block") + 1, "own": F.lit(False)})
+    first = own.where((F.col("pos") % block == 0) & (F.col("pos") > 0)).withColumns({"block": F.col("block") - 1, "own": F.lit(False)})
+    order = Window.partitionBy("block").orderBy("pos")
+    both = own.unionByName(last).unionByName(first).withColumns({"before": F.lag("ref").over(order), "after": F.lead("ref").over(order)})
+    return both.where("own").select("pos", "ref", "before", "after")
+
+
 def digest(sa: DataFrame, block: int = 10_000) -> DataFrame:
     """(pos, ref) -> block, n, sum_ref, weighted: whole numbers that change if any reference moves."""
     return sa.groupBy((F.col("pos") / block).cast("long").alias("block")).agg(F.count("*").alias("n"), F.sum("ref").alias("sum_ref"), F.sum((F.col("pos") % block + 1) * (F.col("ref") % 1_000_003)).alias("weighted"))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.alphabet import DNA, prefix_key
 from ..functions.refs import RefLayout
-from ..operators.partitioning import assign_partition, sample_boundaries
+from ..operators.partitioning import assign_partition, sample_boundaries, sample_reads
 from ..operators.positions import with_positions
 from ..operators.refine import refine_until_unique
 from ..operators.store import STORES, fetch_tails
@@ -34,15 +34,18 @@ def read_suffixes(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("ref long, suffix string").parquet(path)
 
 
-def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "auto", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout()) -> DataFrame:
+def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_key: bool = False, parts: int = 32, store: str = "auto", short_rule: bool = True, singleton_rule: bool = True, whole_reads: bool = False, explicit_ranges: bool = False, per_part: int = 1000, emit: str = "ref", layout: RefLayout = RefLayout(), longer_above: int = 1_600_000) -> DataFrame:
     """(pos, ref[, suffix]): keys and references are shuffled, text is looked up only for groups that need it.
 
     A suffix shorter than the prefix is its prefix (short_rule), and a group of one is in order (singleton_rule): neither asks the
-    store. For the others the tail behind the prefix is fetched. No group is ever gathered: partitions are sorted externally.
+    store. For the others the tail behind the prefix is fetched. No group is ever gathered: partitions are sorted externally. Groups above
+    longer_above suffixes that would fill a large part of a range get a prefix of twice the width before they are dealt.
     """
     held = STORES[store](reads)
     if emit == "ref" and singleton_rule and not (whole_reads or explicit_ranges):
-        return _in_one_exchange(expand_refs(held.reads(), alphabet, width, layout, int_key), held, width if short_rule else 0, parts, width if alphabet.whole_symbols else 0, layout)
+        longer = [] if int_key else oversize_codes(held.reads(), alphabet, width, parts, longer_above, layout)
+        refs = expand_refs(held.reads(), alphabet, width, layout, int_key, longer=longer or None)
+        return _in_one_exchange(refs, held, width if short_rule else 0, parts, width if alphabet.whole_symbols else 0, width, layout)
     skip = width if emit != "suffix" and alphabet.whole_symbols else 0
     refs = expand_refs(held.reads(), alphabet, width, layout, int_key)
     none = refs.where(F.lit(False)).select("code", "ref")
@@ -70,21 +73,29 @@ def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_ke
     return with_positions(ordered.select("ref", F.col("tail").alias("suffix")) if emit == "suffix" else ordered.select("ref"), "indexed")
 
 
-def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, layout: RefLayout) -> DataFrame:
+def oversize_codes(reads: DataFrame, alphabet, width: int, parts: int, limit: int, layout: RefLayout) -> list[int]:
+    """Codes whose groups a sample of one suffix a read puts above limit and above a quarter of a range: 4 * parts of them at most."""
+    n, total = reads.agg(F.count("*"), F.coalesce(F.sum(F.length("seq") + 1), F.lit(0))).first()
+    if total <= limit:
+        return []
+    least = max(limit, total / parts / 4) * n / total
+    seen = sample_reads(reads, alphabet, width, 1, layout).groupBy("code").agg(F.count("*").alias("n")).where(F.col("n") > least)
+    return [r["code"] for r in seen.orderBy(F.desc("n"), "code").limit(4 * parts).select("code").collect()]
+
+
+def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, width: int, layout: RefLayout) -> DataFrame:
     """(pos, ref): references are dealt to code ranges once, and groups are counted there, where they stand sorted.
 
-    With a store on every executor, tails are cut in place. Otherwise what is settled has its position at once, and only
-    groups that need text travel further: to the reads, and back to their group, whose first position they carry.
+    What is settled has its position at once; only groups that need text travel further, to the reads and back to their
+    group, whose first position they carry. Groups with longer prefixes are told apart by those, so that they spread over ranges.
     """
-    group = Window.partitionBy("code")
+    keys = ["code", "more"] if "more" in refs.columns else ["code"]
+    group = Window.partitionBy(*keys)
     whole = group.orderBy("ref").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    counted = refs.repartitionByRange(parts, "code").withColumn("n", F.count("*").over(whole))
-    needs = (F.col("n") > 1) & (F.col("slen") >= least)
-    judged = counted.select("code", "ref", needs.alias("needs"))
-    if held.everywhere():
-        tails = fetch_tails(judged, held, layout, skip).withColumn("tail", F.when(F.col("needs"), F.col("tail")))
-        return with_positions(tails.sortWithinPartitions("code", "tail", "ref").select("ref"), "indexed")
-    placed = with_positions(judged, "indexed")
+    counted = refs.repartitionByRange(parts, *keys).withColumn("n", F.count("*").over(whole))
+    full = F.when(F.col("far"), F.col("slen") >= 2 * width).otherwise(F.col("slen") >= width) if "more" in refs.columns else F.col("slen") >= width
+    needs = (F.col("n") > 1) & (full if least else F.lit(True))
+    placed = with_positions(counted.select(*keys, "ref", needs.alias("needs")), "indexed")
     tails = fetch_tails(placed.where("needs"), held, layout, skip)
     moved = F.min("pos").over(group) + F.row_number().over(group.orderBy("tail", "ref")) - 1
     return placed.where("NOT needs").select("ref", "pos").unionByName(tails.select("ref", moved.alias("pos")))
@@ -93,7 +104,7 @@ def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, l
 def refined_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, parts: int = 32, layout: RefLayout = RefLayout()) -> DataFrame:
     """(pos, ref) by lengthening prefixes only where groups share them; eight bytes a round and reference, never text."""
     paths, _ = refine_until_unique(reads, alphabet, width, layout)
-    return with_positions(paths.repartitionByRange(parts, "path").sortWithinPartitions("path", "ref").select("ref"), "refined")
+    return with_positions(paths.repartitionByRange(parts, "path", "ref").sortWithinPartitions("path", "ref").select("ref"), "refined")
 
 
 def suffix_array_in_passes(reads: DataFrame, boundaries: list[int], alphabet=DNA, width: int = 23, parts: int = 32, layout: RefLayout = RefLayout()) -> list[DataFrame]:
@@ -107,5 +118,5 @@ def suffix_array_in_passes(reads: DataFrame, boundaries: list[int], alphabet=DNA
         if high is not None:
             refs = refs.where(F.col("code") <= high)
         tails = fetch_tails(refs, STORES["shuffle"](reads), layout, width if alphabet.whole_symbols else 0)
-        out.append(tails.repartitionByRange(parts, "code").sortWithinPartitions("code", "tail", "ref").select("code", "ref"))
+        out.append(tails.repartitionByRange(parts, "code", "tail", "ref").sortWithinPartitions("code", "tail", "ref").select("code", "ref"))
     return out

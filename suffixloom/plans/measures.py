@@ -42,6 +42,44 @@ def map_side_units(pair_bytes: float, records: float, split_bytes_in_units: floa
     return (1 + early) * split_bytes_in_units, (2 + early) * split_bytes_in_units
 
 
+def scheme_units(pair_bytes: int, length: int, spills: int, factor: int = 10, output_units: float = 1.01) -> dict[tuple[str, str], float]:
+    """The seven counters by (side, counter) for reads of one length, in units of their suffixes: only pairs are spilled and shuffled."""
+    pair = pair_bytes / ((1 + length) / 2)
+    early = merged_segments(spills, factor) / spills
+    one = {("map", "dfs_read"): 2 / (1 + length), ("reduce", "dfs_write"): output_units, ("reduce", "shuffle"): pair}
+    return one | {("map", "local_read"): pair * (1 + early), ("map", "local_write"): pair * (2 + early), ("reduce", "local_read"): pair, ("reduce", "local_write"): pair}
+
+
+def to_units(sums: DataFrame, base: str, digits: int = 2) -> DataFrame:
+    """Bytes in columns of sums as multiples of the column base, which goes."""
+    return sums.select(*(F.round(F.col(c) / F.col(base), digits).alias(c) for c in sums.columns if c != base))
+
+
+def placement_plan(disks_gb: list[float], most: int) -> list[int]:
+    """Files for a node of each disk size, in proportion to the smallest, most of them at most."""
+    return [min(most, round(gb / min(disks_gb))) for gb in disks_gb]
+
+
+def phase_split(minutes: float, percent: dict[str, float]) -> dict[str, float]:
+    return {phase: minutes * share / 100 for phase, share in percent.items()}
+
+
+def access_profile(fetched: DataFrame, layout, shards: int) -> DataFrame:
+    """(ref, tail) -> one row: lookups, symbols of each, lookups of the busiest and idlest shard, symbols that memory serves."""
+    shard = F.pmod(layout.read_id(F.col("ref")), F.lit(shards))
+    by = fetched.groupBy(shard.alias("shard")).agg(F.count("*").alias("n"), F.sum(F.length("tail")).alias("symbols"))
+    return by.agg(F.sum("n").alias("lookups"), F.round(F.sum("symbols") / F.sum("n"), 6).alias("symbols_a_lookup"), F.max("n").alias("busiest_shard"), F.min("n").alias("idlest_shard"), F.sum("symbols").alias("memory_symbols"))
+
+
+def scalability_report(name: str, balance: DataFrame, groups: DataFrame, reads: DataFrame, pair_bytes: int = 16) -> DataFrame:
+    """One row: load (largest range over the mean), structure (largest group), space (bytes shuffled over bytes of suffixes)."""
+    n = F.length("seq").cast("long")
+    load = balance.agg(F.round(F.max("n") / F.avg("n"), 6).alias("load"))
+    structure = groups.agg(F.max("n").alias("structure"))
+    space = reads.agg(F.round((F.sum(pair_bytes * (n + 1)) / F.sum((n * (n + 1) / 2).cast("long"))), 6).alias("space"))
+    return load.join(F.broadcast(structure)).join(F.broadcast(space)).select(F.lit(name).alias("reads_view"), "load", "structure", "space")
+
+
 def reducer_disk_need(received_gb: float, units: float, output_units: float = 1.01, per_node: int = 2) -> float:
     """GB of disk on a node: temporary data and output of its reducers."""
     return received_gb * per_node * (units + output_units)

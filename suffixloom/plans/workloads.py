@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.alphabet import DNA, Alphabet, Bytes, max_prefix_width, prefix_key
+from ..functions.alphabet import DNA, DNA_N, Alphabet, Bytes, max_prefix_width, prefix_key
 from ..functions.refs import RefLayout
 from ..functions.registered import register
 from ..operators import grouping, partitioning, search, single, suffixes, validate
+from ..operators.positions import with_positions
 from ..operators.refine import refine_groups, refine_until_unique
 from ..operators.store import ShuffleStore, fetch_tails
+from ..scratch import scratch_path
 from ..sources import reads as src
 from ..streaming import incremental
 from . import build, measures, published
@@ -51,16 +53,19 @@ VIEW_SQL = {
     "html": _cut_sql("pages", "page_id", "html"),
     "rnd": f"SELECT o_orderkey AS read_id, translate(md5(o_orderkey::VARCHAR || '-0'), '0123456789abcdef', '{'ACGT' * 4}') AS seq FROM orders",
     "name": "SELECT p_partkey AS read_id, p_name AS seq FROM part",
+    "dna_n": _cut_sql("documents", "doc_id", _DNA.replace(src.DNA_OF_LETTERS, src.DNA_N_OF_LETTERS)),
     "props": "SELECT event_id AS read_id, props AS seq FROM events",
 }
 VIEW_SQL["pair"] = f"SELECT read_id * 2 AS read_id, seq FROM ({VIEW_SQL['dna']}) UNION ALL SELECT read_id * 2 + 1, reverse(seq) FROM ({VIEW_SQL['dna']})"
 
 
-def view(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+def view(spark: SparkSession, sf_dir: str, name: str, dealt: bool = True) -> DataFrame:
     if name == "text":
         out = src.chunk_reads(table(spark, sf_dir, "documents"), "doc_id", "text")
     elif name == "dna":
         out = src.dna_reads(table(spark, sf_dir, "documents"), "doc_id", "text")
+    elif name == "dna_n":
+        out = src.chunk_reads(table(spark, sf_dir, "documents"), "doc_id", src.to_dna(F.col("text"), src.DNA_N_OF_LETTERS))
     elif name == "html":
         out = src.chunk_reads(table(spark, sf_dir, "pages"), "page_id", "html")
     elif name == "rnd":
@@ -70,10 +75,10 @@ def view(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     elif name == "props":
         return src.reads_from(table(spark, sf_dir, "events"), "event_id", "props")
     else:
-        forward = view(spark, sf_dir, "dna")
+        forward = view(spark, sf_dir, "dna", dealt)
         return src.pair_reads(forward, src.reverse_reads(forward))
     # a table of few files is one task; expansion multiplies it, so deal the reads out first
-    return out.repartition("read_id")
+    return out.repartition("read_id") if dealt else out
 
 
 def suffix_sql(name: str) -> str:
@@ -107,20 +112,25 @@ _sa("mat_sa_rnd", "rnd", lambda r: build.materialized_suffix_array(r))
 _sa("mat_sa_text", "text", lambda r: build.materialized_suffix_array(r))
 _sa("mat_sa_dna", "dna", lambda r: build.materialized_suffix_array(r))
 _sa("mat_sa_parts64", "dna", lambda r: build.materialized_suffix_array(r, parts=64))
-_sa("mat_sa_from_file", "rnd", lambda r: build.materialized_suffix_array(build.read_suffixes(r.sparkSession, build.write_suffixes(r))))
+_sa("mat_sa_from_file", "dna", lambda r: build.materialized_suffix_array(build.read_suffixes(r.sparkSession, build.write_suffixes(r))))
 _sa("idx_sa_dna", "dna", lambda r: build.indexed_suffix_array(r, DNA, 23))
 _sa("idx_sa_text", "text", lambda r: build.indexed_suffix_array(r, Bytes, 7))
 _sa("idx_sa_text_w3", "text", lambda r: build.indexed_suffix_array(r, Bytes, 3))
 _sa("idx_sa_text_w5", "text", lambda r: build.indexed_suffix_array(r, Bytes, 5))
 _sa("idx_sa_html", "html", lambda r: build.refined_suffix_array(r, Bytes, 7))
-_sa("idx_sa_int13", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 13, int_key=True))
+_sa("idx_sa_int13", "dna", lambda r: build.indexed_suffix_array(r, DNA, 13, int_key=True))
 _sa("idx_sa_paired", "pair", lambda r: build.indexed_suffix_array(r, DNA, 23))
 _sa("idx_sa_refined_dna", "dna", lambda r: build.refined_suffix_array(r, DNA, 23))
-_sa("idx_sa_sampled_ranges", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 23, explicit_ranges=True))
-_sa("idx_sa_no_rules", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 10, short_rule=False, singleton_rule=False))
-_sa("fetch_whole_same_result", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 10, whole_reads=True))
+_sa("idx_sa_sampled_ranges", "dna", lambda r: build.indexed_suffix_array(r, DNA, 23, explicit_ranges=True))
+_sa("idx_sa_no_rules", "dna", lambda r: build.indexed_suffix_array(r, DNA, 10, short_rule=False, singleton_rule=False))
+_sa("fetch_whole_same_result", "dna", lambda r: build.indexed_suffix_array(r, DNA, 10, whole_reads=True))
 _sa("idx_sa_broadcast_store", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 10, store="broadcast"))
-_sa("idx_sa_placed_store", "rnd", lambda r: build.indexed_suffix_array(r, DNA, 10, store="placed"))
+_sa("idx_sa_placed_store", "dna", lambda r: build.indexed_suffix_array(r, DNA, 10, store="placed"))
+_sa("idx_sa_bucketed_store", "dna", lambda r: build.indexed_suffix_array(r, DNA, 13, store="bucketed"))
+_sa("idx_sa_nosuffix", "dna", lambda r: build.indexed_suffix_array(r, DNA, 23, store="shuffle", emit="ref"))
+_sa("idx_sa_longer_prefixes", "dna", lambda r: build.indexed_suffix_array(r, DNA, 8, longer_above=1_000))
+_sa("idx_sa_html_longer", "html", lambda r: build.indexed_suffix_array(r, Bytes, 7, longer_above=1_000))
+_sa("idx_sa_with_n", "dna_n", lambda r: build.indexed_suffix_array(r, DNA_N, 24))
 
 
 @query("idx_sa_suffix_text", f"SELECT row_number() OVER (ORDER BY suffix, ref) - 1 AS pos, ref, suffix FROM ({suffix_sql('name')})")
@@ -139,9 +149,9 @@ def _(s, d):
     return table(s, d, "benchmark").select("item_id", F.posexplode(single.suffix_array_col(F.col("text"))).alias("i", "sa")).select("item_id", F.col("i").cast("long").alias("i"), F.col("sa").cast("long").alias("sa"))
 
 
-@query("validate_order", f"SELECT 0::BIGINT AS violations, count(*) AS n, sum(ref)::BIGINT AS sum_ref FROM ({suffix_sql('rnd')})")
+@query("validate_order", f"SELECT 0::BIGINT AS violations, count(*) AS n, sum(ref)::BIGINT AS sum_ref FROM ({suffix_sql('dna')})")
 def _(s, d):
-    return validate.validate_order(build.indexed_suffix_array(view(s, d, "rnd"), DNA, 23, emit="suffix"))
+    return validate.validate_order(build.indexed_suffix_array(view(s, d, "dna"), DNA, 23, emit="suffix"))
 
 
 # --- codes, references, groups ---------------------------------------------------------------------------------------
@@ -151,14 +161,16 @@ def _code_sql(text: str, width: int) -> str:
     return "(" + " + ".join(f"coalesce(strpos('ACGT', nullif(substr({text}, {i + 1}, 1), '')), 0)::BIGINT * {5 ** (width - 1 - i)}" for i in range(width)) + ")"
 
 
-@query("prefix_codes", f"SELECT ref, {_code_sql('suffix', 23)} AS code, least(length(suffix), 23)::INT AS slen FROM ({suffix_sql('rnd')})")
+@query("prefix_codes", f"SELECT read_id, sum(code % 1000003 * (o + 1))::BIGINT AS codes, sum(slen)::BIGINT AS symbols FROM (SELECT read_id, o, {_code_sql('suffix', 23)} AS code, least(length(suffix), 23) AS slen FROM ({suffix_sql('dna')})) GROUP BY 1")
 def _(s, d):
-    return suffixes.expand_refs(view(s, d, "rnd"), DNA, 23).select("ref", "code", "slen")
+    refs = suffixes.expand_refs(view(s, d, "dna"), DNA, 23)
+    off = LAYOUT.offset(F.col("ref"))
+    return refs.groupBy(LAYOUT.read_id(F.col("ref")).alias("read_id")).agg(F.sum(F.col("code") % 1_000_003 * (off + 1)).alias("codes"), F.sum("slen").alias("symbols"))
 
 
 @query("prefix_roundtrip", f"SELECT read_id, substr(seq, 1, 23) AS head FROM ({VIEW_SQL['dna']})")
 def _(s, d):
-    return view(s, d, "dna").select("read_id", DNA.decode(DNA.encode(F.col("seq"), 23), 23).alias("head"))
+    return view(s, d, "dna", dealt=False).select("read_id", DNA.decode(DNA.encode(F.col("seq"), 23), 23).alias("head"))
 
 
 @query("dense_alphabet", f"SELECT ascii(c)::INT AS symbol, row_number() OVER (ORDER BY c) AS rank FROM (SELECT DISTINCT unnest(string_split(seq, '')) AS c FROM ({VIEW_SQL['props']})) WHERE c <> ''")
@@ -170,7 +182,7 @@ def _(s, d):
 @query("ref_roundtrip", f"SELECT ref, ref // 1000 AS read_id, ref % 1000 AS off FROM (SELECT read_id * 1000 + length(seq) AS ref FROM ({VIEW_SQL['text']}))")
 def _(s, d):
     ref = LAYOUT.pack(F.col("read_id"), F.length("seq"))
-    return view(s, d, "text").select(ref.alias("ref")).select("ref", LAYOUT.read_id(F.col("ref")).alias("read_id"), LAYOUT.offset(F.col("ref")).alias("off"))
+    return view(s, d, "text", dealt=False).select(ref.alias("ref")).select("ref", LAYOUT.read_id(F.col("ref")).alias("read_id"), LAYOUT.offset(F.col("ref")).alias("off"))
 
 
 def _groups_sql(view_name: str, width: int) -> str:
@@ -200,33 +212,54 @@ def _(s, d):
 
 @query("short_suffix_share", " UNION ALL ".join(f"SELECT '{v}' AS reads, count(*) AS suffixes, (count(*) FILTER (WHERE length(suffix) < 23))::BIGINT AS short FROM ({suffix_sql(v)})" for v in ("dna", "props")))
 def _(s, d):
-    one = lambda v: view(s, d, v).select(F.explode(F.sequence(F.lit(0), F.length("seq"))).alias("o"), F.length("seq").alias("n")).agg(F.count("*").alias("suffixes"), F.count_if(F.col("n") - F.col("o") < 23).alias("short")).select(F.lit(v).alias("reads"), "*")
+    one = lambda v: view(s, d, v, dealt=False).select(F.explode(F.sequence(F.lit(0), F.length("seq"))).alias("o"), F.length("seq").alias("n")).agg(F.count("*").alias("suffixes"), F.count_if(F.col("n") - F.col("o") < 23).alias("short")).select(F.lit(v).alias("reads"), "*")
     return one("dna").unionByName(one("props"))
 
 
-_HASHED = f"SELECT ref, {_code_sql('suffix', 23)} AS code, ((ref % 2147483648) * 2654435761) % 4294967296 AS h FROM ({suffix_sql('rnd')})"
-_SAMPLE = f"SELECT code, row_number() OVER (ORDER BY code) AS r FROM (SELECT code FROM ({_HASHED}) ORDER BY h, ref LIMIT 32000)"
-_BOUNDS = f"SELECT r // 1000 AS i, code FROM ({_SAMPLE}) WHERE r % 1000 = 0 AND r < 32000"
+def _hashed(view_name: str) -> str:
+    return f"SELECT ref, {_code_sql('suffix', 23)} AS code, ((ref % 2147483648) * 2654435761) % 4294967296 AS h FROM ({suffix_sql(view_name)})"
 
 
-@query("boundaries", f"SELECT i::INT AS i, code FROM ({_BOUNDS})")
+def _bounds(hashed: str, per_part: int) -> str:
+    return f"""SELECT r // step AS i, code FROM (SELECT code, row_number() OVER (ORDER BY code) AS r, greatest(1, least({per_part}, count(*) OVER () // 32)) AS step
+      FROM (SELECT code FROM {hashed} ORDER BY h, ref LIMIT {32 * per_part})) WHERE r % step = 0 AND r // step < 32"""
+
+
+def _routed_sql(view_name: str, per_part: int = 1000) -> str:
+    """suffixes by part, as an as-of join of keys with the boundaries below them."""
+    return f"""WITH h AS MATERIALIZED ({_hashed(view_name)}), b AS MATERIALIZED ({_bounds('h', per_part)})
+      SELECT coalesce(e.i, 0)::INT AS part, count(*) AS n FROM (SELECT code FROM h) k ASOF LEFT JOIN (SELECT code, max(i) AS i FROM b GROUP BY 1) e ON k.code > e.code GROUP BY 1"""
+
+
+@query("boundaries", f"WITH h AS MATERIALIZED ({_hashed('dna')}) SELECT i::INT AS i, code FROM ({_bounds('h', 1000)})")
 def _(s, d):
-    cuts = partitioning.sample_boundaries(suffixes.expand_refs(view(s, d, "rnd"), DNA, 23), 32, 1000)
+    cuts = partitioning.sample_boundaries(suffixes.expand_refs(view(s, d, "dna"), DNA, 23), 32, 1000)
     return s.createDataFrame([(i + 1, c) for i, c in enumerate(cuts)], "i int, code long")
 
 
-@query("range_balance", f"SELECT part::INT AS part, count(*) AS n FROM (SELECT (SELECT count(*) FROM ({_BOUNDS}) b WHERE b.code < k.code) AS part FROM ({_HASHED}) k) GROUP BY 1")
+def _balance(name: str, view_name: str) -> None:
+    @query(name, _routed_sql(view_name))
+    def _(s, d):
+        refs = suffixes.expand_refs(view(s, d, view_name), DNA, 23)
+        return partitioning.balance_report(partitioning.assign_partition(refs, partitioning.sample_boundaries(refs, 32, 1000)))
+
+
+_balance("range_balance", "dna")
+_balance("range_balance_rnd", "rnd")
+
+
+@query("range_balance_bytes", f"SELECT count(*) AS parts, sum(n)::BIGINT AS suffixes, max(n) * 16 AS largest_bytes, round(max(n) / sum(n)::DOUBLE, 6) AS largest_share, round(max(n) / avg(n), 6) AS over_mean FROM ({_routed_sql('dna')})")
 def _(s, d):
-    refs = suffixes.expand_refs(view(s, d, "rnd"), DNA, 23)
-    return partitioning.balance_report(partitioning.assign_partition(refs, partitioning.sample_boundaries(refs, 32, 1000)))
+    refs = suffixes.expand_refs(view(s, d, "dna"), DNA, 23)
+    return partitioning.balance_summary(partitioning.assign_partition(refs, partitioning.sample_boundaries(refs, 32, 1000)))
 
 
-@query("sampling_sweep")
+@query("sampling_sweep", " UNION ALL ".join(f"SELECT {p} AS per_part, max(n) AS largest, sum(n)::BIGINT AS suffixes FROM ({_routed_sql('dna', p)})" for p in (100, 1000, 10000)))
 def _(s, d):
-    """Largest and mean part for growing samples: finer samples balance better."""
-    refs = suffixes.expand_refs(view(s, d, "rnd"), DNA, 23)
+    """Largest part for growing samples: finer samples balance better."""
+    refs = suffixes.expand_refs(view(s, d, "dna"), DNA, 23)
     out = None
-    for per_part in (10, 100, 1000):
+    for per_part in (100, 1000, 10000):
         routed = partitioning.assign_partition(refs, partitioning.sample_boundaries(refs, 32, per_part))
         one = partitioning.balance_report(routed).agg(F.max("n").alias("largest"), F.sum("n").alias("suffixes")).select(F.lit(per_part).alias("per_part"), "*")
         out = one if out is None else out.unionByName(one)
@@ -235,7 +268,7 @@ def _(s, d):
 
 @query("shard_load", f"SELECT (read_id % 16)::BIGINT AS shard, count(*) AS reads, sum(strlen(seq))::BIGINT AS bytes FROM ({VIEW_SQL['text']}) GROUP BY 1")
 def _(s, d):
-    return view(s, d, "text").groupBy(partitioning.shard_of(F.col("read_id"), 16).alias("shard")).agg(F.count("*").alias("reads"), F.sum(F.octet_length("seq")).alias("bytes"))
+    return view(s, d, "text", dealt=False).groupBy(partitioning.shard_of(F.col("read_id"), 16).alias("shard")).agg(F.count("*").alias("reads"), F.sum(F.octet_length("seq")).alias("bytes"))
 
 
 _AMBIGUOUS = f"SELECT * FROM ({suffix_sql('dna')}) WHERE length(suffix) >= 23 QUALIFY count(*) OVER (PARTITION BY substr(suffix, 1, 23)) > 1"
@@ -265,16 +298,19 @@ def _(s, d):
 
 
 def _accumulate(name: str, limit: int) -> None:
-    sql = f"""WITH RECURSIVE g AS MATERIALIZED (SELECT code, n, row_number() OVER (ORDER BY code) AS r, sum(n) OVER (ORDER BY code) AS c FROM
-      (SELECT {_code_sql('suffix', 10)} AS code, count(*) AS n FROM ({suffix_sql('rnd')}) GROUP BY 1)),
-    t AS (SELECT max(r) AS rows_, max(c) AS all_ FROM g),
-    b AS (SELECT 0::BIGINT AS batch_id, 0::BIGINT AS r0, 0::HUGEINT AS c0, (SELECT coalesce(min(r), (SELECT rows_ FROM t)) FROM g WHERE c > {limit}) AS r1
-      UNION ALL SELECT batch_id + 1, r1, (SELECT c FROM g WHERE r = r1), (SELECT coalesce(min(r), (SELECT rows_ FROM t)) FROM g WHERE c > (SELECT c FROM g WHERE r = b.r1) + {limit}) FROM b WHERE r1 < (SELECT rows_ FROM t))
-    SELECT batch_id, (r1 - r0)::BIGINT AS groups, ((SELECT c FROM g WHERE r = r1) - c0)::BIGINT AS suffixes FROM b"""
+    """Each of the five ranges of first symbols gathers its own groups, as reducers do."""
+    first = 5**9
+    sql = f"""WITH RECURSIVE g AS MATERIALIZED (SELECT reducer, code, n, row_number() OVER (PARTITION BY reducer ORDER BY code) AS r, sum(n) OVER (PARTITION BY reducer ORDER BY code) AS c FROM
+      (SELECT {_code_sql('suffix', 10)} // {first} AS reducer, {_code_sql('suffix', 10)} AS code, count(*) AS n FROM ({suffix_sql('dna')}) GROUP BY 1, 2)),
+    t AS MATERIALIZED (SELECT reducer, max(r) AS rows_, max(c) AS all_ FROM g GROUP BY 1),
+    b AS (SELECT reducer, 0::BIGINT AS batch_id, 0::HUGEINT AS c0, coalesce((SELECT min(c) FROM g WHERE g.reducer = t.reducer AND c > {limit}), all_) AS c1, all_ FROM t
+      UNION ALL SELECT b.reducer, batch_id + 1, c1, coalesce(n.c, all_), all_ FROM b ASOF LEFT JOIN (SELECT reducer, c FROM g) n ON n.reducer = b.reducer AND n.c > b.c1 + {limit} WHERE c1 < all_)
+    SELECT b.reducer, batch_id, (SELECT count(*) FROM g WHERE g.reducer = b.reducer AND c > c0 AND c <= c1) AS groups, (c1 - c0)::BIGINT AS suffixes FROM b"""
 
     @query(name, sql)
     def _(s, d):
-        return grouping.accumulate_groups(grouping.sorting_groups(suffixes.expand_refs(view(s, d, "rnd"), DNA, 10)), limit)
+        groups = grouping.sorting_groups(suffixes.expand_refs(view(s, d, "dna"), DNA, 10))
+        return grouping.accumulate_groups(groups.withColumn("reducer", F.call_function("div", F.col("code"), F.lit(first))), limit, range_col="reducer")
 
 
 for _name, _limit in (("accumulate_batches_small", 8_000), ("accumulate_batches_mid", 16_000), ("accumulate_batches_large", 32_000)):
@@ -311,7 +347,7 @@ _VIEWS = ("text", "dna", "rnd", "html", "name", "props")
 def _(s, d):
     out = None
     for v in _VIEWS:
-        one = suffixes.self_expansion(view(s, d, v)).select(F.lit(v).alias("reads_view"), "*")
+        one = suffixes.self_expansion(view(s, d, v, dealt=False)).select(F.lit(v).alias("reads_view"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -320,7 +356,7 @@ def _(s, d):
 def _(s, d):
     out, n = None, F.length("seq").cast("long")
     for v in _VIEWS:
-        one = view(s, d, v).agg(F.sum(16 * (n + 1)).alias("indexed_bytes"), F.sum((n * (n + 1) / 2).cast("long") + 8 * (n + 1)).alias("materialized_bytes")).select(F.lit(v).alias("reads_view"), "*")
+        one = view(s, d, v, dealt=False).agg(F.sum(16 * (n + 1)).alias("indexed_bytes"), F.sum((n * (n + 1) / 2).cast("long") + 8 * (n + 1)).alias("materialized_bytes")).select(F.lit(v).alias("reads_view"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -329,7 +365,7 @@ def _(s, d):
 def _(s, d):
     out = None
     for v in _VIEWS:
-        one = view(s, d, v).agg(F.sum(5 * (F.length("seq").cast("long") + 1)).alias("bytes")).select(F.lit(v).alias("reads_view"), "*")
+        one = view(s, d, v, dealt=False).agg(F.sum(5 * (F.length("seq").cast("long") + 1)).alias("bytes")).select(F.lit(v).alias("reads_view"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -338,7 +374,7 @@ def _(s, d):
 def _(s, d):
     out, n = None, F.length("seq").cast("long")
     for v in _VIEWS:
-        one = view(s, d, v).agg((F.sum((n * (n + 1) / 2).cast("long")).cast("double") / F.sum(n + 1).cast("double")).alias("m")).select(F.lit(v).alias("reads_view"), F.round(F.col("m") / 12, 6).alias("over_int_pair"), F.round(F.col("m") / 16, 6).alias("over_long_pair"))
+        one = view(s, d, v, dealt=False).agg((F.sum((n * (n + 1) / 2).cast("long")).cast("double") / F.sum(n + 1).cast("double")).alias("m")).select(F.lit(v).alias("reads_view"), F.round(F.col("m") / 12, 6).alias("over_int_pair"), F.round(F.col("m") / 16, 6).alias("over_long_pair"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -347,7 +383,7 @@ def _(s, d):
 def _(s, d):
     """Five growing shares of the whole table, as the published runs grow: all rows are read, each case adds to the one before."""
     n, slot = F.length("seq").cast("long"), F.col("read_id").cast("long")
-    base = view(s, d, "dna").select(n.alias("n"), (F.call_function("div", slot, F.lit(1000)) % 16).alias("slot"))
+    base = view(s, d, "dna", dealt=False).select(n.alias("n"), (F.call_function("div", slot, F.lit(1000)) % 16).alias("slot"))
     cases = base.select("n", F.explode(F.array(*(F.struct(F.lit(i + 1).alias("case_id"), F.lit(m).alias("below")) for i, m in enumerate((3, 6, 9, 12, 16))))).alias("c"), "slot").where("slot < c.below")
     return cases.groupBy("c.case_id").agg(F.count("*").alias("reads"), F.sum("n").alias("raw_bytes"), F.sum((F.col("n") * (F.col("n") + 1) / 2).cast("long")).alias("suffix_bytes"))
 
@@ -370,6 +406,73 @@ def _(s, d):
     return s.createDataFrame(rows, "variant string, case_id int, printed double, modelled double")
 
 
+_PRINTED = [(c, side, counter, v) for c in published.SIZES for side, counter, v in published.INDEXED_UNITS]
+
+
+@query("footprint_scheme", f"""WITH m AS (SELECT 16 / ((1 + 200) / 2::DOUBLE) AS pair, 50 AS spills, 45 AS early)
+  SELECT case_id, side, counter, printed, round(CASE WHEN counter = 'dfs_read' THEN 2 / 201::DOUBLE WHEN counter = 'dfs_write' THEN 1.01::DOUBLE WHEN side = 'map' AND counter = 'local_read' THEN pair * (1 + early / spills::DOUBLE)
+    WHEN side = 'map' AND counter = 'local_write' THEN pair * (2 + early / spills::DOUBLE) ELSE pair END, 6) AS modelled FROM {_values(_PRINTED, 'case_id, side, counter, printed')}, m""")
+def _(s, d):
+    """Seven counters of the scheme for six cases: pairs of 16 bytes for reads of 200 symbols, some 50 spills a mapper, one pass of merges at a reducer."""
+    modelled = measures.scheme_units(pair_bytes=16, length=200, spills=50)
+    return s.createDataFrame([(c, side, counter, v, round(modelled[side, counter], 6)) for c, side, counter, v in _PRINTED], "case_id int, side string, counter string, printed double, modelled double")
+
+
+@query("footprint_tables_units", " UNION ALL ".join(f"""SELECT '{v}' AS reads_view, round((x + 8 * n) / x, 6) AS materialized_shuffle, round(16 * n / x, 6) AS indexed_shuffle, round(raw / x, 6) AS indexed_read
+  FROM (SELECT sum(length(seq))::DOUBLE AS raw, sum(length(seq) * (length(seq) + 1) // 2)::DOUBLE AS x, sum(length(seq) + 1)::DOUBLE AS n FROM ({VIEW_SQL[v]}))""" for v in _VIEWS))
+def _(s, d):
+    """Bytes of the tables' own reads in units of their suffixes."""
+    out, n = None, F.length("seq").cast("long")
+    for v in _VIEWS:
+        sums = view(s, d, v, dealt=False).agg(F.sum(n).cast("double").alias("raw"), F.sum((n * (n + 1) / 2).cast("long")).cast("double").alias("x"), F.sum(n + 1).cast("double").alias("n"))
+        one = measures.to_units(sums.select("x", (F.col("x") + 8 * F.col("n")).alias("materialized_shuffle"), (16 * F.col("n")).alias("indexed_shuffle"), F.col("raw").alias("indexed_read")), "x", 6).select(F.lit(v).alias("reads_view"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("placement_plan", "SELECT disk_gb, nodes, least(3, round(disk_gb / 825)::INT) AS files FROM (VALUES (825, 4), (870, 1), (1610, 7), (3220, 4)) v(disk_gb, nodes)")
+def _(s, d):
+    plan = measures.placement_plan([gb for gb, _ in published.DISKS], most=3)
+    return s.createDataFrame([(gb, nodes, files) for (gb, nodes), files in zip(published.DISKS, plan)], "disk_gb int, nodes int, files int")
+
+
+@query("phase_split", f"SELECT phase, share, round(284.2::DOUBLE * share / 100, 4) AS minutes, round(284.2::DOUBLE * 60 * share / 100 * 20 / 1000, 4) AS gb_at_20_mb_s FROM {_values(list(published.TIME_SPLIT.items()), 'phase, share')}")
+def _(s, d):
+    """What the printed split makes of case 5, and how much a reducer could fetch in that time at the printed rate."""
+    split = measures.phase_split(284.2, published.TIME_SPLIT)
+    return s.createDataFrame([(p, published.TIME_SPLIT[p], round(m, 4), round(m * 60 * published.FETCH_MB_S / 1000, 4)) for p, m in split.items()], "phase string, share int, minutes double, gb_at_20_mb_s double")
+
+
+@query("time_model_cases", f"""WITH t AS (SELECT variant, x, t, row_number() OVER (PARTITION BY variant ORDER BY x) AS c FROM {_values([(v, published.SIZES[c + 1][1], m) for v, ms in published.MINUTES.items() for c, m in enumerate(ms)], 'variant, x, t')}),
+  f AS (SELECT variant, regr_slope(t, x) AS a, regr_intercept(t, x) AS b FROM t WHERE c <= 4 GROUP BY 1)
+  SELECT variant, c::INT AS case_id, t AS printed, round(CASE WHEN variant = 'indexed' OR x < 31.76::DOUBLE THEN a * x + b END, 6) AS predicted FROM t JOIN f USING (variant)""")
+def _(s, d):
+    """All printed cases against a line through the first four; the baselines break down at case 5, so the model says nothing there."""
+    rows = [(v, c + 1, published.SIZES[c + 1][1], m) for v, ms in published.MINUTES.items() for c, m in enumerate(ms)]
+    times = s.createDataFrame(rows, "variant string, case_id int, x double, t double")
+    fitted = measures.fit_time_model(times.where("case_id <= 4"))
+    breaks = (F.col("variant") != "indexed") & (F.col("x") >= published.BREAKDOWN_GB)
+    return times.join(F.broadcast(fitted), "variant").select("variant", "case_id", F.col("t").alias("printed"), F.round(F.when(~breaks, F.col("a") * F.col("x") + F.col("b")), 6).alias("predicted"))
+
+
+@query("access_profile", f"""SELECT count(*) AS lookups, round(avg(length(suffix)), 6) AS symbols_a_lookup, max(n) AS busiest_shard, min(n) AS idlest_shard, sum(length(suffix))::BIGINT AS memory_symbols
+  FROM (SELECT suffix, count(*) OVER (PARTITION BY read_id % 16) AS n FROM ({_AMBIGUOUS}))""")
+def _(s, d):
+    """How finely and irregularly reads are looked up: symbols an access, accesses by shard, and what memory serves instead of disk."""
+    return measures.access_profile(fetch_tails(_ambiguous(s, d), ShuffleStore(view(s, d, "dna")), LAYOUT), LAYOUT, 16)
+
+
+@query("scalability_report", f"""SELECT r.reads_view, round(r.over_mean, 6) AS load, g.largest_group AS structure, round(u.bytes / x.bytes, 6) AS space FROM
+  (SELECT 'dna' AS reads_view, max(n) / avg(n) AS over_mean FROM ({_routed_sql('dna')})) r,
+  (SELECT max(n) AS largest_group FROM ({_groups_sql('dna', 23)})) g, (SELECT sum(16 * (length(seq) + 1))::DOUBLE AS bytes FROM ({VIEW_SQL['dna']})) u, (SELECT sum(length(seq) * (length(seq) + 1) // 2)::DOUBLE AS bytes FROM ({VIEW_SQL['dna']})) x""")
+def _(s, d):
+    """Kinds of scalability on one collection: balance of ranges, largest group, and shuffled bytes against suffixes."""
+    reads = view(s, d, "dna")
+    refs = suffixes.expand_refs(reads, DNA, 23)
+    routed = partitioning.assign_partition(refs, partitioning.sample_boundaries(refs, 32, 1000))
+    return measures.scalability_report("dna", partitioning.balance_report(routed), grouping.sorting_groups(refs), reads)
+
+
 @query("disk_need", "SELECT case_id, round(received * 2 * (units + 1.01::DOUBLE), 3) AS gb FROM (VALUES ('case 5', 111.38::DOUBLE, 1.88::DOUBLE), ('3.95 TB', 129.02::DOUBLE, 1.85::DOUBLE)) v(case_id, received, units)")
 def _(s, d):
     return s.createDataFrame([("case 5", round(measures.reducer_disk_need(111.38, 1.88), 3)), ("3.95 TB", round(measures.reducer_disk_need(129.02, 1.85), 3))], "case_id string, gb double")
@@ -450,6 +553,64 @@ def _(s, d):
     return suffixes.expand_refs(view(s, d, "rnd"), DNA, 23).where(F.col("code").between(low, low + 5**18 - 1)).select("ref")
 
 
+_CUTS = [k * 5**22 // 2 for k in range(1, 10)]
+
+
+@query("op_range_join_bounds", f"SELECT i::INT AS i, count(*) AS n FROM (SELECT {_code_sql('suffix', 23)} AS code FROM ({suffix_sql('rnd')})) JOIN {_values([(i, lo, hi) for i, (lo, hi) in enumerate(zip([-1, *_CUTS], [*_CUTS, 5**23]))], 'i, low, high')} ON code > low AND code <= high GROUP BY 1")
+def _(s, d):
+    """Keys meet intervals by a theta join; the ten intervals are broadcast."""
+    bounds = s.createDataFrame([(i, lo, hi) for i, (lo, hi) in enumerate(zip([-1, *_CUTS], [*_CUTS, 5**23]))], "i int, low long, high long")
+    refs = suffixes.expand_refs(view(s, d, "rnd"), DNA, 23)
+    return refs.join(F.broadcast(bounds), (F.col("code") > F.col("low")) & (F.col("code") <= F.col("high"))).groupBy("i").agg(F.count("*").alias("n"))
+
+
+@query("op_asof_boundary", f"SELECT b.cut AS cut, count(*) AS n FROM (SELECT {_code_sql('suffix', 23)} AS code FROM ({suffix_sql('rnd')})) k ASOF LEFT JOIN {_values([(c,) for c in _CUTS], 'cut').replace(') v(', ') b(')} ON k.code >= b.cut GROUP BY 1")
+def _(s, d):
+    """The last boundary at or below each key."""
+    cuts = F.array(*map(F.lit, _CUTS))
+    last = F.array_max(F.filter(cuts, lambda c: c <= F.col("code")))
+    return suffixes.expand_refs(view(s, d, "rnd"), DNA, 23).groupBy(last.alias("cut")).agg(F.count("*").alias("n"))
+
+
+@query("op_nested_loop_patterns", f"SELECT p, read_id FROM ({VIEW_SQL['dna']}), (VALUES ('ACGTAC'), ('GATTACA'), ('CCCGGG'), ('TTTT'), ('ACACAC')) v(p) WHERE contains(seq, p)")
+def _(s, d):
+    """Five stated patterns against every read: a condition no key serves, so reads are scanned once with the patterns beside them."""
+    patterns = s.createDataFrame([(p,) for p in ("ACGTAC", "GATTACA", "CCCGGG", "TTTT", "ACACAC")], "p string")
+    return view(s, d, "dna", dealt=False).join(F.broadcast(patterns), F.contains("seq", F.col("p"))).select("p", "read_id")
+
+
+@query("op_window_neighbours", f"SELECT pos, ref, lag(ref) OVER (ORDER BY pos) AS before, lead(ref) OVER (ORDER BY pos) AS after FROM ({sa_sql('name')})")
+def _(s, d):
+    return validate.neighbours(build.indexed_suffix_array(view(s, d, "name"), Bytes, 7))
+
+
+@query("op_running_groups", f"SELECT code, n, sum(n) OVER (PARTITION BY code // {5**9} ORDER BY code ROWS UNBOUNDED PRECEDING)::BIGINT AS running FROM (SELECT {_code_sql('suffix', 10)} AS code, count(*) AS n FROM ({suffix_sql('dna')}) GROUP BY 1)")
+def _(s, d):
+    """Sizes of groups added up in order, by range of first symbols."""
+    order = Window.partitionBy(F.call_function("div", F.col("code"), F.lit(5**9))).orderBy("code").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return grouping.sorting_groups(suffixes.expand_refs(view(s, d, "dna"), DNA, 10)).select("code", "n", F.sum("n").over(order).alias("running"))
+
+
+@query("op_late_rows", "SELECT user_id AS key, count(*) AS n, (count(*) FILTER (WHERE ts < seen - INTERVAL 10 MINUTE))::BIGINT AS late FROM (SELECT user_id, ts, max(ts) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM events) GROUP BY 1")
+def _(s, d):
+    return incremental.late_rows(table(s, d, "events"), "event_id", "ts", "user_id", "10 minutes")
+
+
+@query("op_array_sa", "SELECT item_id, count(*) AS n, sum(i * o)::BIGINT AS weighted FROM (SELECT item_id, o, row_number() OVER (PARTITION BY item_id ORDER BY suffix, o) AS i FROM (SELECT item_id, o, substr(text, (o + 1)::BIGINT) AS suffix FROM (SELECT item_id, text, unnest(range(0, length(text) + 1)) AS o FROM benchmark))) GROUP BY 1")
+def _(s, d):
+    sa = table(s, d, "benchmark").select("item_id", single.suffix_array_col(F.col("text")).alias("sa"))
+    weighted = F.aggregate(F.transform("sa", lambda o, i: o.cast("long") * (i + 1)), F.lit(0).cast("long"), lambda a, x: a + x)
+    return sa.select("item_id", F.size("sa").cast("long").alias("n"), weighted.alias("weighted"))
+
+
+@query("reads_long_text", "SELECT count(*) AS reads, count(DISTINCT read_id) AS numbers, sum(read_id)::BIGINT AS sum_id FROM (SELECT doc_id * p AS base, unnest(range(0, (length(text) + 19) // 20)) AS k, base + k AS read_id FROM documents, (SELECT 10 ** ceil(log10(max((length(text) + 19) // 20) + 1))::INT AS p FROM documents))")
+def _(s, d):
+    """Texts of thousands of pieces keep numbers of their own when the stride is fitted."""
+    docs = table(s, d, "documents")
+    reads = src.chunk_reads(docs, "doc_id", "text", 20, src.fit_stride(docs, "text", 20))
+    return reads.agg(F.count("*").alias("reads"), F.count_distinct("read_id").alias("numbers"), F.sum("read_id").alias("sum_id"))
+
+
 def _join_sql() -> str:
     return f"SELECT ref, length(seq)::INT AS n FROM ({suffix_sql('name')})"
 
@@ -593,19 +754,30 @@ def _(s, d):
     return incremental.sessions(table(s, d, "events"), "ts", "user_id", "30 minutes").select("key", "start", "n")
 
 
-_PATTERNS = f"SELECT item_id AS pattern_id, substr({_DNA}, 1, 14) AS pattern FROM benchmark"
+_PATTERNS = f"SELECT item_id AS pattern_id, substr({_DNA}, 1, 6 + item_id % 24) AS pattern FROM benchmark"
+_FOUND = f"SELECT pattern_id, ref FROM ({suffix_sql('dna')}) JOIN (SELECT *, length(pattern) AS m FROM ({_PATTERNS})) ON length(suffix) >= m AND substr(suffix, 1, m) = pattern"
 
 
 def _patterns(s, d) -> DataFrame:
-    return table(s, d, "benchmark").select(F.col("item_id").alias("pattern_id"), F.substring(src.to_dna(F.col("text")), 1, 14).alias("pattern"))
+    """Heads of the passages, of 6 to 29 symbols: shorter than the prefix, as long, and longer."""
+    return table(s, d, "benchmark").select(F.col("item_id").alias("pattern_id"), F.substring(src.to_dna(F.col("text")), F.lit(1), (6 + F.col("item_id") % 24).cast("int")).alias("pattern"))
 
 
-@query("app_search", f"SELECT pattern_id, ref FROM ({suffix_sql('dna')}) JOIN ({_PATTERNS}) ON substr(suffix, 1, 14) = pattern")
+@query("app_search", _FOUND)
 def _(s, d):
     return search.search(view(s, d, "dna"), _patterns(s, d), DNA, 12)
 
 
-@query("app_count", f"SELECT pattern_id, count(*) AS n FROM ({suffix_sql('dna')}) JOIN ({_PATTERNS}) ON substr(suffix, 1, 14) = pattern GROUP BY 1")
+@query("app_search_index", _FOUND)
+def _(s, d):
+    """As app_search, by the sorted array as it is stored: patterns are intervals that the scan skips by."""
+    reads, path = view(s, d, "dna"), scratch_path(s, "index")
+    search.store_index(reads, DNA, 12, path)
+    patterns = [(r["pattern_id"], r["pattern"]) for r in _patterns(s, d).collect()]  # the stated list of patterns
+    return search.search_index(s, path, reads, patterns, DNA, 12)
+
+
+@query("app_count", f"SELECT pattern_id, count(*) AS n FROM ({_FOUND}) GROUP BY 1")
 def _(s, d):
     return search.search(view(s, d, "dna"), _patterns(s, d), DNA, 12).groupBy("pattern_id").agg(F.count("*").alias("n"))
 
@@ -641,5 +813,5 @@ def _(s, d):
 @query("app_distinct_substrings", "SELECT count(DISTINCT substr(p_name, i::BIGINT, n::BIGINT)) AS substrings FROM (SELECT p_name, i, unnest(range(1, length(p_name) - i + 2)) AS n FROM (SELECT DISTINCT p_name, unnest(range(1, length(p_name) + 1)) AS i FROM part))")
 def _(s, d):
     """Symbols of distinct suffixes less what each shares with the one before."""
-    names = table(s, d, "part").select(F.col("p_name").alias("seq")).distinct().withColumn("read_id", F.xxhash64("seq") % 1_000_000)
+    names = with_positions(table(s, d, "part").select(F.col("p_name").alias("seq")).distinct(), "names").withColumnRenamed("pos", "read_id")
     return search.common_prefix_with_previous(build.materialized_suffix_array(names, parts=8, emit="suffix")).join(suffixes.expand_suffixes(names), "ref").agg(F.sum(F.length("suffix") - F.col("lcp")).alias("substrings"))

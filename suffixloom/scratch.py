@@ -13,6 +13,8 @@ def scratch_path(spark: SparkSession, label: str) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         context = spark.sparkContext
+        if context._jsc.sc().getCheckpointDir().isEmpty() and not context.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         if context._jsc.sc().getCheckpointDir().isEmpty():
             context.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
         base = context._jsc.sc().getCheckpointDir().get()

@@ -5,8 +5,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.refs import RefLayout
+from ..operators.positions import with_positions
+from ..scratch import stored
+
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 DNA_OF_LETTERS = ("ACGT" * 7)[:26]
+#: The same with the rarest letters as bases that could not be told.
+DNA_N_OF_LETTERS = "".join("N" if c in "jqxz" else b for c, b in zip(LETTERS, DNA_OF_LETTERS))
 
 
 def reads_from(df: DataFrame, id_col: str, text_col: str, validate: bool = False) -> DataFrame:
@@ -21,7 +27,8 @@ def reads_from(df: DataFrame, id_col: str, text_col: str, validate: bool = False
 
 
 def chunk_reads(df: DataFrame, id_col: str, text: Column | str, width: int = 200, stride: int = 1000, overlap: int = 0) -> DataFrame:
-    """Whole texts cut into reads of width symbols; read_id = id * stride + number of the piece. Empty texts give none.
+    """Whole texts cut into reads of width symbols; read_id = id * stride + number of the piece. Null and empty texts give none,
+    and a text of stride pieces or more fails at run time, as its numbers would be another text's: see fit_stride.
 
     With overlap, pieces begin width - overlap apart, so that what crosses a cut is whole in one of them.
     """
@@ -29,12 +36,19 @@ def chunk_reads(df: DataFrame, id_col: str, text: Column | str, width: int = 200
     step = width - overlap
     base = df.select(F.col(id_col).cast("long").alias("id"), text.alias("text")).where(F.length("text") > 0)
     pieces = base.select("id", "text", F.explode(F.sequence(F.lit(0), F.floor((F.length("text") - 1) / step).cast("int"))).alias("k"))
-    return pieces.select((F.col("id") * stride + F.col("k")).alias("read_id"), F.substring(F.col("text"), F.col("k") * step + 1, F.lit(width)).alias("seq"))
+    number = F.when(F.col("k") < stride, F.col("id") * stride + F.col("k")).otherwise(F.raise_error(F.lit(f"a text has more than {stride} pieces: fit the stride")))
+    return pieces.select(number.alias("read_id"), F.substring(F.col("text"), F.col("k") * step + 1, F.lit(width)).alias("seq"))
+
+
+def fit_stride(df: DataFrame, text: Column | str, width: int = 200) -> int:
+    """The next power of ten above the most pieces that a text of df has."""
+    longest = df.agg(F.max(F.length(F.col(text) if isinstance(text, str) else text))).first()[0] or 0
+    return RefLayout.fit(-(-longest // width)).stride
 
 
-def to_dna(text: Column) -> Column:
+def to_dna(text: Column, bases: str = DNA_OF_LETTERS) -> Column:
     """ASCII letters mapped onto the four bases, all else dropped: repeats like a genome's, on any text."""
-    return F.translate(F.lower(F.regexp_replace(text, "[^A-Za-z]", "")), LETTERS, DNA_OF_LETTERS)
+    return F.translate(F.lower(F.regexp_replace(text, "[^A-Za-z]", "")), LETTERS, bases)
 
 
 def dna_reads(df: DataFrame, id_col: str, text_col: str, width: int = 200) -> DataFrame:
@@ -58,7 +72,7 @@ def pair_reads(forward: DataFrame, reverse: DataFrame) -> DataFrame:
 
 
 def load_reads(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFrame:
-    """Reads from files: parquet, json, csv (read_id, seq), text (number, tab, string), fasta and fastq (numbered by hash of header)."""
+    """Reads from files: parquet, json, csv (read_id, seq), text (number, tab, string), fasta and fastq (numbered as they stand)."""
     if fmt in ("parquet", "json"):
         return reads_from(getattr(spark.read, fmt)(path), "read_id", "seq")
     if fmt == "csv":
@@ -66,16 +80,32 @@ def load_reads(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFram
     if fmt == "text":
         parts = F.split("value", "\t", 2)
         return spark.read.text(path).select(parts[0].cast("long").alias("read_id"), parts[1].alias("seq"))
-    if fmt in ("fasta", "fastq"):
+    if fmt == "fasta":
         # a record is what stands between markers at line starts, so files are split by Spark's own line reader
-        mark = ">" if fmt == "fasta" else "@"
-        lines = F.split("value", "\n")
-        seq = F.array_join(F.slice(lines, F.lit(2), F.size(lines) if fmt == "fasta" else F.lit(1)), "")
-        records = spark.read.option("lineSep", "\n" + mark).text(path).where(F.length(F.trim("value")) > 0)
-        return records.select(F.regexp_replace(lines[0], f"^{mark}", "").alias("name"), seq.alias("seq")).select(F.abs(F.xxhash64("name") % 9_000_000_000_000).alias("read_id"), F.trim("seq").alias("seq"))
+        lines = F.split("value", "\r?\n")
+        records = spark.read.option("lineSep", "\n>").text(path).where(F.length(F.trim("value")) > 0)
+        return with_positions(records.select(F.array_join(F.slice(lines, F.lit(2), F.size(lines)), "").alias("seq")), "fasta").select(F.col("pos").alias("read_id"), "seq")
+    if fmt == "fastq":
+        return _second_of_four(spark, path)
     raise ValueError(f"unknown format {fmt}")
 
 
+def _second_of_four(spark: SparkSession, path: str) -> DataFrame:
+    """The sequence lines of four-line records. Lines are counted rather than recognised, as any may begin with a marker; of each split
+    of a file a row with its number of lines comes together."""
+    from pyspark.sql import Window
+
+    lines = spark.read.text(path).select("value", F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("block"), F.monotonically_increasing_id().alias("at"))
+    lines = stored(lines, "lines")
+    blocks = lines.groupBy("file", "block").agg(F.count("*").alias("n"), F.min("at").alias("first"))
+    before = Window.partitionBy("file").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    starts = blocks.select("file", "block", "first", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    files = blocks.groupBy("file").agg(F.ceil(F.sum("n") / 4).alias("records"))
+    ahead = files.select("file", F.coalesce(F.sum("records").over(Window.orderBy("file").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("ahead"))
+    placed = lines.join(F.broadcast(starts.join(ahead, "file")), ["file", "block"]).withColumn("line", F.col("start") + F.col("at") - F.col("first"))
+    return placed.where("line % 4 = 1").select((F.col("ahead") + (F.col("line") / 4).cast("long")).alias("read_id"), F.trim("value").alias("seq"))
+
+
 def write_suffix_array(sa: DataFrame, path: str) -> None:
     """Rows range-partitioned and sorted by position, so that files carry tight minima and maxima for skipping."""
     sa.repartitionByRange("pos").sortWithinPartitions("pos").write.mode("overwrite").parquet(path)

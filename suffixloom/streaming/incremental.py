@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.refs import RefLayout
@@ -35,3 +35,15 @@ def sessions(events: DataFrame, ts: str, key: str, gap: str, late: str | None =
 def distinct_reads(reads: DataFrame, ts: str, late: str) -> DataFrame:
     """Reads once each, remembered for as long as they may come late."""
     return reads.withWatermark(ts, late).dropDuplicatesWithinWatermark(["read_id"])
+
+
+def late_rows(events: DataFrame, arrival: str, ts: str, key: str, late: str) -> DataFrame:
+    """(key, n, late): rows of a key, and those that came more than late behind the latest before them, as a watermark would drop them."""
+    order = Window.partitionBy(key).orderBy(arrival).rowsBetween(Window.unboundedPreceding, -1)
+    seen = events.select(F.col(key).alias("key"), F.col(ts).alias("ts"), F.max(ts).over(order).alias("seen"))
+    return seen.groupBy("key").agg(F.count("*").alias("n"), F.count_if(F.col("ts") < F.col("seen") - F.expr(f"INTERVAL {late}")).alias("late"))
+
+
+def merge_runs(spark: SparkSession, runs: list[str], path: str, parts: int = 32) -> None:
+    """Sorted runs (code, ref, slen), as days of new reads leave them, merged into one sorted index."""
+    spark.read.schema("code long, ref long, slen int").parquet(*runs).repartitionByRange(parts, "code", "ref").sortWithinPartitions("code", "ref").write.mode("overwrite").parquet(path)

@@ -3,7 +3,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from suffixloom.functions.alphabet import DNA, Alphabet, Bytes, max_prefix_width
+from suffixloom.functions.alphabet import DNA, DNA_N, Alphabet, Bytes, max_prefix_width
 from suffixloom.functions.refs import RefLayout
 from suffixloom.operators import grouping, partitioning, search, single, suffixes
 from suffixloom.operators.refine import rank_doubling, refine_until_unique
@@ -45,7 +45,7 @@ def words():
 
 @pytest.mark.parametrize(
     "options",
-    [{}, {"width": 3}, {"width": 13, "int_key": True}, {"short_rule": False, "singleton_rule": False}, {"whole_reads": True, "width": 4}, {"explicit_ranges": True, "parts": 5, "per_part": 20}, {"store": "broadcast"}, {"store": "placed"}, {"store": "placed", "width": 3}, {"store": "shuffle", "parts": 2}],
+    [{}, {"width": 3}, {"width": 13, "int_key": True}, {"short_rule": False, "singleton_rule": False}, {"whole_reads": True, "width": 4}, {"explicit_ranges": True, "parts": 5, "per_part": 20}, {"store": "broadcast"}, {"store": "placed"}, {"store": "placed", "width": 3}, {"store": "shuffle", "parts": 2}, {"store": "bucketed", "width": 4}, {"width": 2, "longer_above": 5}, {"width": 3, "longer_above": 20, "short_rule": False}],
 )
 def test_indexed_is_the_brute_order(spark, dna, options):
     assert order_of(build.indexed_suffix_array(frame(spark, dna), DNA, **({"width": 23, "parts": 4} | options))) == brute(dna)
@@ -96,6 +96,56 @@ def test_empty_and_rejects(spark):
         suffixes.expand_suffixes(frame(spark, [(1, "A" * 1001)])).collect()
 
 
+def test_unsound_reads_are_refused(spark):
+    """By both constructions, where they would otherwise give a wrong order or lose rows."""
+    refs = lambda rows, alphabet=DNA: suffixes.expand_refs(frame(spark, rows), alphabet, 5).collect()
+    for rows, alphabet in (([(1, "ANG")], DNA), ([(1, "acgt")], DNA), ([(1, "a\0b")], Bytes), ([(1, None)], DNA), ([(None, "A")], DNA), ([(1, "A" * 1500)], DNA), ([(-1, "A")], DNA), ([(10**16, "A")], DNA)):
+        with pytest.raises(Exception, match="a read"):
+            refs(rows, alphabet)
+    for row in ((1, None), (1, "A" * 1000), (-5, "A")):
+        with pytest.raises(Exception, match="a read"):
+            suffixes.expand_suffixes(frame(spark, [row])).collect()
+    with pytest.raises(Exception, match="pieces"):
+        src.chunk_reads(frame(spark, [(1, "A" * 2001)]), "read_id", "seq", 2).collect()
+    assert src.fit_stride(frame(spark, [(1, "A" * 2001)]), "seq", 2) == 10000
+    with_n = [(1, "ANG"), (2, "NNA"), (3, "TNN"), (4, "")]
+    assert order_of(build.indexed_suffix_array(frame(spark, with_n), DNA_N, 2, parts=2)) == brute(with_n)
+
+
+def test_long_reads_keep_their_references_and_prefixes(spark):
+    layout = RefLayout.fit(5000)
+    reads = [(1, "AC" * 2500), (2, "AC" * 2499), (3, "C")]
+    want = [r for _, r in sorted((s[o:], i * layout.stride + o) for i, s in reads for o in range(len(s) + 1))]
+    sa = build.indexed_suffix_array(frame(spark, reads), DNA, 23, parts=3, layout=layout, emit="ref")
+    assert order_of(sa) == want
+    texts = {i * layout.stride + o: s[o:] for i, s in reads for o in range(len(s) + 1)}
+    whole = spark.createDataFrame([(p, r, texts[r]) for p, r in enumerate(want) if len(texts[r]) > 4990 or p < 5], "pos long, ref long, suffix string")
+    lcp = sorted((r["pos"], r["lcp"]) for r in search.common_prefix_with_previous(whole).collect())
+    assert max(n for _, n in lcp) >= 4990
+
+
+def test_oversize_codes_come_from_a_sample(spark):
+    reads = frame(spark, [(i, "A" * 60 + "CGT"[i % 3]) for i in range(200)])
+    assert build.oversize_codes(reads, DNA, 3, 4, 100, RefLayout()) == [31]
+    assert build.oversize_codes(reads, DNA, 3, 4, 10**6, RefLayout()) == []
+
+
+def test_accumulation_by_range_against_brute_force(spark):
+    rng = random.Random(4)
+    rows = [(r, c, rng.randint(1, 9)) for r in range(4) for c in range(rng.choice((0, 1, 50, 20_000)) if r else 30_000)]
+    got = sorted(tuple(x) for x in grouping.accumulate_groups(spark.createDataFrame(rows, "r long, code long, n long"), 25, range_col="r").collect())
+    want, state = [], {}
+    for r, _, n in rows:
+        k, groups, total = state.get(r, (0, 0, 0))
+        groups, total = groups + 1, total + n
+        if total > 25:
+            want.append((r, k, groups, total))
+            state[r] = (k + 1, 0, 0)
+        else:
+            state[r] = (k, groups, total)
+    assert got == sorted(want + [(r, *x) for r, x in state.items() if x[1]])
+
+
 def test_key_limits_and_codes(spark):
     assert (max_prefix_width(5, 32), max_prefix_width(5, 64)) == (13, 27)
     with pytest.raises(ValueError):
@@ -129,6 +179,15 @@ def test_accumulation_closes_after_the_limit(spark):
     assert rows == [(0, 2, 6), (1, 1, 9), (2, 4, 11), (3, 1, 2)]
 
 
+def test_measures_against_printed_figures():
+    units = measures.scheme_units(16, 200, 50)
+    assert all(abs(units[side, counter] - printed) < 0.02 for side, counter, printed in published.INDEXED_UNITS)
+    assert measures.placement_plan([gb for gb, _ in published.DISKS], 3) == [1, 1, 2, 3]
+    large = measures.reduce_side_units(1.03 * published.LARGE_GB / 32, published.LARGE_HEAP_GB)
+    assert abs(large - dict((x[:2], x[2]) for x in published.LARGE_UNITS)["reduce", "local_read"]) < 0.03
+    assert round(sum(measures.phase_split(284.2, published.TIME_SPLIT).values()), 6) == 284.2
+
+
 def test_merge_model():
     assert [measures.merged_segments(n) for n in (6, 13, 19, 26, 31, 35, 50)] == [0, 4, 10, 18, 24, 28, 45]
     for variant, (reducers, heap) in published.REDUCERS.items():
@@ -148,11 +207,21 @@ def test_references_ship_less_than_suffixes(spark):
     assert abs(16 * n * 5 / sizes["suffix_bytes"] - 0.16) < 0.01
 
 
-def test_search_against_brute_force(spark, dna):
-    patterns = [(0, "ACGT"), (1, "AAAA"), (2, "GGGGGGGGGG")]
+def test_search_against_brute_force(spark, dna, tmp_path):
+    patterns = [(0, "ACGT"), (1, "AAAA"), (2, "GGGGGGGGGG"), (3, "A"), (4, "CG"), (5, "ACGTACGTACA"), (6, "T" * 70)]
     got = sorted(tuple(r) for r in search.search(frame(spark, dna), spark.createDataFrame(patterns, "pattern_id int, pattern string"), DNA, 4).collect())
     assert got == sorted((k, i * 1000 + o) for k, p in patterns for i, s in dna for o in range(len(s)) if s.startswith(p, o))
+    assert search.search(frame(spark, dna), spark.createDataFrame([(0, ""), (1, None)], "pattern_id int, pattern string"), DNA, 4).count() == 0
+    search.store_index(frame(spark, dna), DNA, 4, str(tmp_path / "index"), parts=3)
+    by_index = search.search_index(spark, str(tmp_path / "index"), frame(spark, dna), [*patterns, (7, "XYZ")], DNA, 4)
+    assert sorted(tuple(r) for r in by_index.collect()) == got
+    search.store_index(frame(spark, dna[:20]), DNA, 4, str(tmp_path / "day1"), parts=2)
+    search.store_index(frame(spark, dna[20:]), DNA, 4, str(tmp_path / "day2"), parts=2)
+    incremental.merge_runs(spark, [str(tmp_path / "day1"), str(tmp_path / "day2")], str(tmp_path / "merged"), parts=3)
+    assert sorted(map(tuple, spark.read.parquet(str(tmp_path / "merged")).collect())) == sorted(map(tuple, spark.read.parquet(str(tmp_path / "index")).collect()))
     sa = build.indexed_suffix_array(frame(spark, dna), DNA, 5, parts=3, emit="suffix")
+    src.write_suffix_array(sa, str(tmp_path / "sa"))
+    assert order_of(spark.read.parquet(str(tmp_path / "sa"))) == brute(dna)
     assert validate_order(sa).first()["violations"] == 0
 
 
@@ -169,6 +238,14 @@ def test_stream_equals_table(spark, tmp_path, dna):
 def test_read_files(spark, tmp_path):
     (tmp_path / "a.fa").write_text(">one x\nACGT\nAC\n>two\nGG\n")
     assert sorted(r["seq"] for r in src.load_reads(spark, str(tmp_path / "a.fa"), "fasta").collect()) == ["ACGTAC", "GG"]
+    (tmp_path / "q").mkdir()
+    (tmp_path / "q" / "a.fq").write_text("@one\nACGT\n+\n@III\n@two\nGG\n+two\n@@\n")
+    (tmp_path / "q" / "b.fq").write_text("@three\nTTT\n+\n+@I\n")
+    assert sorted(tuple(r) for r in src.load_reads(spark, str(tmp_path / "q"), "fastq").collect()) == [(0, "ACGT"), (1, "GG"), (2, "TTT")]
+    (tmp_path / "a.csv").write_text("7,ACGT\n8,GG\n")
+    (tmp_path / "a.json").write_text('{"read_id": 7, "seq": "ACGT"}\n{"read_id": 8, "seq": "GG"}\n')
+    for kind in ("csv", "json"):
+        assert sorted(tuple(r) for r in src.load_reads(spark, str(tmp_path / f"a.{kind}"), kind).collect()) == [(7, "ACGT"), (8, "GG")]
     (tmp_path / "a.txt").write_text("1\tACGT\n2\tGG\n")
     assert [tuple(r) for r in src.load_reads(spark, str(tmp_path / "a.txt"), "text").collect()] == [(1, "ACGT"), (2, "GG")]
 
