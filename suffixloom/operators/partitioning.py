@@ -42,6 +42,15 @@ def sample_reads(reads: DataFrame, alphabet, width: int, per_read: int = 1, layo
     return at.select(alphabet.encode(head, width).alias("code"), layout.pack(F.col("read_id"), F.col("off")).alias("ref"))
 
 
+def read_boundaries(reads: DataFrame, alphabet, width: int, parts: int, layout: RefLayout = RefLayout()) -> list[int]:
+    """Up to parts - 1 cut points from one suffix of each read, by a mergeable sketch of quantiles: nothing is expanded twice, and cut points alone come to the driver."""
+    if parts < 2:
+        return []
+    keys = sample_reads(reads, alphabet, width, 1, layout)
+    found = keys.agg(F.percentile_approx("code", [i / parts for i in range(1, parts)], 10 * parts).alias("cuts")).first()["cuts"]
+    return sorted(set(found or []))
+
+
 def assign_partition(df: DataFrame, boundaries: list[int], code: str = "code", name: str = "part") -> DataFrame:
     """Adds the number of boundaries below the key, so that equal keys share a part: a balanced tree of comparisons, or
     binary search over Arrow batches where there are many boundaries."""

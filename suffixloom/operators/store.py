@@ -77,8 +77,10 @@ class AutoStore(BroadcastStore):
     """Reads written once, then on every executor if they are few enough, else joined by number; the constructions' default."""
 
     def __init__(self, reads: DataFrame):
-        # expansion multiplies a file's reads about a hundredfold, so files stay small
-        super().__init__(stored(reads.repartition(max(16, weight_of(reads) // (32 << 20)), "read_id"), "reads"))
+        # expansion multiplies a file's reads about a hundredfold, so files stay small; what reads are made from is read once
+        held = stored(reads, "reads")
+        files = max(16, weight_of(held) // (32 << 20))
+        super().__init__(held if held.rdd.getNumPartitions() >= files else stored(held.repartition(files, "read_id"), "reads-dealt"))
 
 
 STORES = {"auto": AutoStore, "shuffle": ShuffleStore, "broadcast": BroadcastStore, "placed": PlacedStore, "bucketed": BucketedStore}

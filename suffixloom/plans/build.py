@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.alphabet import DNA, prefix_key
 from ..functions.refs import RefLayout
-from ..operators.partitioning import assign_partition, sample_boundaries, sample_reads
+from ..operators.partitioning import assign_partition, read_boundaries, sample_boundaries, sample_reads
 from ..operators.positions import with_positions
 from ..operators.refine import refine_until_unique
 from ..operators.store import STORES, fetch_tails
@@ -45,7 +45,8 @@ def indexed_suffix_array(reads: DataFrame, alphabet=DNA, width: int = 23, int_ke
     if emit == "ref" and singleton_rule and not (whole_reads or explicit_ranges):
         longer = [] if int_key else oversize_codes(held.reads(), alphabet, width, parts, longer_above, layout)
         refs = expand_refs(held.reads(), alphabet, width, layout, int_key, longer=longer or None)
-        return _in_one_exchange(refs, held, width if short_rule else 0, parts, width if alphabet.whole_symbols else 0, width, layout)
+        cuts = None if longer else read_boundaries(held.reads(), alphabet, width, parts, layout)
+        return _in_one_exchange(refs, held, width if short_rule else 0, parts, width if alphabet.whole_symbols else 0, width, layout, cuts)
     skip = width if emit != "suffix" and alphabet.whole_symbols else 0
     refs = expand_refs(held.reads(), alphabet, width, layout, int_key)
     none = refs.where(F.lit(False)).select("code", "ref")
@@ -83,16 +84,22 @@ def oversize_codes(reads: DataFrame, alphabet, width: int, parts: int, limit: in
     return [r["code"] for r in seen.orderBy(F.desc("n"), "code").limit(4 * parts).select("code").collect()]
 
 
-def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, width: int, layout: RefLayout) -> DataFrame:
+def _in_one_exchange(refs: DataFrame, held, least: int, parts: int, skip: int, width: int, layout: RefLayout, cuts: list[int] | None = None) -> DataFrame:
     """(pos, ref): references are dealt to code ranges once, and groups are counted there, where they stand sorted.
 
     What is settled has its position at once; only groups that need text travel further, to the reads and back to their
     group, whose first position they carry. Groups with longer prefixes are told apart by those, so that they spread over ranges.
     """
     keys = ["code", "more"] if "more" in refs.columns else ["code"]
+    if cuts is None:
+        dealt = refs.repartitionByRange(parts, *keys)
+    else:
+        # a range exchange would make all codes twice, once for its sample
+        keys = ["part", *keys]
+        dealt = assign_partition(refs, cuts).repartitionById(parts, F.col("part"))
     group = Window.partitionBy(*keys)
     whole = group.orderBy("ref").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    counted = refs.repartitionByRange(parts, *keys).withColumn("n", F.count("*").over(whole))
+    counted = dealt.withColumn("n", F.count("*").over(whole))
     full = F.when(F.col("far"), F.col("slen") >= 2 * width).otherwise(F.col("slen") >= width) if "more" in refs.columns else F.col("slen") >= width
     needs = (F.col("n") > 1) & (full if least else F.lit(True))
     placed = with_positions(counted.select(*keys, "ref", needs.alias("needs")), "indexed")
