@@ -37,6 +37,8 @@ _DEALT = 10_000
 _HELD, _MET = 1 << 21, 5_000
 #: Bits of a sketch at least.
 _SKETCH = 256
+#: Bytes of a sketch at most where those of a block are compared with each other.
+_WIDEST = 2048
 #: Nodes of a crowded bucket to a block, and of a small bucket at most.
 _BLOCK, _FEW = 512, 16
 #: Words whose hashes a worker remembers, and texts with a shingle beyond which it is dealt to all tasks.
@@ -369,27 +371,29 @@ def met_in_crowds(crowds: DataFrame, similarity: float, best: bool) -> DataFrame
     def meet(group: pa.Table) -> pa.Table:
         node, root, size, block, i, j = (group.column(c).to_numpy() for c in ("node", "root", "size", "block", "i", "j"))
         bits = group.column("bits").to_pylist()
-        long = np.array([len(x) for x in bits])
+        long = np.minimum([len(x) for x in bits], _WIDEST)
         first, second = [], []
         for k in np.unique(long):
             # sizes that are alike have sketches that differ twofold in length at most; the shorter length decides
             near = (long == k) | (long == 2 * k)
             left, right = np.flatnonzero(near & (block == i[0])), np.flatnonzero(near & (block == j[0]))
-            words = {r: folded(bits[r], k).view(np.uint64) for r in np.union1d(left, right)}
-            others = np.array([words[r] for r in right], np.uint64).reshape(len(right), -1)
-            for r in left:
-                fine = (root[right] != root[r]) & ((long[right] == k) | (long[r] == k)) & (np.minimum(size[right], size[r]) >= similarity * np.maximum(size[right], size[r]) - 1e-6)
-                if i[0] == j[0]:
-                    fine &= node[right] > node[r]
-                at = np.flatnonzero(fine)
-                apart = np.bitwise_count(others[at] ^ words[r]).sum(1, dtype=np.int64)
-                kept = apart <= most * (size[right[at]] + size[r]) + 1e-6
-                at, apart = right[at[kept]], apart[kept]
-                if best:
-                    at = at[np.lexsort((apart, root[at]))]
-                    at = at[np.unique(root[at], return_index=True)[1]]
-                first.append(np.full(len(at), node[r]))
-                second.append(node[at])
+            if not len(left) or not len(right):
+                continue
+            p, q = (np.unpackbits(np.array([folded(bits[r], k) for r in side]), axis=1).astype(np.float32) for side in (left, right))
+            apart = p.sum(1)[:, None] + q.sum(1)[None, :] - 2 * p @ q.T
+            m, n = size[left][:, None], size[right][None, :]
+            fine = (root[left][:, None] != root[right][None, :]) & ((long[left][:, None] == k) | (long[right][None, :] == k))
+            fine &= (apart <= most * (m + n) + 1e-6) & (np.minimum(m, n) >= similarity * np.maximum(m, n) - 1e-6)
+            if i[0] == j[0]:
+                fine &= node[left][:, None] < node[right][None, :]
+            x, y = np.nonzero(fine)
+            if best and len(x):
+                order = np.lexsort((apart[x, y], root[right][y], x))
+                x, y = x[order], y[order]
+                head = np.r_[True, (x[1:] != x[:-1]) | (root[right][y[1:]] != root[right][y[:-1]])]
+                x, y = x[head], y[head]
+            first.append(node[left][x])
+            second.append(node[right][y])
         a, b = (np.concatenate([np.empty(0, np.int64), *x]) for x in (first, second))
         return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
 
