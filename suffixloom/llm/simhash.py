@@ -41,6 +41,8 @@ _SKETCH = 256
 _WIDEST = 2048
 #: Nodes of a crowded bucket to a block, and of a small bucket at most.
 _BLOCK, _FEW = 512, 16
+#: Shingles of a text at most whose set itself goes to crowded blocks; longer ones send sketches there.
+_SHORT = 4096
 #: Words whose hashes a worker remembers, and texts with a shingle beyond which it is dealt to all tasks.
 _WORDS, _HOT = 1 << 17, 1 << 16
 
@@ -356,48 +358,88 @@ def prefix(shingles: np.ndarray, similarity: float, common: np.ndarray, counts:
     return shingles[np.lexsort((shingles, weight))[: len(shingles) - must_share + 1]]
 
 
-def met_in_crowds(crowds: DataFrame, similarity: float, best: bool) -> DataFrame:
-    """(a, b): pairs of nodes of one token (token, n, node, root, size, bits) with different roots that may be similar.
-
-    A pair meets where the blocks of both do; a block pair has some 2 * _BLOCK nodes however large the token's group is, and its
-    pairs are compared by sketches in place. With best, only the likeliest partner of a node in each other component comes out.
-    """
+def alike(node: np.ndarray, root: np.ndarray, block: np.ndarray, ends: tuple[int, int], size: np.ndarray, bits: list[bytes], similarity: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Places x and y of the pairs between two blocks (ends) whose roots differ and whose sketches don't rule them out, and their differing bits."""
     most = (1 - similarity) / (1 + similarity)
+    long = np.minimum([len(x) for x in bits], _WIDEST)
+    found = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.float32))]
+    for k in np.unique(long):
+        # sizes that are alike have sketches that differ twofold in length at most; the shorter length decides
+        near = (long == k) | (long == 2 * k)
+        left, right = np.flatnonzero(near & (block == ends[0])), np.flatnonzero(near & (block == ends[1]))
+        if not len(left) or not len(right):
+            continue
+        p, q = (np.unpackbits(np.array([folded(bits[r], k) for r in side]), axis=1).astype(np.float32) for side in (left, right))
+        apart = p.sum(1)[:, None] + q.sum(1)[None, :] - 2 * p @ q.T
+        m, n = size[left][:, None], size[right][None, :]
+        fine = (root[left][:, None] != root[right][None, :]) & ((long[left][:, None] == k) | (long[right][None, :] == k))
+        fine &= (apart <= most * (m + n) + 1e-6) & (np.minimum(m, n) >= similarity * np.maximum(m, n) - 1e-6)
+        if ends[0] == ends[1]:
+            fine &= node[left][:, None] < node[right][None, :]
+        x, y = np.nonzero(fine)
+        found.append((left[x], right[y], apart[x, y]))
+    return tuple(np.concatenate(each) for each in zip(*found))
+
+
+def in_blocks(crowds: DataFrame) -> DataFrame:
+    """Rows of tokens (token, n, node, ...) dealt to block pairs (token, i, j): some 2 * _BLOCK nodes each however large a token's group is."""
     blocks = F.ceil(F.col("n") / _BLOCK).cast("int")
     own = crowds.withColumns({"blocks": blocks, "block": F.pmod(F.xxhash64("node"), blocks).cast("int")})
-    dealt = own.select("token", "node", "root", "size", "bits", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    keyed = dealt.withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}).drop("other")
+    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).drop("n", "blocks")
+    return dealt.withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}).drop("other")
+
+
+def linked_in_crowds(crowds: DataFrame, similarity: float) -> DataFrame:
+    """(a, b): links between nodes of one token (token, n, node, root, shingles) with different roots, as a forest for each block pair.
+
+    Pairs that sketches leave are compared by their shingles in place, likeliest first, unless links found there already join
+    them; so a block pair gives fewer links than it has roots, and its components are exact.
+    """
+
+    def meet(group: pa.Table) -> pa.Table:
+        node, root, block, i, j = (group.column(c).to_numpy() for c in ("node", "root", "block", "i", "j"))
+        sets = [np.frombuffer(x, np.uint64) for x in group.column("shingles").to_pylist()]
+        x, y, apart = alike(node, root, block, (i[0], j[0]), np.array([len(s) for s in sets]), [sketch(s) for s in sets], similarity)
+        above: dict[int, int] = {}
+
+        def top(r: int) -> int:
+            while (up := above.get(r, r)) != r:
+                above[r] = above.get(up, up)
+                r = up
+            return r
+
+        a, b = [], []
+        order = np.argsort(apart, kind="stable")
+        for p, q in zip(x[order].tolist(), y[order].tolist()):
+            r, s = top(int(root[p])), top(int(root[q]))
+            if r != s and similar(sets[p], sets[q], similarity):
+                above[max(r, s)] = min(r, s)
+                a.append(min(node[p], node[q]))
+                b.append(max(node[p], node[q]))
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return in_blocks(crowds).groupBy("token", "i", "j").applyInArrow(meet, "a long, b long").distinct()
+
+
+def met_in_crowds(crowds: DataFrame, similarity: float, best: bool, over: int = 0) -> DataFrame:
+    """(a, b): pairs of nodes of one token (token, n, node, root, size, bits) with different roots that may be similar.
+
+    At least one of a pair has more than over shingles. With best, only the likeliest partner of a node in each other component comes out.
+    """
 
     def meet(group: pa.Table) -> pa.Table:
         node, root, size, block, i, j = (group.column(c).to_numpy() for c in ("node", "root", "size", "block", "i", "j"))
-        bits = group.column("bits").to_pylist()
-        long = np.minimum([len(x) for x in bits], _WIDEST)
-        first, second = [], []
-        for k in np.unique(long):
-            # sizes that are alike have sketches that differ twofold in length at most; the shorter length decides
-            near = (long == k) | (long == 2 * k)
-            left, right = np.flatnonzero(near & (block == i[0])), np.flatnonzero(near & (block == j[0]))
-            if not len(left) or not len(right):
-                continue
-            p, q = (np.unpackbits(np.array([folded(bits[r], k) for r in side]), axis=1).astype(np.float32) for side in (left, right))
-            apart = p.sum(1)[:, None] + q.sum(1)[None, :] - 2 * p @ q.T
-            m, n = size[left][:, None], size[right][None, :]
-            fine = (root[left][:, None] != root[right][None, :]) & ((long[left][:, None] == k) | (long[right][None, :] == k))
-            fine &= (apart <= most * (m + n) + 1e-6) & (np.minimum(m, n) >= similarity * np.maximum(m, n) - 1e-6)
-            if i[0] == j[0]:
-                fine &= node[left][:, None] < node[right][None, :]
-            x, y = np.nonzero(fine)
-            if best and len(x):
-                order = np.lexsort((apart[x, y], root[right][y], x))
-                x, y = x[order], y[order]
-                head = np.r_[True, (x[1:] != x[:-1]) | (root[right][y[1:]] != root[right][y[:-1]])]
-                x, y = x[head], y[head]
-            first.append(node[left][x])
-            second.append(node[right][y])
-        a, b = (np.concatenate([np.empty(0, np.int64), *x]) for x in (first, second))
-        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
-
-    return keyed.groupBy("token", "i", "j").applyInArrow(meet, "a long, b long").distinct()
+        x, y, apart = alike(node, root, block, (i[0], j[0]), size, group.column("bits").to_pylist(), similarity)
+        wanted = np.maximum(size[x], size[y]) > over
+        x, y, apart = x[wanted], y[wanted], apart[wanted]
+        if best and len(x):
+            order = np.lexsort((apart, root[y], x))
+            x, y = x[order], y[order]
+            head = np.r_[True, (x[1:] != x[:-1]) | (root[y[1:]] != root[y[:-1]])]
+            x, y = x[head], y[head]
+        return pa.table({"a": np.minimum(node[x], node[y]), "b": np.maximum(node[x], node[y])})
+
+    return in_blocks(crowds).groupBy("token", "i", "j").applyInArrow(meet, "a long, b long").distinct()
 
 
 def met_in_small_groups(few: DataFrame) -> DataFrame:
@@ -453,12 +495,21 @@ def similar_links(members: DataFrame, likely: DataFrame, texts: DataFrame, width
     rest = named.join(maybe_broadcast(mixed, 16), "token", "left_semi")
     if check(met_in_small_groups(rest.where(F.col("n") <= _FEW)), "small"):
         roots = connected_components(links)
-    crowds = rest.where(F.col("n") > _FEW).drop("root").join(drawn, "node").join(roots.withColumnRenamed("node", "own"), F.col("node") == F.col("own"), "left")
-    crowds = stored(crowds.select("token", "n", "node", F.coalesce("root", "node").alias("root"), "size", "bits"), "near-crowds")
-    if check(met_in_crowds(crowds, similarity, best=True), "best"):
-        roots = connected_components(links).withColumnsRenamed({"node": "own", "root": "new"})
-        crowds = crowds.join(roots, F.col("node") == F.col("own"), "left").withColumn("root", F.coalesce("new", "node")).drop("own", "new")
-    check(met_in_crowds(crowds, similarity, best=False), "every")
+    rooted = lambda df, roots: df.join(roots.select(F.col("node").alias("own"), "root"), F.col("node") == F.col("own"), "left").withColumn("root", F.coalesce("root", "node")).drop("own")
+    crowds = stored(rest.where(F.col("n") > _FEW).drop("root").join(drawn.select("node", "size"), "node"), "near-crowds")
+    # sets of bounded size are compared in place, which gives a forest of links rather than pairs
+    short = crowds.where(F.col("size") <= _SHORT)
+    held = texts.join(maybe_broadcast(stored(short.select("node").distinct(), "near-short"), 16), "node").select("node", "text")
+    sets = arrow_map(held, lambda batch: {"node": batch.column(0).to_pylist(), "shingles": [shingle_set(x, width).tobytes() for x in utf8(batch.column(1))]}, "node long, shingles binary")
+    found = stored(linked_in_crowds(rooted(short.drop("size").join(sets, "node"), roots), similarity), "near-crowd-links")
+    links = links.union(found)
+    if crowds.where(F.col("size") > _SHORT).limit(1).count():
+        # longer ones meet each other, and shorter ones of a like size, by sketches
+        long = stored(crowds.where(F.col("size") >= math.floor(similarity * _SHORT)).join(drawn.select("node", "bits"), "node"), "near-long")
+        used.append(long)
+        check(met_in_crowds(rooted(long, connected_components(links)), similarity, best=True, over=_SHORT), "best")
+        check(met_in_crowds(rooted(long, connected_components(links)), similarity, best=False, over=_SHORT), "every")
+    used.append(crowds)
     discard(star, ends, drawn, named, mixed, *used)
     return links
 

@@ -424,8 +424,11 @@ def test_keep_one_finds_every_pair_of_the_similarity(spark):
     assert sorted(r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()) == brute_keep(rows)
 
 
-def test_keep_one_in_a_crowd_and_among_equal_fingerprints(spark):
-    """Copies of one text that are alike in chains, in buckets of many; two near copies of which one has another text's words in another order."""
+@pytest.mark.parametrize("short", [4096, 295, 10])
+def test_keep_one_in_a_crowd_and_among_equal_fingerprints(spark, monkeypatch, short):
+    """Copies of one text that are alike in chains, in buckets of many; two near copies of which one has another text's words in another order.
+    Crowds are compared by sets, by sets and sketches, and by sketches."""
+    monkeypatch.setattr(simhash, "_SHORT", short)
     rng = random.Random(14)
     base, rows = ["w%d" % rng.randrange(3000) for _ in range(300)], []
     for i in range(60):
@@ -437,6 +440,35 @@ def test_keep_one_in_a_crowd_and_among_equal_fingerprints(spark):
     assert sorted(r["doc_id"] for r in simhash.keep_one(docs(spark, rows)).collect()) == want
 
 
+def test_crowds_give_a_forest_with_the_components_of_all_links(spark):
+    """1,300 sets, in more than one block: near copies that are mostly a little less alike than the limit, some in chains."""
+    rng = np.random.default_rng(21)
+    base, rows, sets = np.arange(200, dtype=np.uint64), [], []
+    for i in range(1300):
+        own = base.copy()
+        gone = rng.choice(200, int(rng.integers(8, 22)), replace=False)
+        own[gone] = rng.integers(1 << 20, 1 << 62, len(gone), np.uint64)
+        sets.append(np.sort(own))
+        rows.append((5, 1300, i, i, sets[-1].tobytes()))
+    crowds = spark.createDataFrame([(t, n, a, r, bytearray(x)) for t, n, a, r, x in rows], "token long, n long, node long, root long, shingles binary")
+    found = simhash.linked_in_crowds(crowds, 0.8).collect()
+    above = list(range(1300))
+
+    def find(x):
+        while above[x] != x:
+            x = above[x]
+        return x
+
+    for r in found:
+        assert simhash.similar(sets[r["a"]], sets[r["b"]], 0.8)
+        above[find(r["a"])] = find(r["b"])
+    assert 0 < len(found) < 6 * 1300
+    for i in range(1300):
+        for j in range(i):
+            if find(i) != find(j):
+                assert not simhash.similar(sets[i], sets[j], 0.8)
+
+
 def test_sketches_never_rule_out_similar_sets():
     rng = np.random.default_rng(14)
     for n in (1, 5, 200, 300, 3000, 40_000):
