@@ -41,8 +41,9 @@ _SKETCH = 256
 _WIDEST = 2048
 #: Nodes of a crowded bucket to a block, and of a small bucket at most.
 _BLOCK, _FEW = 512, 16
-#: Shingles of a text at most whose set itself goes to crowded blocks; longer ones send sketches there.
-_SHORT = 4096
+#: Shingles of a text at most whose set itself goes to crowded blocks; longer ones send sketches there, as a text has more
+#: tokens the longer it is, so that its sets' bytes grow with the square of its length.
+_SHORT = 512
 #: Words whose hashes a worker remembers, and texts with a shingle beyond which it is dealt to all tasks.
 _WORDS, _HOT = 1 << 17, 1 << 16
 
