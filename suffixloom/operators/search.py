@@ -101,12 +101,20 @@ def seeds(forward: DataFrame, reverse: DataFrame, k: int) -> DataFrame:
 
 
 def copied_passages(texts: DataFrame, items: DataFrame, id_col: str, item_col: str, seed: int = 32) -> DataFrame:
-    """(item_id, id) of passages of at least seed symbols found verbatim in whole texts: seeds of the passages' heads meet the texts' windows by hash.
+    """(item_id, id) of passages found verbatim in whole texts: seeds of the passages' heads meet the texts' windows by hash.
 
-    Choose a seed no longer than the shortest passage; shorter passages have no seed and give no rows.
+    A passage shorter than seed is a seed of its own length, so texts offer windows of each length that occurs (seed of them at
+    most, a row each comes to the driver). Null and empty passages have no place.
     """
-    heads = items.select(F.col(item_col).alias("item_id"), F.col("text").alias("passage"), F.xxhash64(F.substring("text", 1, seed)).alias("h")).where(F.length("passage") >= seed)
-    at = texts.select(F.col(id_col).alias("id"), F.col("text").alias("body")).where(F.length("body") >= seed)
-    grams = at.select("id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.length("body") - seed + 1), lambda i: F.xxhash64(F.substring(F.col("body"), i, F.lit(seed)))))).alias("h"))
-    pairs = grams.join(heads.select("item_id", "h"), "h").select("id", "item_id").distinct()
+    known = items.select(F.col(item_col).alias("item_id"), F.col("text").alias("passage"), F.least(F.length("text"), F.lit(seed)).alias("m")).where("m > 0")
+    lengths = sorted(r["m"] for r in known.select("m").distinct().collect())
+    heads = known.withColumn("h", F.xxhash64("m", F.substring(F.col("passage"), F.lit(1), F.col("m"))))
+    at = texts.select(F.col(id_col).alias("id"), F.col("text").alias("body"))
+
+    def windows(m: int):
+        all_of = F.transform(F.sequence(F.lit(1), F.length("body") - m + 1), lambda i: F.xxhash64(F.lit(m), F.substring(F.col("body"), i, F.lit(m))))
+        return F.when(F.length("body") >= m, F.array_distinct(all_of)).otherwise(F.array().cast("array<bigint>"))
+
+    offered = F.concat(*map(windows, lengths)) if lengths else F.array().cast("array<bigint>")
+    pairs = at.select("id", F.explode(offered).alias("h")).join(heads.select("item_id", "h"), "h").select("id", "item_id").distinct()
     return pairs.join(at, "id").join(heads.select("item_id", "passage"), "item_id").where(F.contains("body", F.col("passage"))).select("item_id", "id")

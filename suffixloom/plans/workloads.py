@@ -793,7 +793,7 @@ def _(s, d):
     return search.repeats(view(s, d, "text"), 32)
 
 
-@query("app_copied_passages", "SELECT item_id, doc_id AS id FROM documents d, benchmark b WHERE length(b.text) >= 32 AND contains(d.text, b.text)")
+@query("app_copied_passages", "SELECT item_id, doc_id AS id FROM documents d, benchmark b WHERE length(b.text) > 0 AND contains(d.text, b.text)")
 def _(s, d):
     return search.copied_passages(table(s, d, "documents"), table(s, d, "benchmark"), "doc_id", "item_id")
 

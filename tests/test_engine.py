@@ -265,3 +265,11 @@ def test_set_queries_read_whole_documents(spark):
     for op, want in (("union", en | de), ("intersect", en & de), ("except", en - de)):
         got = [r["gram"] for r in QUERIES[f"op_set_{op}_suffixes"](spark, sf).collect()]
         assert len(got) == len(set(got)) and set(got) == want, op
+
+
+def test_copied_passages_of_any_length(spark):
+    texts = spark.createDataFrame([(1, "abcabcdefgh"), (2, "ab"), (3, ""), (4, None), (5, "xxabcdefghyy")], "id long, text string")
+    items = spark.createDataFrame([(1, "abc"), (2, "abcdefgh"), (3, "b"), (4, ""), (5, None), (6, "abcdefgz")], "item long, text string")
+    found = {tuple(r) for r in search.copied_passages(texts, items, "id", "item", 5).collect()}
+    bodies = {r["id"]: r["text"] for r in texts.collect() if r["text"]}
+    assert found == {(r["item"], i) for r in items.collect() if r["text"] for i, body in bodies.items() if r["text"] in body}
