@@ -7,6 +7,7 @@ from suffixloom.functions.alphabet import DNA, DNA_N, Alphabet, Bytes, max_prefi
 from suffixloom.functions.refs import RefLayout
 from suffixloom.operators import grouping, partitioning, search, single, suffixes
 from suffixloom.operators.refine import rank_doubling, refine_until_unique
+from suffixloom.operators.store import BroadcastStore
 from suffixloom.operators.validate import validate_order
 from suffixloom.plans import build, measures, published
 from suffixloom.sources import reads as src
@@ -273,3 +274,11 @@ def test_copied_passages_of_any_length(spark):
     found = {tuple(r) for r in search.copied_passages(texts, items, "id", "item", 5).collect()}
     bodies = {r["id"]: r["text"] for r in texts.collect() if r["text"]}
     assert found == {(r["item"], i) for r in items.collect() if r["text"] for i, body in bodies.items() if r["text"] in body}
+
+
+def test_only_small_stores_are_broadcast(spark):
+    """60,000 reads of 200 symbols were, which took more of the driver than it had for many short reads."""
+    reads = spark.range(60_000).select(F.col("id").alias("read_id"), F.repeat(F.lit("A"), F.lit(200)).alias("seq"))
+    assert not BroadcastStore(reads).everywhere()
+    assert not BroadcastStore(spark.range(400_000).select(F.col("id").alias("read_id"), F.lit("ACGT").alias("seq"))).everywhere()
+    assert BroadcastStore(reads.limit(1_000)).everywhere()
