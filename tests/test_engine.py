@@ -10,6 +10,7 @@ from suffixloom.operators.refine import rank_doubling, refine_until_unique
 from suffixloom.operators.store import BroadcastStore
 from suffixloom.operators.validate import validate_order
 from suffixloom.plans import build, measures, published
+from suffixloom.scratch import stored
 from suffixloom.sources import reads as src
 from suffixloom.streaming import incremental
 
@@ -282,3 +283,15 @@ def test_only_small_stores_are_broadcast(spark):
     assert not BroadcastStore(reads).everywhere()
     assert not BroadcastStore(spark.range(400_000).select(F.col("id").alias("read_id"), F.lit("ACGT").alias("seq"))).everywhere()
     assert BroadcastStore(reads.limit(1_000)).everywhere()
+
+
+def test_stores_leave_no_shuffles_and_few_codes(spark, dna, monkeypatch):
+    """Shuffles go when what they were made for is written, and settled references are written without their codes."""
+    left = lambda: spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ").count("shuffle_")
+    before = left()
+    stored(spark.range(1_000).groupBy((F.col("id") % 7).alias("k")).count(), "groups").count()
+    assert left() <= before
+    seen, whole = [], build.with_positions
+    monkeypatch.setattr(build, "with_positions", lambda df, label: seen.append(df) or whole(df, label))
+    assert order_of(build.indexed_suffix_array(frame(spark, dna), DNA, 4, parts=4)) == brute(dna)
+    assert seen[0].where("NOT needs").count() and not seen[0].where("NOT needs AND code IS NOT NULL").count() and not seen[0].where("needs AND code IS NULL").count()
