@@ -1,4 +1,5 @@
 import random
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -289,7 +290,11 @@ def test_stores_leave_no_shuffles_and_few_codes(spark, dna, monkeypatch):
     """Shuffles go when what they were made for is written, and settled references are written without their codes."""
     left = lambda: spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ").count("shuffle_")
     before = left()
-    stored(spark.range(1_000).groupBy((F.col("id") % 7).alias("k")).count(), "groups").count()
+    stored(spark.range(1_000).groupBy((F.col("id") % 7).alias("k")).count(), "groups").collect()
+    for _ in range(50):  # they go in the background
+        if left() <= before:
+            break
+        time.sleep(0.1)
     assert left() <= before
     seen, whole = [], build.with_positions
     monkeypatch.setattr(build, "with_positions", lambda df, label: seen.append(df) or whole(df, label))

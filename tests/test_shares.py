@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from suffixloom.functions.alphabet import DNA, Bytes
-from suffixloom.operators import suffixes
+from suffixloom.operators import search, suffixes
 from suffixloom.plans.workloads import QUERIES, SQL
 
 NAMES = ("batched_fetch", "fetch_tail_vs_whole", "fetch_requests", "access_profile", "block_fetch_bytes", "app_repeats")
@@ -51,3 +51,15 @@ def test_longer_prefixes_from_digits(spark):
         code = lambda t: sum(("ACGT".index(c) + 1) * 5 ** (2 - i) for i, c in enumerate(t[:3]))
         far = code(s) in longer
         assert (r["code"], r["far"], r["slen"], r["more"]) == (code(s), far, min(len(s), 6 if far else 3), code(s[3:6]) if far else 0)
+
+
+def test_index_meets_nested_and_equal_patterns(spark, tmp_path):
+    """Patterns within others, twice the same one, beyond the width, and of other symbols: each has all its places."""
+    rng = random.Random(5)
+    reads = spark.createDataFrame([(i, "".join(rng.choice("AC") for _ in range(40))) for i in range(30)], "read_id long, seq string")
+    patterns = [(i, p) for i, p in enumerate(["A", "AC", "ACC", "AC", "CCCC", "T", "ACACACA", "N", "C" * 6, "AAAA"])]
+    search.store_index(reads, DNA, 4, str(tmp_path / "index"), 5)
+    found = search.search_index(spark, str(tmp_path / "index"), reads, patterns, DNA, 4).collect()
+    want = [(i, r["read_id"] * 1000 + o) for i, p in patterns for r in reads.collect() for o in range(41) if r["seq"].startswith(p, o)]
+    assert sorted(map(tuple, found)) == sorted(want)
+    assert search._spans([(1, 2), (3, 4), (9, 9), (20, 30), (22, 24)], 2) == [(1, 9), (20, 30)]
