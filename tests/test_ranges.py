@@ -10,7 +10,7 @@ from suffixloom.operators import suffixes
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
-NAMES = ("idx_sa_no_rules",)
+NAMES = ("idx_sa_no_rules", "idx_sa_paired")
 
 
 @pytest.fixture(scope="module")
