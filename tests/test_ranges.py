@@ -6,11 +6,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from suffixloom.functions.alphabet import DNA, DNA_N, Bytes
-from suffixloom.operators import suffixes
+from suffixloom.operators import suffixes, validate
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
-NAMES = ("idx_sa_no_rules", "idx_sa_paired")
+NAMES = ("idx_sa_no_rules", "idx_sa_paired", "validate_order")
 
 
 @pytest.fixture(scope="module")
@@ -57,3 +57,12 @@ def test_codes_from_bytes(spark, alphabet, width, letters, monkeypatch):
     assert all(parted) and sum(parted, []) == want
     with pytest.raises(ValueError):
         suffixes.expand_refs(reads, alphabet, 28)
+
+
+def test_order_is_checked_where_ranges_meet(spark):
+    sa = lambda *rows: validate.order_of_range(spark.createDataFrame(list(rows), "pos long, ref long, suffix string"))
+    joined = lambda *ranges: tuple(validate.joined_orders(ranges[0].unionByName(ranges[1])).first())
+    low, none = sa((0, 5, "a"), (1, 6, "b")), sa((9, 9, "z")).where("false")
+    assert joined(low, sa((2, 7, "b"), (3, 1, "c"))) == (0, 4, 19)
+    assert joined(low, sa((2, 6, "b"))) == joined(low, sa((2, 1, "b")))[:2] + (17,) == (1, 3, 17)
+    assert joined(low, none) == (0, 2, 11) and joined(none, none) == (0, 0, 0)
