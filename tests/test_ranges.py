@@ -11,6 +11,7 @@ from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
 NAMES = ("idx_sa_no_rules", "idx_sa_paired", "idx_sa_sampled_ranges", "validate_order")
+FETCHES = ("block_fetch_bytes",)
 
 
 @pytest.fixture(scope="module")
@@ -42,6 +43,15 @@ def test_shares_of_codes_give_the_whole_array(spark, at, name, monkeypatch):
     assert len(taken) > 2 and len(gone) == len(taken) and not any(os.path.exists(p.removeprefix("file:")) for p in gone)
 
 
+@pytest.mark.parametrize("name", FETCHES)
+def test_fetches_come_in_smaller_shares(spark, at, name, monkeypatch):
+    taken, stored = [], suffixes.stored
+    monkeypatch.setattr(suffixes, "FETCH_SUFFIXES", 3_000)
+    monkeypatch.setattr(suffixes, "stored", lambda df, label: taken.append(label) or stored(df, label))
+    compare(spark, at, name)
+    assert len(taken) > 2
+
+
 @pytest.mark.parametrize("alphabet, width, letters", ((DNA, 23, "ACGT"), (DNA, 5, "ACGT"), (DNA_N, 2, "ACGNT"), (Bytes, 7, "aé€😀"), (Bytes, 3, "ab\x7f")))
 def test_codes_from_bytes(spark, alphabet, width, letters, monkeypatch):
     """As by the column function, one suffix at a time, with pieces that end within a batch; spans part the references."""
