@@ -11,7 +11,7 @@ from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
 NAMES = ("idx_sa_no_rules", "idx_sa_paired", "idx_sa_sampled_ranges", "validate_order")
-FETCHES = ("block_fetch_bytes", "fetch_requests")
+FETCHES = ("block_fetch_bytes", "fetch_requests", "fetch_tail_vs_whole")
 
 
 @pytest.fixture(scope="module")
