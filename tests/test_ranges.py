@@ -10,7 +10,7 @@ from suffixloom.operators import suffixes, validate
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
-NAMES = ("idx_sa_no_rules", "idx_sa_paired", "idx_sa_sampled_ranges", "validate_order", "idx_sa_dna", "idx_sa_html_longer", "idx_sa_placed_store")
+NAMES = ("idx_sa_no_rules", "idx_sa_paired", "idx_sa_sampled_ranges", "validate_order", "idx_sa_dna", "idx_sa_html_longer", "idx_sa_placed_store", "idx_sa_text_w3")
 FETCHES = ("block_fetch_bytes", "fetch_requests", "fetch_tail_vs_whole")
 
 
