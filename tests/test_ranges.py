@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from suffixloom.functions.alphabet import DNA, DNA_N, Bytes
 from suffixloom.operators import suffixes, validate
+from suffixloom.operators.grouping import mark_groups
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
@@ -76,3 +77,24 @@ def test_order_is_checked_where_ranges_meet(spark):
     assert joined(low, sa((2, 7, "b"), (3, 1, "c"))) == (0, 4, 19)
     assert joined(low, sa((2, 6, "b"))) == joined(low, sa((2, 1, "b")))[:2] + (17,) == (1, 3, 17)
     assert joined(low, none) == (0, 2, 11) and joined(none, none) == (0, 0, 0)
+
+
+@pytest.mark.parametrize("rows_a_batch", (1, 3, 10_000))
+def test_groups_are_told_as_rows_pass(spark, rows_a_batch):
+    """Also where a group begins in one batch and ends in another, and where none is asked for."""
+    rng, name = random.Random(2), "spark.sql.execution.arrow.maxRecordsPerBatch"
+    rows = [(rng.choice((1, 1, 1, 5, rng.randint(10, 60))), rng.choice((0, 0, 3)), ref) for ref in range(120)]
+    rows = [(*r, r[0] != 5) for r in rows]
+    want, groups = [], {}
+    for code, more, ref, full in sorted(rows):
+        groups.setdefault((code, more), []).append(ref)
+    for (code, _), refs in sorted(groups.items()):
+        want += [(ref, i if len(refs) > 1 and code != 5 else None) for i, ref in enumerate(refs)]
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(rows_a_batch))
+    try:
+        at = spark.createDataFrame(rows, "code long, more long, ref long, full boolean").coalesce(1).sortWithinPartitions("code", "more", "ref")
+        assert [tuple(r) for r in mark_groups(at, ["code", "more"], "full").collect()] == want
+        assert mark_groups(at.where("false"), ["code"], keep_keys=True).collect() == []
+    finally:
+        spark.conf.set(name, before)
