@@ -98,3 +98,32 @@ def test_groups_are_told_as_rows_pass(spark, rows_a_batch):
         assert mark_groups(at.where("false"), ["code"], keep_keys=True).collect() == []
     finally:
         spark.conf.set(name, before)
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_text_stays_where_it_lies_while_order_is_checked(spark):
+    """Rows out of order are found within batches, between them, and between files; none are dealt anew with their text."""
+    rng, name = random.Random(4), "spark.sql.execution.arrow.maxRecordsPerBatch"
+    order = sorted((("".join(rng.choice("ab") for _ in range(rng.randint(0, 5)))), ref) for ref in range(300))
+    rows = [(pos, ref, s) for pos, (s, ref) in enumerate(order)]
+    wrong = list(rows)
+    for i in (10, 99, 149, 298):
+        (p, r, s), (q, t, u) = wrong[i], wrong[i + 1]
+        wrong[i], wrong[i + 1] = (p, t, u), (q, r, s)
+    count = lambda x: sum((a[2], a[1]) >= (b[2], b[1]) for a, b in zip(x, x[1:]))
+    before = spark.conf.get(name)
+    spark.conf.set(name, "7")
+    try:
+        for some in (rows, wrong):
+            for files in (some, some[150:] + some[:150], rng.sample(some, 300)):
+                sa = spark.createDataFrame(files, "pos long, ref long, suffix string").coalesce(3)
+                found = validate.order_of_range(sa)
+                assert tuple(validate.joined_orders(found).first()) == (count(some), 300, sum(r[1] for r in rows))
+                ends = found.first()
+                assert (ends["first"]["pos"], ends["last"]["pos"]) == (0, 299)
+        assert count(wrong) >= 4 and "Window" not in plan_of(found) and "violations" in plan_of(found).split("Exchange")[-1]
+    finally:
+        spark.conf.set(name, before)
