@@ -6,10 +6,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from suffixloom.functions.alphabet import DNA, DNA_N, Bytes
-from suffixloom.operators import suffixes, validate
+from suffixloom.operators import positions, suffixes, validate
 from suffixloom.operators.grouping import mark_groups
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
+from suffixloom.sources import reads as src
 
 NAMES = ("idx_sa_no_rules", "idx_sa_paired", "idx_sa_sampled_ranges", "validate_order", "idx_sa_dna", "idx_sa_html_longer", "idx_sa_placed_store", "idx_sa_text_w3")
 FETCHES = ("block_fetch_bytes", "fetch_requests", "fetch_tail_vs_whole")
@@ -127,3 +128,15 @@ def test_text_stays_where_it_lies_while_order_is_checked(spark):
         assert count(wrong) >= 4 and "Window" not in plan_of(found) and "violations" in plan_of(found).split("Exchange")[-1]
     finally:
         spark.conf.set(name, before)
+
+
+def test_references_are_sorted_by_code_before_anything_else(spark):
+    """A part's number is the same in all rows of a task: first in the order, it would leave the sort without a prefix to compare."""
+    forward = spark.createDataFrame([(i, "ACGTTGCA" * (i % 5)) for i in range(40)], "read_id long, seq string")
+    reads, seen, stored = src.pair_reads(forward, src.reverse_reads(forward)), [], positions.stored
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(positions, "stored", lambda df, label: seen.append(plan_of(df)) or stored(df, label))
+        found = [r["ref"] for r in build.indexed_suffix_array(reads, DNA, 5, parts=3).orderBy("pos").collect()]
+    every = [(r["seq"][o:], r["read_id"] * 1000 + o) for r in reads.collect() for o in range(len(r["seq"]) + 1)]
+    assert found == [ref for _, ref in sorted(every)]
+    assert len(seen) == 1 and "Window" not in seen[0] and "Sort [code" in seen[0] and "Sort [part" not in seen[0]
