@@ -142,7 +142,7 @@ def test_references_are_sorted_by_code_before_anything_else(spark):
     assert len(seen) == 1 and "Window" not in seen[0] and "Sort [code" in seen[0] and "Sort [part" not in seen[0]
 
 
-@pytest.mark.parametrize("name", ("block_fetch_bytes",))
+@pytest.mark.parametrize("name", ("block_fetch_bytes", "fetch_requests",))
 def test_fetches_tell_groups_without_a_window(spark, at, name):
     plan = plan_of(QUERIES[name](spark, at))
     assert "Window" not in plan and plan.count("MapInArrow") >= 2
