@@ -4,9 +4,10 @@ from collections import Counter
 import duckdb
 import pytest
 
-from suffixloom.functions.alphabet import DNA
+from suffixloom.functions.alphabet import DNA, DNA_N, Bytes
 from suffixloom.functions.refs import RefLayout
-from suffixloom.operators import blocks
+from suffixloom.operators import blocks, partitioning, store, suffixes
+from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
 
@@ -54,3 +55,41 @@ def test_fetches_deal_blocks(spark, at, name):
     compare(spark, at, name)
     plan = plan_of(QUERIES[name](spark, at))
     assert "Join" not in plan and "Sort [" not in plan and "body" in plan
+
+
+def suffixes_of(seqs):
+    return [ref for _, ref in sorted((s[o:].encode(), i * 1000 + o) for i, s in enumerate(seqs) for o in range(len(s) + 1))]
+
+
+@pytest.mark.parametrize("alphabet, width, letters", ((DNA, 5, "ACGT"), (Bytes, 3, "aé€😀"), (DNA_N, 24, "N")))
+@pytest.mark.parametrize("options", ({}, {"longer_above": 5, "parts": 4}, {"short_rule": False}, {"explicit_ranges": True, "parts": 3}), ids=str)
+def test_arrays_from_blocks(spark, alphabet, width, letters, options, monkeypatch):
+    """Shares, parts, slices and pieces end everywhere; hot codes have parts of their own, and vast groups are sorted row by row."""
+    rng = random.Random(len(letters) + width)
+    seqs = ["", letters[0] * 70] * 2 + ["".join(rng.choice(letters) for _ in range(rng.randint(0, 90))) for _ in range(20)]
+    seqs += seqs[:9]
+    reads = spark.createDataFrame(list(enumerate(seqs)), "read_id long, seq string").repartition(3)
+    vast, ask = [], blocks.positions_of
+    for name, value in (("GROUP", 8), ("PART", 200), ("SLICE", 300), ("BLOCK", 50)):
+        monkeypatch.setattr(blocks, name, value)
+    monkeypatch.setattr(suffixes, "FETCH_SUFFIXES", 1_000)
+    monkeypatch.setattr(blocks, "positions_of", lambda table, kind, *rest: vast.append(kind) or ask(table, kind, *rest))
+    found = build.indexed_suffix_array(reads, alphabet, width, store="placed", **options).collect()
+    assert sorted((r["pos"], r["ref"]) for r in found) == list(enumerate(suffixes_of(seqs)))
+    assert blocks.VAST in vast and blocks.SETTLED in vast
+
+
+@pytest.mark.parametrize("name", ("idx_sa_paired", "idx_sa_dna", "idx_sa_html_longer", "idx_sa_placed_store", "idx_sa_text_w3"))
+def test_arrays_are_dealt_in_blocks(spark, at, name, monkeypatch):
+    """No reference is a row before it has its position, unless its group is vast; the array is the same as DuckDB's."""
+    monkeypatch.setattr(store, "BROADCAST_BYTES", -1)
+    seen, stored = [], blocks.stored
+    monkeypatch.setattr(blocks, "stored", lambda df, label: seen.append(plan_of(df)) or stored(df, label))
+    compare(spark, at, name)
+    assert len(seen) == 1 and "body" in seen[0] and "Sort [" not in seen[0]
+
+
+def test_what_fills_a_part_has_one_of_its_own():
+    assert partitioning._with_those_apart([3, 7, 7, 7, 9]) == [3, 6, 7, 9]
+    assert blocks.apart([3, 6, 7, 9]) == [False, False, True, False, False]
+    assert blocks.apart(partitioning._with_those_apart([(3, 0), (7, 5), (7, 5), (8, 6)])) == [False, False, True, False, False]
