@@ -93,3 +93,41 @@ def test_what_fills_a_part_has_one_of_its_own():
     assert partitioning._with_those_apart([3, 7, 7, 7, 9]) == [3, 6, 7, 9]
     assert blocks.apart([3, 6, 7, 9]) == [False, False, True, False, False]
     assert blocks.apart(partitioning._with_those_apart([(3, 0), (7, 5), (7, 5), (8, 6)])) == [False, False, True, False, False]
+
+
+@pytest.mark.parametrize("alphabet, letters", ((DNA, "ACGT"), (DNA_N, "ACGNT"), (Bytes, "aé€😀")))
+def test_codes_of_packed_reads(spark, alphabet, letters):
+    """Codes of any width, within any span, are those that expand_refs makes row by row, and the zeros behind a read are no suffixes."""
+    rng = random.Random(5)
+    seqs = ["", letters[-1]] + ["".join(rng.choice(letters) for _ in range(rng.randint(0, 30))) for _ in range(30)]
+    reads = spark.createDataFrame(list(enumerate(seqs)), "read_id long, seq string")
+    rows = blocks.packed(reads, alphabet, RefLayout(), 3, 2).collect()
+    assert sorted(r["slice"] for r in rows) == [0, 1, 2]
+    for width in (1, 2, 5, 7):
+        every = {(r["code"], r["ref"]) for r in suffixes.expand_refs(reads, alphabet, width).collect()}
+        low, high = (sorted(c for c, _ in every)[len(every) // i] for i in (4, 2))
+        for span in ((None, None), (None, low), (low, high), (high, None), (-1, high)):
+            found = set()
+            for r in rows:
+                own = blocks.PackedReads(r["n"], r["body"], alphabet)
+                at, read, code = own.within(width, span)
+                found |= set(zip(code.tolist(), (own.ids[read] * 1000 + own.offsets(at, read)).tolist()))
+                assert (own.places(read, own.offsets(at, read)) == at).all()
+            assert found == {(c, ref) for c, ref in every if (span[0] is None or c > span[0]) and (span[1] is None or c <= span[1])}
+    with pytest.raises(Exception, match="NUL|beside|null"):
+        blocks.packed(spark.createDataFrame([(1, "A\0")], "read_id long, seq string"), alphabet, RefLayout(), 1, 1).collect()
+
+
+def test_shares_of_a_large_input_are_few(spark, monkeypatch):
+    """Each share goes over all reads: their number has a bound, reads are packed once, and every suffix keeps its place."""
+    rng = random.Random(8)
+    seqs = ["".join(rng.choice("ACGT") for _ in range(40)) for _ in range(30)]
+    reads = spark.createDataFrame(list(enumerate(seqs)), "read_id long, seq string")
+    monkeypatch.setattr(suffixes, "FETCH_SUFFIXES", 10)
+    monkeypatch.setattr(build, "MOST_SHARES", 3)
+    dealt, packed, place, pack = [], [], blocks.place, blocks.packed
+    monkeypatch.setattr(blocks, "place", lambda *a: dealt.append(a) or place(*a))
+    monkeypatch.setattr(blocks, "packed", lambda *a: packed.append(a) or pack(*a))
+    found = build.indexed_suffix_array(reads, DNA, 4, store="placed", parts=2).collect()
+    assert sorted((r["pos"], r["ref"]) for r in found) == list(enumerate(suffixes_of(seqs)))
+    assert len(packed) == 1 and 2 <= len(dealt) <= 3
