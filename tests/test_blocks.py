@@ -6,7 +6,7 @@ import pytest
 
 from suffixloom.functions.alphabet import DNA, DNA_N, Bytes
 from suffixloom.functions.refs import RefLayout
-from suffixloom.operators import blocks, partitioning, store, suffixes
+from suffixloom.operators import blocks, partitioning, search, store, suffixes
 from suffixloom.plans import build
 from suffixloom.plans.workloads import QUERIES, SQL
 
@@ -131,3 +131,19 @@ def test_shares_of_a_large_input_are_few(spark, monkeypatch):
     found = build.indexed_suffix_array(reads, DNA, 4, store="placed", parts=2).collect()
     assert sorted((r["pos"], r["ref"]) for r in found) == list(enumerate(suffixes_of(seqs)))
     assert len(packed) == 1 and 2 <= len(dealt) <= 3
+
+
+@pytest.mark.parametrize("letters", ("ab", "aé€😀", "a\0"))
+@pytest.mark.parametrize("most", (500, 1 << 30))
+def test_repeats_in_blocks(spark, letters, most, monkeypatch):
+    """Grams of several lengths in bytes, shares, blocks and parts that end everywhere; NUL has no code, but counts."""
+    rng = random.Random(9)
+    seqs = ["", letters * 20] + ["".join(rng.choice(letters) for _ in range(rng.randint(0, 60))) for _ in range(40)]
+    reads = spark.createDataFrame(list(enumerate(seqs)), "read_id long, seq string").repartition(3)
+    for name, value in (("PART", 100), ("SLICE", 300), ("BLOCK", 50)):
+        monkeypatch.setattr(blocks, name, value)
+    monkeypatch.setattr(suffixes, "FETCH_SUFFIXES", most)
+    want = Counter(s[o : o + 8] for s in seqs for o in range(len(s) - 7))
+    found = search.repeats(reads, 8)
+    assert sorted(map(tuple, found.collect())) == sorted((g, n) for g, n in want.items() if n > 1)
+    assert ("body" in plan_of(search.repeats(reads, 8))) == (most > 500 and "\0" not in letters)
