@@ -147,3 +147,13 @@ def test_repeats_in_blocks(spark, letters, most, monkeypatch):
     found = search.repeats(reads, 8)
     assert sorted(map(tuple, found.collect())) == sorted((g, n) for g, n in want.items() if n > 1)
     assert ("body" in plan_of(search.repeats(reads, 8))) == (most > 500 and "\0" not in letters)
+
+
+@pytest.mark.parametrize("name", ("idx_sa_no_rules",))
+def test_all_stores_and_rules_are_dealt_in_blocks(spark, at, name, monkeypatch):
+    """Whatever the store, and with tails or whole reads fetched for every suffix, no reference is a row before it has its position."""
+    monkeypatch.setattr(store, "BROADCAST_BYTES", -1)
+    seen, stored = [], blocks.stored
+    monkeypatch.setattr(blocks, "stored", lambda df, label: seen.append(plan_of(df)) or stored(df, label))
+    compare(spark, at, name)
+    assert len(seen) == 1 and "body" in seen[0] and "Sort [" not in seen[0]
