@@ -149,7 +149,7 @@ def test_repeats_in_blocks(spark, letters, most, monkeypatch):
     assert ("body" in plan_of(search.repeats(reads, 8))) == (most > 500 and "\0" not in letters)
 
 
-@pytest.mark.parametrize("name", ("idx_sa_no_rules", "fetch_whole_same_result", "idx_sa_bucketed_store", "idx_sa_nosuffix", "idx_sa_sampled_ranges", "idx_sa_text"))
+@pytest.mark.parametrize("name", ("idx_sa_no_rules", "fetch_whole_same_result", "idx_sa_bucketed_store", "idx_sa_nosuffix", "idx_sa_sampled_ranges", "idx_sa_text", "idx_sa_text_w5"))
 def test_all_stores_and_rules_are_dealt_in_blocks(spark, at, name, monkeypatch):
     """Whatever the store, and with tails or whole reads fetched for every suffix, no reference is a row before it has its position."""
     monkeypatch.setattr(store, "BROADCAST_BYTES", -1)
